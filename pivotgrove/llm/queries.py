@@ -10,14 +10,18 @@ from pivotgrove.llm.bpe_transducer import op9_bpe_transducer
 from pivotgrove.llm.overlap_counts import op4_overlap_token_counts
 from pivotgrove.llm.packing import op3_concatenate_and_cut
 from pivotgrove.llm.private_data import op1_bootstrapped_private_data
+from pivotgrove.llm.scaled_sketch import op10_scaled_fingerprints
 from pivotgrove.llm.secrets import op8_secret_ownership
+from pivotgrove.llm.toxicity import op6_factorisation_machine
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_bootstrapped_private_data": op1_bootstrapped_private_data,
     "op3_concatenate_and_cut": op3_concatenate_and_cut,
     "op4_overlap_token_counts": op4_overlap_token_counts,
+    "op6_factorisation_machine": op6_factorisation_machine,
     "op8_secret_ownership": op8_secret_ownership,
     "op9_bpe_transducer": op9_bpe_transducer,
+    "op10_scaled_fingerprints": op10_scaled_fingerprints,
 }
 
 ORACLES: dict[str, str] = {}
