@@ -46,34 +46,65 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+_CONTRACT_EDGES = 250_000
+
+
+def _contract(batches):
+    """Replace the links of each bounded run by stars: every node linked to the smallest it reaches in the run."""
+    import pyarrow as pa
+
+    parent: dict = {}
+
+    def root(x):
+        while (up := parent.setdefault(x, x)) != x:
+            parent[x] = x = parent[up]
+        return x
+
+    def stars(schema):
+        pairs = [(root(x), x) for x in list(parent)]
+        pairs = [p for p in pairs if p[0] != p[1]]
+        parent.clear()
+        return pa.RecordBatch.from_arrays([pa.array([p[i] for p in pairs], schema.field(i).type) for i in (0, 1)], ["lo", "hi"])
+
+    seen, schema = 0, None
+    for batch in batches:
+        schema = batch.schema
+        for a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            a, b = root(a), root(b)
+            if a != b:
+                parent[max(a, b)] = min(a, b)
+        seen += batch.num_rows
+        if seen >= _CONTRACT_EDGES:
+            yield stars(schema)
+            seen = 0
+    if seen:
+        yield stars(schema)
+
+
 def components(edges: DataFrame, src: str = "src", dst: str = "dst", max_rounds: int = 50) -> DataFrame:
     """(node, root) for every node of edges; root is the smallest node reachable.
 
-    Alternates two contractions: every node hands its larger neighbours to its smallest one, then every node
-    hands its smaller neighbours and itself to the smallest. Each is a partial-aggregated minimum and a join;
-    a hub's rows are split by AQE, and the frontier is written to the shared folder each round. Self-links,
-    repeated links and null ends are dropped; an empty frame gives an empty frame.
+    Each round first contracts the links inside every partition, in runs of bounded size, then alternates two
+    steps over all: every node hands its larger neighbours to its smallest one, then every node hands its
+    smaller neighbours and itself to the smallest. Both are a partial-aggregated minimum and a join; the links
+    are written to the shared folder each round. Self-links, repeated links and null ends are dropped; an empty
+    frame gives an empty frame.
     """
+    ship(edges.sparkSession)
+    kind = edges.schema[src].dataType.simpleString()
+    local = lambda df: df.distinct().mapInArrow(_contract, f"lo {kind}, hi {kind}")
     low, high = F.least(src, dst), F.greatest(src, dst)
-    links = materialise(edges.where(F.col(src) != F.col(dst)).select(low.alias("lo"), high.alias("hi")).distinct(), "links")
-    if links.isEmpty():
-        return links.select(F.col("lo").alias("node"), F.col("hi").alias("root"))
+    links = materialise(local(edges.where(F.col(src) != F.col(dst)).select(low.alias("lo"), high.alias("hi"))), "links")
     for _ in range(max_rounds):
-        # lo < hi in every row. Large star: a node's larger neighbours move to the smallest of it and all its neighbours.
-        both = links.select(F.col("lo").alias("u"), F.col("hi").alias("v")).union(links.select(F.col("hi").alias("u"), F.col("lo").alias("v")))
-        least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("m", "u").alias("m"))
-        large = links.join(least.withColumnRenamed("u", "lo"), "lo").select(F.col("m").alias("lo"), "hi").where("lo < hi").distinct()
-        # Small star: a node's smaller neighbours, and it, move to the smallest of them.
-        smallest = large.groupBy("hi").agg(F.min("lo").alias("m"), F.count("*").alias("c"))
-        moved = large.join(smallest, "hi").select("m", F.col("lo"), F.col("hi"), "c")
-        after = moved.where("lo > m").select(F.col("m").alias("lo"), F.col("lo").alias("hi")).union(moved.select(F.col("m").alias("lo"), "hi")).distinct()
-        after = materialise(after, "links")
         # Done when the links form stars: no node is both a centre and a leaf, and no leaf has two centres.
-        roles = after.select(F.col("hi").alias("n"), F.lit(1).alias("leaf"), F.lit(0).alias("centre")).union(after.select(F.col("lo"), F.lit(0), F.lit(1)))
+        roles = links.select(F.col("hi").alias("n"), F.lit(1).alias("leaf"), F.lit(0).alias("centre")).union(links.select(F.col("lo"), F.lit(0), F.lit(1)))
         if roles.groupBy("n").agg(F.sum("leaf").alias("leaf"), F.max("centre").alias("centre")).where("leaf > 1 or (leaf > 0 and centre > 0)").isEmpty():
-            links = after
-            break
-        links = after
-    else:
-        raise RuntimeError(f"components did not settle in {max_rounds} rounds")
-    return links.select(F.col("hi").alias("node"), F.col("lo").alias("root")).union(links.select("lo", F.col("lo").alias("r")).distinct())
+            return links.select(F.col("hi").alias("node"), F.col("lo").alias("root")).union(links.select("lo", F.col("lo").alias("r")).distinct())
+        # Large star: a node's larger neighbours move to the smallest of it and all its neighbours.
+        both = links.union(links.select("hi", "lo")).toDF("u", "v")
+        least = both.groupBy("u").agg(F.min("v").alias("m")).select(F.col("u").alias("lo"), F.least("m", "u").alias("m"))
+        large = links.join(least, "lo").select(F.col("m").alias("lo"), "hi").where("lo < hi").distinct()
+        # Small star: a node's smaller neighbours, and it, move to the smallest of them.
+        moved = large.join(large.groupBy("hi").agg(F.min("lo").alias("m")), "hi")
+        links = materialise(local(moved.where("lo > m").select(F.col("m").alias("lo"), F.col("lo").alias("hi")).union(moved.select(F.col("m").alias("lo"), "hi"))), "links")
+    raise RuntimeError(f"components did not settle in {max_rounds} rounds")
