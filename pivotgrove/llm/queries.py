@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from pivotgrove.llm.bpe_transducer import op9_bpe_transducer
+from pivotgrove.llm.multi_index import op5_inverted_multi_index
 from pivotgrove.llm.occurrence_join import op7_occurrence_join
 from pivotgrove.llm.overlap_counts import op4_overlap_token_counts
 from pivotgrove.llm.packing import op3_concatenate_and_cut
@@ -19,6 +20,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_bootstrapped_private_data": op1_bootstrapped_private_data,
     "op3_concatenate_and_cut": op3_concatenate_and_cut,
     "op4_overlap_token_counts": op4_overlap_token_counts,
+    "op5_inverted_multi_index": op5_inverted_multi_index,
     "op6_factorisation_machine": op6_factorisation_machine,
     "op7_occurrence_join": op7_occurrence_join,
     "op8_secret_ownership": op8_secret_ownership,
