@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from pivotgrove.llm.bilinear_lm import op2_log_bilinear_scores
 from pivotgrove.llm.bpe_transducer import op9_bpe_transducer
 from pivotgrove.llm.multi_index import op5_inverted_multi_index
 from pivotgrove.llm.occurrence_join import op7_occurrence_join
@@ -18,6 +19,7 @@ from pivotgrove.llm.toxicity import op6_factorisation_machine
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_bootstrapped_private_data": op1_bootstrapped_private_data,
+    "op2_log_bilinear_scores": op2_log_bilinear_scores,
     "op3_concatenate_and_cut": op3_concatenate_and_cut,
     "op4_overlap_token_counts": op4_overlap_token_counts,
     "op5_inverted_multi_index": op5_inverted_multi_index,

@@ -14,6 +14,8 @@ _BASE = 0x9E3779B97F4A7C15 | 1
 _MASK = (1 << 64) - 1
 _VALUE = np.random.default_rng(20240229).integers(1, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _VALUE[65:91] = _VALUE[97:123]
+_LOWER = np.arange(256)
+_LOWER[65:91] += 32
 _SPACE = np.zeros(256, dtype=bool)
 _SPACE[[32, *range(9, 14)]] = True
 _PLACE = np.random.default_rng(20240301).integers(1, 1 << 63, 64, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
@@ -39,14 +41,29 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
+def word_bounds(raw: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    inside = np.concatenate(([False], ~_SPACE[raw], [False]))
+    edge = np.flatnonzero(inside[1:] != inside[:-1])
+    return edge[::2], edge[1::2]
+
+
+def word_endings(text: str) -> np.ndarray:
+    """A number made of the last three bytes of each word, lower-cased."""
+    raw = np.frombuffer(text.encode(), dtype=np.uint8)
+    starts, ends = word_bounds(raw)
+    out = np.zeros(len(starts), dtype=np.uint64)
+    for back in (1, 2, 3):
+        at = ends - back
+        out = out << np.uint64(8) | np.where(at >= starts, _LOWER[raw[np.maximum(at, 0)]], 0).astype(np.uint64)
+    return out
+
+
 def word_hashes(text: str | bytes) -> np.ndarray:
     raw = np.frombuffer(text.encode() if isinstance(text, str) else text, dtype=np.uint8)
     if not len(raw):
         return np.empty(0, dtype=np.uint64)
     up, down = _power(len(raw))
-    inside = np.concatenate(([False], ~_SPACE[raw], [False]))
-    edge = np.flatnonzero(inside[1:] != inside[:-1])
-    starts, ends = edge[::2], edge[1::2]
+    starts, ends = word_bounds(raw)
     running = np.zeros(len(raw) + 1, dtype=np.uint64)
     np.cumsum(_VALUE[raw] * up[: len(raw)], out=running[1:])
     return mix((running[ends] - running[starts]) * down[starts] + (ends - starts).astype(np.uint64))
