@@ -9,8 +9,11 @@ that crosses one gives a boundary record for each window it touches. Only the la
 from __future__ import annotations
 
 import functools
+from array import array
 from collections.abc import Iterator
+from itertools import chain
 
+import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -21,14 +24,15 @@ from pivotgrove.runtime import materialise, ship
 
 VOCABULARY = "word_bpe_49k.json"
 WINDOW, END_ID = 2048, 1
-MEMO_ENTRIES = 400_000
+MEMO_ENTRIES = 600_000
 
 
 class WordTokenizer:
     """Whole texts by words: the vocabulary drops white space and its pattern never crosses it.
 
-    Words are asked of the library in batches and kept up to a bound; a text with a control character that
-    Python takes as white space and the library does not goes to the library whole.
+    New words are asked of the library in one text, with a special token between them that no word holds, and
+    kept up to a bound; a text with a control character that Python takes as white space and the library does
+    not goes to the library whole.
     """
 
     def __init__(self, vocabulary_file: str, memo_entries: int = MEMO_ENTRIES):
@@ -37,27 +41,35 @@ class WordTokenizer:
         self.library = Tokenizer.from_file(vocabulary_file)
         self.memo_entries = memo_entries
         self.memo: dict[str, bytes] = {}
-
-    @staticmethod
-    def _pack(ids: list[int]) -> bytes:
-        return b"".join(i.to_bytes(4, "little") for i in ids)
+        self.between, self.between_id = next((t.content, i) for i, t in sorted(self.library.get_added_tokens_decoder().items()) if t.special)
+
+    def _whole(self, text: str) -> bytes:
+        return array("I", self.library.encode(text, add_special_tokens=False).ids).tobytes()
+
+    def _learn(self, words: list[str]) -> None:
+        apart = [w for w in words if "<" in w]  # may hold a special token, or a part of one
+        for word in apart:
+            self.memo[word] = self._whole(word)
+        words = [w for w in words if "<" not in w] if apart else words
+        if not words:
+            return
+        ids = np.array(self.library.encode(f" {self.between} ".join(words), add_special_tokens=False).ids, dtype="<u4")
+        ends = np.flatnonzero(ids == self.between_id)
+        packed, at = ids.tobytes(), 0
+        for word, end in zip(words, [*(ends * 4).tolist(), len(packed)], strict=True):
+            self.memo[word] = packed[at:end]
+            at = end + 4
 
     def encode_packed(self, texts: list[str]) -> list[bytes]:
         """Little-endian unsigned 32-bit ids of each text."""
         if len(self.memo) > self.memo_entries:
             self.memo.clear()
-        memo, out = self.memo, []
-        for text in texts:
-            if any(c in text for c in "\x1c\x1d\x1e\x1f"):
-                out.append(self._pack(self.library.encode(text, add_special_tokens=False).ids))
-                continue
-            words = text.split()
-            new = [w for w in set(words) if w not in memo]
-            if new:
-                for word, found in zip(new, self.library.encode_batch_fast(new, add_special_tokens=False), strict=True):
-                    memo[word] = self._pack(found.ids)
-            out.append(b"".join(map(memo.__getitem__, words)))
-        return out
+        plain = [None if "\x1c" in t or "\x1d" in t or "\x1e" in t or "\x1f" in t else t.split() for t in texts]
+        new = set(chain.from_iterable(w for w in plain if w)).difference(self.memo)
+        if new:
+            self._learn(list(new))
+        look = self.memo.__getitem__
+        return [self._whole(t) if w is None else b"".join(map(look, w)) for t, w in zip(texts, plain, strict=True)]
 
 
 @functools.lru_cache(maxsize=2)
