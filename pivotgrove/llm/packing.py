@@ -9,11 +9,11 @@ that crosses one gives a boundary record for each window it touches. Only the la
 from __future__ import annotations
 
 import functools
+import re
 from array import array
 from collections.abc import Iterator
 from itertools import chain
 
-import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -27,47 +27,55 @@ WINDOW, END_ID = 2048, 1
 MEMO_ENTRIES = 600_000
 
 
+_LATIN = "a-z\u00df-\u00f6\u00f8-\u017f"
+_PLAIN = re.compile("[!-;=-~\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u012f\u0131-\u0148\u014a-\u017f]+").fullmatch
+#: Fixed value: the vocabulary's own pattern, for the characters of a plain word.
+_RUNS = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{_LATIN}]+|[0-9]|[^{_LATIN}0-9]+").findall
+
+
 class WordTokenizer:
     """Whole texts by words: the vocabulary drops white space and its pattern never crosses it.
 
-    New words are asked of the library in one text, with a special token between them that no word holds, and
-    kept up to a bound; a text with a control character that Python takes as white space and the library does
-    not goes to the library whole.
+    A word of plain Latin characters is lower-cased and cut into runs here, and the library's merges are asked
+    once for each run; any other word is asked of the library as it is, and so is a text with a control
+    character that Python takes as white space and the library does not. Words and runs are kept up to a bound.
     """
 
     def __init__(self, vocabulary_file: str, memo_entries: int = MEMO_ENTRIES):
-        from tokenizers import Tokenizer
+        from tokenizers import Tokenizer, pre_tokenizers
 
         self.library = Tokenizer.from_file(vocabulary_file)
+        self.model = self.library.model
         self.memo_entries = memo_entries
         self.memo: dict[str, bytes] = {}
-        self.between, self.between_id = next((t.content, i) for i, t in sorted(self.library.get_added_tokens_decoder().items()) if t.special)
+        self.runs: dict[str, bytes] = {}
+        mapped = pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)
+        #: The library's letters for the bytes of a character.
+        self.letters = {c: mapped.pre_tokenize_str(chr(c))[0][0] for c in range(33, 0x180) if not 127 <= c < 161}
+        self.letters = {c: x if c < 128 else x[-2:] for c, x in self.letters.items()}
 
     def _whole(self, text: str) -> bytes:
         return array("I", self.library.encode(text, add_special_tokens=False).ids).tobytes()
 
-    def _learn(self, words: list[str]) -> None:
-        apart = [w for w in words if "<" in w]  # may hold a special token, or a part of one
-        for word in apart:
-            self.memo[word] = self._whole(word)
-        words = [w for w in words if "<" not in w] if apart else words
-        if not words:
-            return
-        ids = np.array(self.library.encode(f" {self.between} ".join(words), add_special_tokens=False).ids, dtype="<u4")
-        ends = np.flatnonzero(ids == self.between_id)
-        packed, at = ids.tobytes(), 0
-        for word, end in zip(words, [*(ends * 4).tolist(), len(packed)], strict=True):
-            self.memo[word] = packed[at:end]
-            at = end + 4
+    def _learn(self, word: str) -> bytes:
+        if not _PLAIN(word):
+            return self._whole(word)
+        out = []
+        for run in _RUNS(word.lower()):
+            found = self.runs.get(run)
+            if found is None:
+                found = self.runs[run] = array("I", [t.id for t in self.model.tokenize(run.translate(self.letters))]).tobytes()
+            out.append(found)
+        return b"".join(out)
 
     def encode_packed(self, texts: list[str]) -> list[bytes]:
         """Little-endian unsigned 32-bit ids of each text."""
-        if len(self.memo) > self.memo_entries:
-            self.memo.clear()
+        for kept in (self.memo, self.runs):
+            if len(kept) > self.memo_entries:
+                kept.clear()
         plain = [None if "\x1c" in t or "\x1d" in t or "\x1e" in t or "\x1f" in t else t.split() for t in texts]
-        new = set(chain.from_iterable(w for w in plain if w)).difference(self.memo)
-        if new:
-            self._learn(list(new))
+        for word in set(chain.from_iterable(w for w in plain if w)).difference(self.memo):
+            self.memo[word] = self._learn(word)
         look = self.memo.__getitem__
         return [self._whole(t) if w is None else b"".join(map(look, w)) for t, w in zip(texts, plain, strict=True)]
 
