@@ -3,7 +3,7 @@
 Of the hashes of a text's word shingles all those below a fixed fraction of the hash range are kept. The
 sketch of a union is the union of the sketches, its size follows the text's, and the share of one sketch in
 another estimates containment however unequal the texts are. A fingerprint is written as the number of
-distinct shingles, a digest of all of them, and the kept hashes in ascending order.
+distinct shingles, a digest of all of them, and 32 bits of each kept hash in ascending order.
 
 Each document is also set against its edited text, which takes the next document's beginning. One range
 exchange by doc_id brings neighbours together; where a partition ends, its last document and the first of
@@ -13,7 +13,6 @@ the next partition that has any are written as boundary records and meet in a sm
 from __future__ import annotations
 
 import hashlib
-import re
 from collections.abc import Iterator
 
 import numpy as np
@@ -39,7 +38,8 @@ class Sketch:
     def of(cls, text: str, words: int = WORDS, scale: int = SCALE) -> Sketch:
         hashes = shingle_hashes(text, words)
         digest = int(hashes.sum(dtype=np.uint64)) if len(hashes) else 0
-        return cls(len(hashes), digest, hashes[hashes < np.uint64((1 << 64) // scale)])
+        high = (hashes[hashes < np.uint64((1 << 64) // scale)] >> np.uint64(32)).astype(np.uint32)  # 32 bits are kept of each
+        return cls(len(hashes), digest, np.unique(high))
 
     def merge(self, other: Sketch) -> Sketch:
         """The sketch of both texts' shingles together; total and digest become those of the kept hashes alone."""
@@ -58,13 +58,16 @@ class Sketch:
         union = len(self.kept) + len(other.kept) - both
         return both / union if union else 0.0
 
+    def __bytes__(self) -> bytes:
+        return self.total.to_bytes(8, "big") + self.digest.to_bytes(8, "big") + self.kept.astype(">u4").tobytes()
+
     def __str__(self) -> str:
-        return f"{self.total:x}:{self.digest:016x}:{self.kept.astype('>u8').tobytes().hex()}"
+        return bytes(self).hex()
 
     @classmethod
     def parse(cls, written: str) -> Sketch:
-        total, digest, kept = re.fullmatch(r"([0-9a-f]+):([0-9a-f]{16}):((?:[0-9a-f]{16})*)", written).groups()
-        return cls(int(total, 16), int(digest, 16), np.frombuffer(bytes.fromhex(kept), ">u8").astype(np.uint64))
+        raw = bytes.fromhex(written)
+        return cls(int.from_bytes(raw[:8], "big"), int.from_bytes(raw[8:16], "big"), np.frombuffer(raw[16:], ">u4").astype(np.uint32))
 
 
 def edited(text: str, following: str) -> str:
@@ -75,10 +78,10 @@ def edited(text: str, following: str) -> str:
 def _row(text: str, own: Sketch, following: str, nxt: Sketch) -> tuple:
     changed = edited(text, following)
     other = own if changed == text else Sketch.of(changed)
-    return len(text), hashlib.sha256(changed.encode()).hexdigest(), str(own), str(other), own.likeness(other), own.likeness(nxt)
+    return len(text), hashlib.sha256(changed.encode()).digest(), bytes(own), bytes(other), own.likeness(other), own.likeness(nxt)
 
 
-_RESULT = "n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
+_RESULT = "n_chars long, edited_sha256 binary, fingerprint binary, edited_fingerprint binary, near_edited double, near_next double"
 _NAMES = [x.split()[0] for x in _RESULT.split(", ")]
 
 
@@ -87,7 +90,7 @@ def _neighbours(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     part, held = TaskContext.get().partitionId(), None
 
     def written(rows: list[tuple]) -> pa.RecordBatch:
-        kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64()]
+        kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.binary(), pa.binary(), pa.binary(), pa.float64(), pa.float64()]
         return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], ["part", "doc_id", "head", "tail", *_NAMES])
 
     for batch in batches:
@@ -131,7 +134,8 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     follow = heads.select("part", F.coalesce(F.lead("part").over(by_part), F.min("part").over(Window.partitionBy())).alias("next_part"))
     last = found.where("tail is not null").select("part", "doc_id", "tail").join(follow, "part")
     pairs = last.join(found.where("head is not null").select(F.col("part").alias("next_part"), "head"), "next_part").select("doc_id", "tail", "head")
-    return found.where("n_chars is not null").select("doc_id", *_NAMES).union(pairs.mapInArrow(_boundaries, f"doc_id long, {_RESULT}"))
+    out = found.where("n_chars is not null").select("doc_id", *_NAMES).union(pairs.mapInArrow(_boundaries, f"doc_id long, {_RESULT}"))
+    return out.withColumns({c: F.lower(F.hex(c)) for c in ("edited_sha256", "fingerprint", "edited_fingerprint")})
 
 
 def op10_scaled_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
