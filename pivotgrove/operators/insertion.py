@@ -120,7 +120,7 @@ def choose_rebuild_range(kids: DataFrame, omega: float, keys: tuple[str, ...] =
     kids: (keys, ordinal, n_points). Running sums give every range of at most t siblings; the least is taken.
     """
     by = Window.partitionBy(*keys)
-    base = kids.select(*keys, "ordinal", "n_points", F.sum("n_points").over(by).alias("total"), F.count("*").over(by).alias("t"), F.sum("n_points").over(by.orderBy("ordinal").rowsBetween(-(1 << 31), 0)).alias("upto"))
+    base = kids.select(*keys, "ordinal", "n_points", F.sum("n_points").over(by).alias("total"), F.count("*").over(by).alias("t"), F.sum("n_points").over(by.orderBy("ordinal").rowsBetween(Window.unboundedPreceding, 0)).alias("upto"))
     bad = base.where(F.col("n_points") >= omega / (F.col("t") - 1) * F.col("total")).groupBy(*keys).agg(F.max_by("ordinal", F.struct("n_points", -F.col("ordinal"))).alias("violator"))
     a = base.select(*keys, F.col("ordinal").alias("i0"), (F.col("upto") - F.col("n_points")).alias("before"), "total", "t")
     b = base.select(*keys, F.col("ordinal").alias("i1"), "upto")

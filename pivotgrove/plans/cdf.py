@@ -134,6 +134,22 @@ def fit_sub_lsq(ecdf: DataFrame, roots: DataFrame, keys: list[str], x: str, l: i
     return dealt.groupBy(*keys, "u").agg(F.regr_slope(F.col("f"), F.col(x)).alias("slope"), F.regr_intercept(F.col("f"), F.col(x)).alias("intercept"), F.count("*").alias("n"))
 
 
+def fill_subs(subs: DataFrame, keys: list[str], l: int) -> DataFrame:  # noqa: E741
+    """subs with a row for every part: one without values spans from its left neighbour's end to its right one's begin."""
+    every = subs.select(*keys).distinct().withColumn("u", F.explode(F.sequence(F.lit(0), F.lit(l - 1))))
+    by = Window.partitionBy(*keys).orderBy("u")
+    left, right = by.rowsBetween(Window.unboundedPreceding, 0), by.rowsBetween(0, Window.unboundedFollowing)
+    out = every.join(subs, [*keys, "u"], "left")
+    seen = {c: (F.last(c, ignorenulls=True).over(left), F.first(c, ignorenulls=True).over(right)) for c in ("xlo", "xhi", "flo", "fhi")}
+    ends = {
+        "xlo": F.coalesce("xlo", seen["xhi"][0], seen["xlo"][1]),
+        "xhi": F.coalesce("xhi", seen["xlo"][1], seen["xhi"][0]),
+        "flo": F.coalesce("flo", seen["fhi"][0], seen["flo"][1]),
+        "fhi": F.coalesce("fhi", seen["flo"][1], seen["fhi"][0]),
+    }
+    return out.select(*keys, "u", *[e.alias(c) for c, e in ends.items()])
+
+
 def predict_cdf(df: DataFrame, roots: DataFrame, subs: DataFrame, keys: list[str], x: str, l: int) -> DataFrame:  # noqa: E741
     """Adds predicted: models are joined by node and part (a few hundred rows a node), parts without values give null."""
     base = df.join(F.broadcast(roots.select(*keys, "alpha", "beta")), keys) if keys else df.crossJoin(F.broadcast(roots.select("alpha", "beta")))
