@@ -742,11 +742,11 @@ def join_interval(spark, sf_dir):
     return relational.interval_join(part, ranges, "p_retailprice", 4.0).groupBy("range_id").agg(F.count("*").alias("n"))
 
 
-@query("as_of_events", "select a.event_id, max(b.event_id) as matched from (select * from events where event_type = 'purchase') a left join (select * from events where event_type = 'click') b on b.ts <= a.ts group by a.event_id")
+@query("as_of_events", "select a.event_id, coalesce(max(b.event_id), -1) as matched from (select * from events where event_type = 'purchase') a left join (select * from events where event_type = 'click') b on b.ts <= a.ts group by a.event_id")
 def as_of_events(spark, sf_dir):
     e = table(spark, sf_dir, "events").select("event_id", "ts", "event_type")
     left, right = e.where("event_type = 'purchase'").drop("event_type"), e.where("event_type = 'click'").select(F.col("event_id").alias("other"), "ts")
-    return relational.as_of_join(left, right, "ts", "ts", "other").select("event_id", "matched")
+    return relational.as_of_join(left, right, "ts", "ts", "other").select("event_id", F.coalesce("matched", F.lit(-1)).alias("matched"))
 
 
 @query("join_nation_report", "select n_name, count(*) as n, round(sum(c_acctbal), 2) as total from customer join nation on c_nationkey = n_nationkey join region on n_regionkey = r_regionkey group by n_name")
