@@ -1,0 +1,97 @@
+"""Embedding near-duplicates and the pipeline against plain Python."""
+
+import collections
+import zlib
+
+import numpy as np
+import pytest
+from pyspark.sql import functions as F
+
+import corpus_pipeline
+from pivotgrove.llm import multi_index
+from pivotgrove.llm.tables import read
+from tests.llm.test_text_operators import base_secrets, brute_components
+
+
+def brute(ids, x, threshold=0.95):
+    unit = x / np.linalg.norm(x, axis=1, keepdims=True)
+    near = unit @ unit.T >= threshold
+    np.fill_diagonal(near, False)
+    root = {i: i for i in ids}
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for a, b in zip(*np.nonzero(near), strict=True):
+        p, q = find(ids[a]), find(ids[b])
+        root[max(p, q)] = min(p, q)
+    return {i: (int(n), find(i)) for i, n in zip(ids, near.sum(1), strict=True)}
+
+
+def test_planted_groups_copies_and_odd_vectors(spark, monkeypatch):
+    monkeypatch.setattr(multi_index, "BLOCK", 16)  # crowded cells become pairs of blocks
+    draw = np.random.default_rng(1)
+    x = draw.normal(size=(300, 16))
+    for g in range(20):
+        x[10 * g : 10 * g + 6] = x[10 * g] + 0.12 * draw.normal(size=(6, 16))
+    x[250:280] = x[249]
+    ids = draw.permutation(300).tolist()
+    rows = [(i, v.tolist(), "clash") for i, v in zip(ids, x, strict=True)]
+    odd = [(900, None, ""), (901, [0.0] * 16, ""), (902, [float("nan")] * 16, ""), (903, [None] * 16, ""), (904, [float("inf")] * 16, ""), (905, [1.0], ""), (906, [], "")]
+    df = spark.createDataFrame([*rows, rows[3], *odd], "vec_id long, embedding array<double>, home string")
+    got = {r.vec_id: r for r in multi_index.near_duplicates(df).collect()}
+    want = brute(ids, x)
+    assert len(got) == 307 and all(got[i].n_links == 0 and got[i].component_id == i and got[i].kept for i, *_ in odd)
+    found, total = sum(got[i].n_links for i in ids), sum(n for n, _ in want.values())
+    assert 0.9 * total <= found <= total and all(got[i].n_links <= want[i][0] for i in ids)
+    assert np.mean([got[i].component_id == want[i][1] for i in ids]) > 0.95
+    assert multi_index.near_duplicates(df.limit(0)).count() == 0
+
+
+def test_traversal_is_in_order():
+    draw = np.random.default_rng(2)
+    a, b = draw.random(9), draw.random(7)
+    order = multi_index.traverse(a, b, 63)
+    sums = [a[c // 7] + b[c % 7] for c in order]
+    assert sorted(order) == list(range(63)) and all(x <= y for x, y in zip(sums, sums[1:], strict=False))
+
+
+@pytest.mark.parametrize("name", [n for n, _ in corpus_pipeline.STAGES[:-1]])
+def test_stages_keep_the_columns(spark, sf_dir, name):
+    docs = read(spark, sf_dir, "documents").withColumn("copies", F.lit(1))
+    out = dict(corpus_pipeline.STAGES)[name](spark, docs, sf_dir)
+    assert out.columns == docs.columns
+    assert dict(corpus_pipeline.STAGES)[name](spark, docs.limit(0), sf_dir).count() == 0
+
+
+def test_near_copy_stage_keeps_one_of_each_group(spark, sf_dir):
+    docs = read(spark, sf_dir, "documents")
+    rows = [(r.doc_id, r.text) for r in docs.collect()]
+    want = {d for d, _, least in brute_components(rows, 5, 80) if d == least}
+    assert {r.doc_id for r in corpus_pipeline.drop_near_copies(spark, docs, sf_dir).collect()} == want
+
+
+def test_secret_stage_masks_all_and_keeps_the_rest(spark, sf_dir):
+    docs = read(spark, sf_dir, "documents")
+    before = {r.doc_id: r.text for r in docs.collect()}
+    after = {r.doc_id: r for r in corpus_pipeline.mask_secrets(spark, docs, sf_dir).collect()}
+    assert set(before) == set(after)
+    for i, t in before.items():
+        spans = base_secrets(t)
+        assert (corpus_pipeline.MASK in after[i].text) == bool(spans) and after[i].n_chars == len(after[i].text)
+        for _, a, b in spans:
+            assert t[a:b] not in after[i].text
+        if not spans:
+            assert after[i].text == t
+
+
+def test_run_packs_what_the_stages_leave(spark, sf_dir):
+    rows = corpus_pipeline.run(spark, sf_dir).collect()
+    by_seq = collections.defaultdict(int)
+    for r in rows:
+        by_seq[r.sequence_id] += r.length
+    assert set(list(by_seq.values())[:-1]) <= {2048, by_seq[max(by_seq)]}
+    assert len({r.doc_id for r in rows}) < read(spark, sf_dir, "documents").count()
+    assert all(0 <= r.ids_crc32 < 2**32 for r in rows) and zlib.crc32(b"") == 0
