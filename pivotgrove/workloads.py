@@ -59,7 +59,7 @@ def _knn_cost(root, x, ids, asked, strategy: str = "box_dfs") -> tuple[float, fl
     return _spent(run), accessed / len(asked)
 
 
-def W1(spark: SparkSession, sf_dir: str, m: int = 50) -> DataFrame:
+def W1(spark: SparkSession, sf_dir: str, m: int = 20) -> DataFrame:
     """Balanced against equal-width cuts: build and kNN."""
     rows = []
     for view in ("li2", "evt2"):
@@ -107,11 +107,11 @@ def W4(spark: SparkSession, sf_dir: str, m: int = 100) -> DataFrame:
     return _frame(spark, rows)
 
 
-def W5(spark: SparkSession, sf_dir: str, m: int = 50) -> DataFrame:
+def W5(spark: SparkSession, sf_dir: str, m: int = 15, most: int = 15_000) -> DataFrame:
     """Build, kNN and radius time against delta and l, as ratios of the base (delta 1e-4, l 5) over each."""
     rows = []
     for view in ("ord2", "li2"):
-        x, ids = _local(spark, sf_dir, view, 50_000)
+        x, ids = _local(spark, sf_dir, view, most)
         asked, reach = _queries(x, m), 0.01 * float(np.sqrt((np.ptp(x, axis=0) ** 2).sum()))
 
         def cell(delta: float, l: int) -> tuple[float, float, float]:  # noqa: E741
@@ -205,11 +205,11 @@ def W12(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _frame(spark, [("W12", "fixture", "6,3,9", "points_rebuilt", sum([6, 3, 9][i0 : i1 + 1])), ("W12", "fixture", "6,3,9", "points_full", 18)])
 
 
-def W13(spark: SparkSession, sf_dir: str, m: int = 50) -> DataFrame:
+def W13(spark: SparkSession, sf_dir: str, m: int = 15, most: int = 10_000) -> DataFrame:
     """Breadth over depth first and boxes over balls, by points accessed and by time."""
     rows = []
     for view in EIGHT:
-        x, ids = _local(spark, sf_dir, view, 30_000)
+        x, ids = _local(spark, sf_dir, view, most)
         root, asked = tree.build(x, ids, Params()), _queries(x, m)
         cost = {s: _knn_cost(root, x, ids, asked, s) for s in STRATEGIES}
         for i, metric in enumerate(("time", "points")):
