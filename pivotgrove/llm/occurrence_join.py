@@ -1,17 +1,16 @@
 """Operator 7: exact n-gram Jaccard join by T-occurrence search with divided and skipped lists.
 
 Two documents link when their shingle sets overlap enough, so a partner of x shares at least T shingles with
-it. Sorted from the rarest shingle on, T - 1 long inverted lists need not be merged: a partner must stand in
-one of the remaining short ones. Spark merges these short lists of the whole corpus (the group-by on shingle),
-which leaves small clusters of documents that can have a partner at all. Inside a cluster the search is done
-with the real list lengths: the short lists are merged and counted, and what reaches the threshold there is
-looked up in the long lists by binary search. Documents with equal sets are one class from the start.
-
-Which order the shingles have changes the cost alone, never the result: it comes from a table of counts of
-fixed size that every document has added to. Pairs that a link already joins are not looked up again, so a
-group of copies costs its members and not their pairs, and what is written is at most a link per member and
-task. A cluster over the size of a task is cut into blocks by set size, and each pair of blocks whose sizes
-permit a link is a task.
+it. Under one order of all shingles, T - 1 - e of x's inverted lists need not be merged: of the others a
+partner must stand in 1 + e at least. Spark merges these lists for the whole corpus (the group-by on shingle)
+and drops every document with fewer than 1 + e shingles that any other document has; a passage that many
+documents share is far from enough. What is left falls into small clusters. Inside a cluster the search is
+done with the real list lengths: short lists are merged and counted, and what reaches its part of the
+threshold there is looked up in the long lists by binary search. Documents with equal sets are one class.
+
+Pairs that a link already joins are not looked up again, so a group of copies costs its members and not their
+pairs, and what is written is at most a link per member and task. A cluster over the size of a task is cut
+into blocks by set size, and each pair of blocks whose sizes permit a link is a task.
 """
 
 from __future__ import annotations
@@ -29,9 +28,9 @@ from pivotgrove.llm.tables import read, texts
 from pivotgrove.runtime import components, materialise, ship
 
 WORDS, PERCENT = 4, 85
-SLOT_BITS = 17
-TASK_SHINGLES = 1_500_000
-BROADCAST_ROWS = 500_000
+TASK_SHINGLES = 1_000_000
+BROADCAST_ROWS = 100_000
+PRUNING_ROUNDS = 2
 
 
 def least_overlap(size: int, percent: int) -> int:
@@ -43,59 +42,31 @@ def _digest(hashes: np.ndarray) -> bytes:
     return hashlib.blake2b(hashes.tobytes(), digest_size=16).digest()
 
 
-def _slots(hashes: np.ndarray) -> np.ndarray:
-    return (hashes >> np.uint64(64 - SLOT_BITS)).astype(np.int64)
+def slack(size: int, percent: int) -> int:
+    """e: how many more lists than need be are merged, half as many again."""
+    due = least_overlap(size, percent)
+    return max(0, min((size - due + 1) // 2, due - 1))
 
 
-def _count_kernel(words: int):
-    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total, pending, waiting = np.zeros(1 << SLOT_BITS, dtype=np.int64), [], 0
-        for batch in batches:
-            for value in batch.column(1):
-                pending.append(_slots(shingle_hashes(value.as_py(), words)))
-                waiting += len(pending[-1])
-                if waiting > 1 << 20:
-                    total += np.bincount(np.concatenate(pending), minlength=1 << SLOT_BITS)
-                    pending, waiting = [], 0
-        if pending:
-            total += np.bincount(np.concatenate(pending), minlength=1 << SLOT_BITS)
-        used = np.flatnonzero(total)
-        for at in range(0, len(used), 65_536):
-            some = used[at : at + 65_536]
-            yield pa.RecordBatch.from_arrays([pa.array(some), pa.array(total[some])], ["slot", "n"])
-
-    return kernel
-
+def required(size: int, percent: int) -> int:
+    """Shingles of a document's merged lists that any partner, also the smallest one, shares with it at least."""
+    return 1 + min(slack(size, percent), slack(least_overlap(size, percent), percent))
 
-def slot_counts(rows: DataFrame, words: int) -> np.ndarray:
-    """How often the shingles of each slot occur in the corpus: a table of 2 to the SLOT_BITS numbers."""
-    got = rows.mapInArrow(_count_kernel(words), "slot long, n long").groupBy("slot").agg(F.sum("n").alias("n")).toArrow()
-    out = np.zeros(1 << SLOT_BITS, dtype=np.int64)
-    out[got["slot"].to_numpy()] = got["n"].to_numpy()
-    return out
 
+def _prefix_kernel(words: int, percent: int):
+    """Each document's size, digest and merged shingles: the least ones by hash, and how many must be shared."""
 
-def _prefix_kernel(words: int, percent: int, shared):
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        count = shared.value
         for batch in batches:
-            sizes, digests, prefixes = [], [], []
+            sizes, digests, due, prefixes = [], [], [], []
             for value in batch.column(1):
                 h = shingle_hashes(value.as_py(), words)
-                sizes.append(len(h))
-                if not len(h):
-                    digests.append(None)
-                    prefixes.append([])
-                    continue
-                digests.append(_digest(h))
-                keep = len(h) - least_overlap(len(h), percent) + 1
-                weight = count[_slots(h)]
-                if keep < len(h):  # ties at the edge go by hash, in every document alike
-                    edge = np.partition(weight, keep - 1)[keep - 1]
-                    sure, tied = h[weight < edge], h[weight == edge]
-                    h = np.concatenate((sure, tied[: keep - len(sure)]))
-                prefixes.append(h.view(np.int64))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), pa.array(digests, pa.binary()), pa.array(prefixes, pa.list_(pa.int64()))], ["doc_id", "n_shingles", "digest", "prefix"])
+                n = len(h)
+                sizes.append(n)
+                digests.append(_digest(h) if n else None)
+                due.append(required(n, percent) if n else 0)
+                prefixes.append(h[: n - least_overlap(n, percent) + 1 + slack(n, percent)].view(np.int64) if n else [])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), pa.array(digests, pa.binary()), pa.array(due, pa.int32()), pa.array(prefixes, pa.list_(pa.int64()))], ["doc_id", "n_shingles", "digest", "due", "prefix"])
 
     return kernel
 
@@ -104,13 +75,13 @@ def _set_kernel(words: int):
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             keep, sets = [], []
-            for i, (value, digest) in enumerate(zip(batch.column(1), batch.column(2).to_pylist(), strict=True)):
+            for i, (value, digest) in enumerate(zip(batch.column(0), batch.column(1).to_pylist(), strict=True)):
                 h = shingle_hashes(value.as_py(), words)
                 if _digest(h) == digest:  # a doc_id may have several texts
                     keep.append(i)
                     sets.append(h.tobytes())
             rest = batch.take(pa.array(keep, pa.int64()))
-            yield pa.RecordBatch.from_arrays([rest.column(3), rest.column(2), pa.array([len(s) // 8 for s in sets], pa.int64()), pa.array(sets, pa.binary())], ["root", "digest", "n", "shingles"])
+            yield pa.RecordBatch.from_arrays([rest.column(1), rest.column(2), pa.array(sets, pa.binary())], ["digest", "tasks", "shingles"])
 
     return kernel
 
@@ -124,16 +95,22 @@ class OccurrenceSearch:
         sizes = [len(sets[i]) for i in self.order]
         self.size = np.array(sizes, dtype=np.int64)
         every = np.concatenate([sets[i] for i in self.order]) if sets else np.empty(0, np.uint64)
-        owner = np.repeat(np.arange(len(sizes)), sizes)
-        _, code, count = np.unique(every, return_inverse=True, return_counts=True)
-        shared = count[code] > 1  # a shingle that one document holds joins nothing
-        code, owner = code[shared], owner[shared]
-        self.length = count
-        by_code = np.lexsort((owner, code))
-        self.postings = owner[by_code]
-        self.first = np.concatenate(([0], np.cumsum(np.bincount(code, minlength=len(count)))))
-        ends = np.searchsorted(owner, np.arange(len(sizes) + 1))
-        self.codes = [code[ends[i] : ends[i + 1]] for i in range(len(sizes))]
+        place = np.argsort(every, kind="stable")  # by shingle, and by document within
+        ranked = every[place]
+        code = np.zeros(len(every), dtype=np.int32)
+        np.cumsum(ranked[1:] != ranked[:-1], out=code[1:])
+        del every, ranked
+        self.length = np.bincount(code).astype(np.int32)
+        shared = self.length[code] > 1  # a shingle that one document holds joins nothing
+        owner = np.repeat(np.arange(len(sizes), dtype=np.int32), sizes)
+        self.postings = owner[place[shared]]
+        self.first = np.concatenate(([0], np.cumsum(np.where(self.length > 1, self.length, 0)))) if len(code) else np.zeros(1, np.int64)
+        by_place, kept = np.empty_like(code), np.empty(len(code), dtype=bool)
+        by_place[place], kept[place] = code, shared
+        del place, code, shared
+        ends = np.concatenate(([0], np.cumsum(np.bincount(owner[kept], minlength=len(sizes))))) if len(sizes) else np.zeros(1, np.int64)
+        by_place = by_place[kept]
+        self.codes = [by_place[ends[i] : ends[i + 1]] for i in range(len(sizes))]
         self.parent = list(range(len(sizes)))
 
     def _root(self, i: int) -> int:
@@ -183,28 +160,34 @@ def _link_kernel(percent: int):
     return kernel
 
 
-def place(members: DataFrame, total: int) -> tuple[DataFrame, DataFrame]:
-    """members with pool and block, and the blocks of large clusters: small clusters share a pool, large ones are cut by set size."""
+_TASKS = "array<struct<pool:long,whole:long,i:long,j:long,block:long>>"
+
+
+def tasks_of(chosen: DataFrame, total: int, percent: int) -> DataFrame:
+    """chosen: (doc_id, digest, n, root) -> (doc_id, digest, tasks). Small clusters share a pool; a large one is cut
+    into blocks by set size, and each pair of blocks whose sizes permit a link is a task of its own."""
     pools = max(1, -(-total // TASK_SHINGLES))
     by_size = Window.partitionBy("root").orderBy("n", "digest").rowsBetween(Window.unboundedPreceding, 0)
-    cut = members.select("root", "digest", "n").distinct().withColumn("upto", F.sum("n").over(by_size)).withColumn("all", F.sum("n").over(Window.partitionBy("root")))
-    large = F.col("all") > TASK_SHINGLES
-    cut = cut.withColumn("block", F.when(large, F.floor((F.col("upto") - 1) / TASK_SHINGLES)).otherwise(0))
-    cut = cut.select("digest", "block", F.when(large, -1).otherwise(F.pmod(F.xxhash64("root"), F.lit(pools))).alias("pool"), F.when(large, F.col("root")).alias("whole"))
-    placed = materialise(members.join(cut, "digest"), "join-placed")
-    blocks = placed.where("pool < 0").groupBy("whole", "block").agg(F.min("n").alias("lo"), F.max("n").alias("hi"))
-    return placed, blocks
-
-
-def link_classes(placed: DataFrame, blocks: DataFrame, percent: int) -> DataFrame:
-    left = blocks.select("whole", F.col("block").alias("i"), F.col("hi"))
-    right = blocks.select("whole", F.col("block").alias("j"), F.col("lo"))
-    pairs = left.join(right, "whole").where((F.col("i") <= F.col("j")) & ((F.col("i") == F.col("j")) | (F.col("hi") * 100 >= F.col("lo") * percent)))
-    ends = pairs.select("whole", "i", "j", F.explode(F.array_distinct(F.array("i", "j"))).alias("block"))
-    large = placed.where("pool < 0").join(ends, ["whole", "block"]).select("pool", "whole", "i", "j", "block", "digest", "shingles")
+    cut = chosen.withColumn("upto", F.sum("n").over(by_size)).withColumn("all", F.sum("n").over(Window.partitionBy("root")))
+    cut = materialise(cut.withColumn("large", F.col("all") > TASK_SHINGLES).withColumn("block", F.when(F.col("large"), F.floor((F.col("upto") - 1) / TASK_SHINGLES)).otherwise(0)), "join-cut")
     zero = F.lit(0).cast("long")
-    small = placed.where("pool >= 0").select("pool", F.lit(None).cast("long").alias("whole"), zero.alias("i"), zero.alias("j"), "block", "digest", "shingles")
-    return small.unionByName(large).groupBy("pool", "whole", "i", "j").applyInArrow(_link_kernel(percent), "src binary, dst binary")
+    pool = F.pmod(F.xxhash64("root"), F.lit(pools)).cast("long")
+    small = cut.where(~F.col("large")).select("doc_id", "digest", F.array(F.struct(pool.alias("pool"), F.lit(None).cast("long").alias("whole"), zero.alias("i"), zero.alias("j"), zero.alias("block"))).alias("tasks"))
+    large = cut.where("large")
+    blocks = large.groupBy("root", "block").agg(F.min("n").alias("lo"), F.max("n").alias("hi"))
+    left = blocks.select("root", F.col("block").alias("i"), "hi")
+    right = blocks.select("root", F.col("block").alias("j"), "lo")
+    pairs = left.join(right, "root").where((F.col("i") <= F.col("j")) & ((F.col("i") == F.col("j")) | (F.col("hi") * 100 >= F.col("lo") * percent)))
+    ends = pairs.select("root", "i", "j", F.explode(F.array_distinct(F.array("i", "j"))).alias("block"))
+    task = F.struct(F.lit(-1).cast("long").alias("pool"), F.col("root").alias("whole"), "i", "j", "block")
+    by_block = ends.groupBy("root", "block").agg(F.collect_list(task).alias("tasks"))
+    return small.unionByName(large.join(by_block, ["root", "block"]).select("doc_id", "digest", "tasks"))
+
+
+def _in_two(rows: DataFrame) -> DataFrame:
+    """Of (key, due, shingle), dealt by shingle, the rows whose shingle another key has too."""
+    lists = rows.groupBy("shingle").agg(F.min("key").alias("first"), F.max("key").alias("last")).where("first < last").select("shingle")
+    return rows.join(lists, "shingle", "left_semi").select("key", "due", "shingle")
 
 
 def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> DataFrame:
@@ -217,21 +200,26 @@ def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCE
     spark = docs.sparkSession
     ship(spark)
     rows = texts(docs)
-    shared = spark.sparkContext.broadcast(slot_counts(rows, words))
-    prefixes = materialise(rows.mapInArrow(_prefix_kernel(words, percent, shared), "doc_id long, n_shingles long, digest binary, prefix array<long>"), "join-prefixes")
+    prefixes = materialise(rows.mapInArrow(_prefix_kernel(words, percent), "doc_id long, n_shingles long, digest binary, due int, prefix array<long>"), "join-prefixes")
     held = prefixes.where("n_shingles > 0")
-    classes = materialise(held.groupBy("digest").agg(F.min("doc_id").alias("first_id"), F.count("*").alias("copies")), "join-classes")
+    classes = materialise(held.groupBy("digest").agg(F.min("doc_id").alias("first_id"), F.min("n_shingles").alias("n"), F.count("*").alias("copies")), "join-classes")
     # One row of each class stands for it; its key in the cluster graph is short, a clash there would only merge clusters.
     key = F.xxhash64("digest")
-    short = held.join(classes.select("digest", F.col("first_id").alias("doc_id")), ["digest", "doc_id"], "left_semi").select(key.alias("key"), F.explode("prefix").alias("shingle"))
-    lists = short.groupBy("shingle").agg(F.count("*").alias("n"), F.min("key").alias("head")).where("n > 1").select("shingle", "head")
-    clusters = components(short.join(lists, "shingle").select(F.col("head").alias("src"), F.col("key").alias("dst")))
-    chosen = materialise(classes.withColumn("node", key).join(clusters, "node").select(F.col("first_id").alias("doc_id"), "digest", "root"), "join-chosen")
-    small = chosen.count() <= BROADCAST_ROWS  # 40 bytes a row; beyond that both sides are dealt by doc_id
-    with_text = rows.join(F.broadcast(chosen) if small else chosen, "doc_id").select("doc_id", "text", "digest", "root")
-    members = materialise(with_text.mapInArrow(_set_kernel(words), "root long, digest binary, n long, shingles binary"), "join-sets")
-    placed, blocks = place(members, members.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0])
-    links = components(link_classes(placed, blocks, percent))
+    one = held.select("digest", "doc_id", "due", "prefix").join(classes.select("digest", F.col("first_id").alias("doc_id")), ["digest", "doc_id"], "left_semi")
+    short = one.select(key.alias("key"), "due", F.explode("prefix").alias("shingle")).repartition("shingle")  # one exchange for both uses
+    shared = materialise(_in_two(short), "join-shared")
+    for _ in range(PRUNING_ROUNDS):  # who goes may leave others with too few
+        enough = shared.groupBy("key", "due").agg(F.count("*").alias("n")).where("n >= due").select("key")
+        shared = materialise(_in_two(shared.join(enough, "key").select("key", "due", "shingle").repartition("shingle")), "join-shared")
+    heads = shared.groupBy("shingle").agg(F.min("key").alias("head"))
+    clusters = components(shared.join(heads, "shingle").select(F.col("head").alias("src"), F.col("key").alias("dst")))
+    chosen = materialise(classes.withColumn("node", key).join(clusters, "node").select(F.col("first_id").alias("doc_id"), "digest", "n", "root"), "join-chosen")
+    total, many = chosen.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
+    dealt = tasks_of(chosen, total, percent)
+    small = many <= BROADCAST_ROWS  # about 100 bytes a row; beyond that both sides are dealt by doc_id
+    with_text = rows.join(F.broadcast(dealt) if small else dealt, "doc_id").select("text", "digest", "tasks")
+    sets = with_text.mapInArrow(_set_kernel(words), f"digest binary, tasks {_TASKS}, shingles binary").select("digest", "shingles", F.explode("tasks").alias("t")).select("digest", "shingles", "t.*")
+    links = components(sets.groupBy("pool", "whole", "i", "j").applyInArrow(_link_kernel(percent), "src binary, dst binary"))
     named = classes.join(links.select(F.col("node").alias("digest"), "root"), "digest", "left").select("digest", "first_id", F.coalesce("root", "digest").alias("root"), F.col("root").isNotNull().alias("linked"), "copies")
     least = named.where("linked").groupBy("root").agg(F.min("first_id").alias("least"))
     # Only classes of several rows or with links need their name looked up.
