@@ -122,7 +122,8 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled:
     known = known.groupBy("doc_id").agg(F.max("label").alias("label")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_labelled)
     rows = texts(docs).join(F.broadcast(known), "doc_id").select("doc_id", "text", "label").mapInArrow(_term_kernel, "doc_id long, label int, terms array<int>")
     got = rows.toArrow().sort_by([("doc_id", "ascending"), ("label", "ascending")])
-    values = [np.asarray(x, dtype=np.int64) for x in got["terms"].to_pylist()]
+    lists = got["terms"].combine_chunks()
+    values = np.split(np.asarray(lists.flatten()), np.cumsum(np.asarray(lists.value_lengths()))[:-1]) if len(lists) else []
     known_labels = got["label"].to_numpy().astype(float)
     return FactorisationMachine.over(values, known_labels).fit(values, known_labels)
 
