@@ -3,9 +3,10 @@
 Every word has a class: the commonest words one each, the others one of a fixed number by their ending. The
 model predicts the class from the classes before it: their vectors, weighted by position, add up to a
 predicted vector, whose products with the class vectors are the scores. It is trained in numpy against noise
-from the corpus's class frequencies, on whole documents of a bounded sample; the counts behind the noise, the
-biases and the words' shares of their classes cover every training document. A text's probability is
-normalised: batched matrix products give every class's score at every token, a word's share of its class is
+from the corpus's class frequencies, on every training document: in each pass every partition moves a copy of
+the model over its own documents, and the copies' averages, weighted by tokens, are where the next pass begins.
+The counts behind the noise, the biases and the words' shares of their classes cover every training document
+too. A text's probability is normalised: batched matrix products give every class's score at every token, a word's share of its class is
 its smoothed count, and each class keeps half a count for words that training lacks.
 
 Counts of common words, up to a fixed number, go to every task as two arrays. Rarer words leave the scoring
@@ -30,8 +31,9 @@ from pivotgrove.runtime import materialise, ship
 WORD_CLASSES, ENDING_CLASSES = 128, 127
 CONTEXT, WIDTH = 6, 16
 COMMON_WORDS = 500_000  #: words whose counts every task holds, at most
-SAMPLE_DOCS = 3_000  #: training documents, whole, that the class vectors are fitted on, about
 EPOCHS, BATCH, NOISE, RATE, SEED = 3, 1024, 10, 0.15, 5
+LANES, DRAWN = 16, 64  #: runs of tokens in a batch, and noise classes that it draws
+MERGED = 256  #: copies of the model that one task adds up
 END = np.uint64(0xE9D)  #: stands for the end of a text
 _FLUSH = 1 << 22
 
@@ -99,37 +101,52 @@ class LogBilinear:
         draw = np.random.default_rng(seed)
         return cls(draw.normal(0, 0.1, (len(share) + 1, WIDTH)), np.ones((CONTEXT, WIDTH)) / CONTEXT, draw.normal(0, 0.1, (len(share), WIDTH)), np.log(share))
 
-    def fit(self, context: np.ndarray, target: np.ndarray, share: np.ndarray, epochs: int = EPOCHS, seed: int = SEED) -> LogBilinear:
-        """Tell each token from NOISE tokens drawn by share; Adagrad over batches."""
+    def arrays(self) -> list[np.ndarray]:
+        return [self.before, self.weight, self.after, self.bias]
+
+    def fit(self, documents: list[np.ndarray], share: np.ndarray, square: list[np.ndarray], seed: int = SEED) -> LogBilinear:
+        """One pass that tells each token from NOISE tokens drawn by share; Adagrad over batches, square its sums.
+
+        A batch is LANES runs of tokens from distant places of the shuffled documents. Its tokens share DRAWN
+        drawn classes, which together count as NOISE for each token.
+        """
         draw = np.random.default_rng(seed)
+        none = np.full(CONTEXT, len(share))  # stands before every document, and is no target
+        stream = np.concatenate([x for i in draw.permutation(len(documents)) for x in (none, documents[i])])
+        wide = -(-len(stream) // LANES)
+        stream = np.concatenate((none, stream, np.full(wide * LANES - len(stream), len(share))))
+        lanes = stream[(np.arange(LANES) * wide)[:, None] + np.arange(wide + CONTEXT)]
         cumulated, log_noise = np.cumsum(share), np.log(NOISE * share)
-        square = [np.full(x.shape, 1e-3) for x in (self.before, self.weight, self.after, self.bias)]
-
-        def move(x: np.ndarray, s: np.ndarray, g: np.ndarray) -> None:
-            s += g * g
-            x -= RATE * g / np.sqrt(s)
-
-        for _ in range(epochs):
-            order = draw.permutation(len(target))
-            for lo in range(0, len(order), BATCH):
-                at = order[lo : lo + BATCH]
-                c = context[at]
-                seen = self.before[c]
-                guess = (seen * self.weight).sum(1)
-                w = np.concatenate((target[at][:, None], np.minimum(np.searchsorted(cumulated, draw.random((len(at), NOISE)) * cumulated[-1]), len(share) - 1)), axis=1)
-                q = self.after[w]
-                z = np.einsum("bd,bkd->bk", guess, q) + self.bias[w] - log_noise[w]
-                gap = 1 / (1 + np.exp(-np.clip(z, -30, 30)))
-                gap[:, 0] -= 1
-                gap /= len(at)
-                g_guess = np.einsum("bk,bkd->bd", gap, q)
-                g_after, g_bias, g_before = np.zeros_like(self.after), np.bincount(w.ravel(), gap.ravel(), len(share)), np.zeros_like(self.before)
-                for d in range(WIDTH):
-                    g_after[:, d] = np.bincount(w.ravel(), (gap * guess[:, d : d + 1]).ravel(), len(share))
-                    g_before[:, d] = np.bincount(c.ravel(), (g_guess[:, d : d + 1] * self.weight[:, d]).ravel(), len(share) + 1)
-                g_weight = np.einsum("bd,bcd->cd", g_guess, seen)
-                for x, s, g in zip((self.before, self.weight, self.after, self.bias), square, (g_before, g_weight, g_after, g_bias), strict=True):
-                    move(x, s, g)
+        at_width = np.arange(WIDTH)
+        for lo in range(0, wide, BATCH // LANES):
+            c = lanes[:, lo : lo + BATCH // LANES + CONTEXT]
+            target = c[:, CONTEXT:]
+            run, real = target.shape[1], target.ravel() < len(share)
+            if not real.any():
+                continue
+            w, each = np.where(real, target.ravel(), 0), (real / real.sum()).astype(np.float32)
+            k = np.minimum(np.searchsorted(cumulated, draw.random(DRAWN) * cumulated[-1]), len(share) - 1)
+            seen, weight = self.before.astype(np.float32).take(c, 0), self.weight.astype(np.float32)
+            back = [slice(CONTEXT - 1 - i, CONTEXT - 1 - i + run) for i in range(CONTEXT)]  # the tokens i + 1 before the targets
+            guess = sum(seen[:, x] * v for x, v in zip(back, weight, strict=True)).reshape(-1, WIDTH)
+            after, bias = self.after.astype(np.float32), (self.bias - log_noise).astype(np.float32)
+            q = after.take(w, 0)
+            own = (1 / (1 + np.exp(-np.clip(np.einsum("bd,bd->b", guess, q) + bias.take(w), -30, 30))) - 1) * each
+            z = np.clip(guess @ after[k].T + bias[k], -30, 30)
+            gap = each[:, None] * np.float32(NOISE / DRAWN) / (1 + np.exp(-z))
+            g_guess = own[:, None] * q + gap @ after[k]
+            g_after = np.bincount((w[:, None] * WIDTH + at_width).ravel(), (own[:, None] * guess).ravel(), self.after.size).reshape(self.after.shape)
+            np.add.at(g_after, k, (gap.T @ guess).astype(float))
+            g_bias = np.bincount(w, own, len(share)) + np.bincount(k, gap.sum(0), len(share))
+            g_guess = g_guess.reshape(LANES, run, WIDTH)
+            g_seen = np.zeros(seen.shape, np.float32)
+            for x, v in zip(back, weight, strict=True):
+                g_seen[:, x] += g_guess * v
+            g_before = np.bincount((c.reshape(-1, 1) * WIDTH + at_width).ravel(), g_seen.ravel(), self.before.size).reshape(self.before.shape)
+            g_weight = np.stack([np.einsum("lrd,lrd->d", g_guess, seen[:, x]) for x in back]).astype(float)
+            for x, s, g in zip(self.arrays(), square, (g_before, g_weight, g_after, g_bias), strict=True):
+                s += g * g
+                x -= RATE * g / np.sqrt(s)
         return self
 
     def log_probabilities(self, context: np.ndarray, target: np.ndarray, block: int = 2048) -> np.ndarray:
@@ -164,21 +181,11 @@ def contexts(classes: np.ndarray, starts: np.ndarray) -> np.ndarray:
     return out
 
 
-def _class_kernel(shared):
-    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            got = []
-            for value in batch.column(1):
-                text = value.as_py()
-                got.append(shared.value.look_up(token_hashes(text), ending_classes(text))[0].astype("<i2").tobytes())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(got, pa.binary())], ["doc_id", "classes"])
-
-    return kernel
-
+def _class_kernel(shared, base_total: float):
+    """What one reading of a text gives: the classes of its tokens, sums over its words' counts, and its rarer words."""
 
-def _score_kernel(shared, base_total: float):
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        classes, model = shared.value
+        classes = shared.value
         share = np.log10(classes.total + 0.5 * (classes.distinct + 1))
         part, row = TaskContext.get().partitionId(), 0
         for batch in batches:
@@ -196,19 +203,105 @@ def _score_kernel(shared, base_total: float):
                 of, count = classes.look_up(h, endings)
                 common = count >= 0
                 own = np.where(common, np.log10(np.maximum(count, 0) + 0.5), 0.0)
-                by_class = model.log_probabilities(contexts(of, starts), of) / np.log(10) - share[of]
                 base = np.add.reduceat(own, starts) - n * base_total
-                score = np.add.reduceat(own + by_class, starts)
+                inside = np.add.reduceat(own - share[of], starts)
                 known = np.add.reduceat((common & (count > 0)).astype(np.int64), starts)
-                rare = []
+                narrow, rare, written = of.astype("<i2"), [], []
                 for lo, size in zip(starts.tolist(), n.tolist(), strict=True):
                     some = h[lo : lo + size][~common[lo : lo + size]]
                     word, times = np.unique(some, return_counts=True)
                     rare.append([{"word": w, "times": t} for w, t in zip(word.view(np.int64).tolist(), times.tolist(), strict=True)])
+                    written.append(narrow[lo : lo + size].tobytes())
                 rows = np.arange(row, row + len(n)) + (part << 40)
                 row += len(n)
                 kind = pa.list_(pa.struct([("word", pa.int64()), ("times", pa.int64())]))
-                yield pa.RecordBatch.from_arrays([pa.array(rows), batch.column(0).slice(begun, at - begun), pa.array(n), pa.array(known), pa.array(base), pa.array(score), pa.array(rare, kind)], ["row", "doc_id", "n_tokens", "known", "base", "score", "rare"])
+                whole = batch.slice(begun, at - begun)
+                yield pa.RecordBatch.from_arrays([pa.array(rows), whole.column(0), whole.column(2), pa.array(n), pa.array(known), pa.array(base), pa.array(inside), pa.array(rare, kind), pa.array(written, pa.binary())], ["row", "doc_id", "held_out", "n_tokens", "known", "base", "inside", "rare", "classes"])
+
+    return kernel
+
+
+def _joined(lists: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """(classes of all, where each begins)."""
+    n = np.array([len(x) // 2 for x in lists])
+    return np.frombuffer(b"".join(lists), "<i2").astype(np.int64), np.concatenate(([0], np.cumsum(n)[:-1]))
+
+
+def _fit_kernel(shared, share: np.ndarray, turn: int):
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        model, square = shared.value
+        model, square = LogBilinear(*[x.copy() for x in model.arrays()]), [x.copy() for x in square]
+        part, tokens, held, waiting = TaskContext.get().partitionId(), 0, [], 0
+
+        def learn() -> None:
+            model.fit([np.frombuffer(x, "<i2").astype(np.int64) for x in held], share, square, hash((SEED, turn, part, tokens)) & 0x7FFFFFFF)
+
+        for batch in batches:
+            for value in batch.column(0):
+                held.append(value.as_py())
+                waiting += len(held[-1]) // 2
+                if waiting >= 500_000:
+                    learn()
+                    tokens, held, waiting = tokens + waiting, [], 0
+        if held:
+            learn()
+            tokens += waiting
+        if tokens:
+            both = np.concatenate([x.ravel() for x in (*model.arrays(), *square)])
+            yield pa.RecordBatch.from_arrays([pa.array([part]), pa.array([tokens]), pa.array([(tokens * both).tobytes()], pa.binary())], ["part", "tokens", "model"])
+
+    return kernel
+
+
+def _merge_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Copies of the model, already times their tokens, added up in the order they come."""
+    first, tokens, total = 0, 0, None
+    for batch in batches:
+        for part, n, model in zip(*(x.to_pylist() for x in batch.columns), strict=True):
+            value = np.frombuffer(model)
+            first, total = (part, value.copy()) if total is None else (first, total + value)
+            tokens += n
+    if total is not None:
+        yield pa.RecordBatch.from_arrays([pa.array([first]), pa.array([tokens]), pa.array([total.tobytes()], pa.binary())], ["part", "tokens", "model"])
+
+
+def train(encoded: DataFrame, share: np.ndarray, epochs: int = EPOCHS) -> tuple[LogBilinear, int]:
+    """The model after so many passes over every training row of encoded, and the tokens of each pass."""
+    spark = encoded.sparkSession
+    model, tokens = LogBilinear.start(share), 0
+    square = [np.full(x.shape, 1e-3) for x in model.arrays()]
+    training = encoded.where(~F.col("held_out")).select("classes")
+    kind = "part long, tokens long, model binary"
+    groups = max(1, training.rdd.getNumPartitions() // MERGED)
+    for turn in range(epochs):
+        copies = training.mapInArrow(_fit_kernel(spark.sparkContext.broadcast((model, square)), share, turn), kind)
+        dealt = copies.repartition(groups, F.floor(F.col("part") / MERGED)).sortWithinPartitions("part")
+        got = dealt.mapInArrow(_merge_kernel, kind).toArrow().sort_by("part")
+        tokens = sum(got["tokens"].to_pylist())
+        if not tokens:
+            break
+        both = sum(np.frombuffer(x) for x in got["model"].to_pylist()) / tokens
+        shapes = [x.shape for x in model.arrays()]
+        cuts = np.cumsum([int(np.prod(x)) for x in shapes * 2])[:-1]
+        new = [x.reshape(shape) for x, shape in zip(np.split(both, cuts), shapes * 2, strict=True)]
+        model, square = LogBilinear(*new[:4]), new[4:]
+    return model, tokens
+
+
+def _score_kernel(shared):
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            at, lists, score = 0, batch.column(1).to_pylist(), []
+            while at < len(lists):
+                begun, tokens = at, 0
+                while at < len(lists) and (tokens < 200_000 or at == begun):
+                    tokens += len(lists[at]) // 2
+                    at += 1
+                of, starts = _joined(lists[begun:at])
+                score.append(np.add.reduceat(shared.value.log_probabilities(contexts(of, starts), of) / np.log(10), starts))
+            keep = [batch.column(i) for i in (0, *range(2, batch.num_columns))]
+            names = [batch.schema.names[i] for i in (0, *range(2, batch.num_columns))]
+            yield pa.RecordBatch.from_arrays([*keep, pa.array(np.concatenate(score) if score else np.empty(0))], [*names, "by_class"])
 
     return kernel
 
@@ -247,42 +340,34 @@ def fit_classes(counts: DataFrame, common_words: int = COMMON_WORDS) -> tuple[Cl
     return Classes(words, c, of, total, distinct), least
 
 
-def score_texts(docs: DataFrame, sample_docs: int = SAMPLE_DOCS, common_words: int = COMMON_WORDS) -> DataFrame:
+def score_texts(docs: DataFrame, common_words: int = COMMON_WORDS) -> DataFrame:
     """Per row of docs: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score.
 
-    Learns from rows whose crc32(doc_id as text) mod 5 is not 1 (a null doc_id is such a row). A null or empty
-    text is its end alone. Repeated rows are counted and scored each, an empty table gives no rows, other
-    columns are ignored; without a training row every count is 0 and the model is flat.
+    Learns from all rows whose crc32(doc_id as text) mod 5 is not 1 (a null doc_id is such a row). A null or
+    empty text is its end alone. Repeated rows are counted and scored each, an empty table gives no rows, other
+    columns are ignored; without a training row every count is 0 and the model is flat. The class vectors, and
+    so score, depend a little on how the rows lie in partitions.
     """
     spark = docs.sparkSession
     ship(spark)
     held_out = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 1, F.lit(False))
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    training = rows.where(~held_out)
-    counts = count_words(training)
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text")).withColumn("held_out", held_out)
+    counts = count_words(rows.where(~F.col("held_out")))
     train_tokens, distinct = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count("*")).first()
     classes, least = fit_classes(counts, common_words)
     share = (classes.total + 0.5 * (classes.distinct + 1)) / (classes.total + 0.5 * (classes.distinct + 1)).sum()
-    n_training = int(classes.total[0])
-    per = max(1, round(n_training / sample_docs))
-    sample = training.where(F.pmod(F.xxhash64("doc_id", F.lit(SEED)), F.lit(per)) == 0)
-    got = sample.mapInArrow(_class_kernel(spark.sparkContext.broadcast(classes)), "doc_id long, classes binary").toArrow().sort_by("doc_id")
-    lists = [np.frombuffer(x.as_py(), "<i2").astype(np.int64) for x in got["classes"]]
-    model = LogBilinear.start(share)
-    if lists:
-        of = np.concatenate(lists)
-        model.fit(contexts(of, np.concatenate(([0], np.cumsum([len(x) for x in lists])[:-1]))), of, share)
-    shared = spark.sparkContext.broadcast((classes, model))
     base_total = float(np.log10(train_tokens + 0.5 * (distinct + 1)))
-    kernel = _score_kernel(shared, base_total)
-    kind = "row long, doc_id long, n_tokens long, known long, base double, score double, rare array<struct<word:long,times:long>>"
-    scored = materialise(rows.mapInArrow(kernel, kind), "lm-scored")
-    rare = scored.select("row", F.explode("rare").alias("r")).select("row", "r.word", "r.times").join(counts.where(F.col("c") < least).select("word", "c"), "word", "left")
+    kind = "row long, doc_id long, held_out boolean, n_tokens long, known long, base double, inside double, rare array<struct<word:long,times:long>>"
+    encoded = materialise(rows.mapInArrow(_class_kernel(spark.sparkContext.broadcast(classes), base_total), f"{kind}, classes binary"), "lm-classes")
+    model, _ = train(encoded, share)
+    by_class = encoded.select("row", "classes", "doc_id", "held_out", "n_tokens", "known", "base", "inside").mapInArrow(_score_kernel(spark.sparkContext.broadcast(model)), kind[: kind.index(", rare")] + ", by_class double")
+    scored = by_class.withColumn("score", F.col("inside") + F.col("by_class"))
+    rare = encoded.select("row", F.explode("rare").alias("r")).select("row", "r.word", "r.times").join(counts.where(F.col("c") < least).select("word", "c"), "word", "left")
     c = F.coalesce("c", F.lit(0))
     late = rare.groupBy("row").agg(F.sum(F.col("times") * F.log10(c + 0.5)).alias("more"), F.sum(F.when(c > 0, F.col("times")).otherwise(0)).alias("seen"))
     more, seen = F.coalesce("more", F.lit(0.0)), F.coalesce("seen", F.lit(0))
-    out = scored.drop("rare").join(late, "row", "left")
-    return out.select("doc_id", held_out.alias("held_out"), "n_tokens", (F.col("known") + seen).alias("n_known"), F.lit(train_tokens).cast("long").alias("train_tokens"), (F.col("base") + more).alias("base_score"), (F.col("score") + more).alias("score"))
+    out = scored.join(late, "row", "left")
+    return out.select("doc_id", "held_out", "n_tokens", (F.col("known") + seen).alias("n_known"), F.lit(train_tokens).cast("long").alias("train_tokens"), (F.col("base") + more).alias("base_score"), (F.col("score") + more).alias("score"))
 
 
 def op2_log_bilinear_scores(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -13,6 +13,7 @@ import public_tokenizers as PT
 import pytest
 import sentencepiece
 import tiktoken
+from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from tokenizers import Tokenizer
 
@@ -267,6 +268,22 @@ def test_language_model(both):
             assert score > base
 
 
+def test_every_training_document_moves_the_model(spark):
+    # The turning documents are those that a hash sample of a third of these 9,000 would leave out.
+    left_out = spark.range(11_250).where("crc32(cast(id as string)) % 5 != 1 and pmod(xxhash64(id, 5), 3) != 0").orderBy("id").limit(150)
+    turning = left_out.union(spark.range(11_250, 12_000).where("crc32(cast(id as string)) % 5 = 1")).withColumn("text", F.repeat(F.lit("red green blue grey "), 15))
+    plain = spark.range(11_250).join(turning, "id", "left_anti").withColumn("text", F.concat_ws(" ", *[F.concat(F.lit("w"), F.pmod(F.xxhash64("id", F.lit(i)), F.lit(40)).cast("string")) for i in range(8)]))
+    rows = turning.union(plain).withColumnRenamed("id", "doc_id").repartition(3)
+    got = [r for r in bilinear_lm.score_texts(rows).collect() if r.held_out and r.doc_id >= 11_250]
+    assert len(got) > 20 and np.mean([(r.score - r.base_score) / r.n_tokens for r in got]) > 0.6
+
+
+def test_training_reads_all_tokens(spark):
+    rows = spark.range(4_000).select(F.col("id").alias("row"), (F.col("id") % 4 == 0).alias("held_out"), F.lit(b"\x01\x00\x02\x00\x00\x00").alias("classes"))
+    model, tokens = bilinear_lm.train(rows.repartition(5), np.full(bilinear_lm.N_CLASSES, 1 / bilinear_lm.N_CLASSES))
+    assert tokens == 3 * 3_000 and all(np.isfinite(x).all() for x in model.arrays())
+
+
 def test_model_probabilities_add_up_to_one():
     model = bilinear_lm.LogBilinear.start(np.full(bilinear_lm.N_CLASSES, 1 / bilinear_lm.N_CLASSES))
     context = np.random.default_rng(0).integers(0, bilinear_lm.N_CLASSES, (1, bilinear_lm.CONTEXT))
