@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pivotgrove.llm import occurrence_join, packing, secrets, toxicity
@@ -15,18 +15,36 @@ MASK = "[secret]"
 NEAR_WORDS, NEAR_PERCENT = 5, 80
 
 
+#: From here on lie the stand-ins for null doc_ids: the hash of the text, above every other id.
+NO_ID = 1 << 62
+
+
+def identity(text_hash: Column) -> Column:
+    """The doc_id; where it is null, a stand-in from the text alone: rows without an id are one only if they say the same."""
+    return F.coalesce(F.col("doc_id").cast("long"), F.shiftrightunsigned(text_hash, 2) + F.lit(NO_ID))
+
+
+def text_hash() -> Column:
+    return F.xxhash64(F.coalesce("text", F.lit("")))
+
+
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the factorisation machine calls toxic go. Repeated doc_ids go together, any of them toxic."""
-    judged = toxicity.toxicity(docs, read(spark, sf_dir, "labels"))
-    toxic = judged.where("predicted = 1").select("doc_id").distinct()
-    return docs.join(toxic, "doc_id", "left_anti").select(docs.columns)
+    """Documents that the factorisation machine calls toxic go. Repeated doc_ids go together, any of them toxic; without one a text goes by itself."""
+    judged = toxicity.score(docs, toxicity.fit(docs, read(spark, sf_dir, "labels")), keyed=True)
+    toxic = judged.where("predicted = 1").select(identity(F.col("row_key")).alias("_identity")).distinct()
+    return docs.withColumn("_identity", identity(text_hash())).join(toxic, "_identity", "left_anti").select(docs.columns)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group that links join, the document of smallest doc_id stays (all its rows, should the id repeat)."""
-    judged = occurrence_join.jaccard_components(docs, NEAR_WORDS, NEAR_PERCENT)
-    gone = judged.where("component_id != doc_id").select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(docs.columns)
+    """Of each group that links join, the document of smallest doc_id stays (all its rows, should the id repeat).
+
+    Rows without a doc_id come after all others, and of equal texts among them one stays.
+    """
+    named = docs.withColumn("_identity", identity(text_hash()))
+    judged = occurrence_join.jaccard_components(named.select(F.col("_identity").alias("doc_id"), "text"), NEAR_WORDS, NEAR_PERCENT)
+    gone = judged.where("component_id != doc_id").select(F.col("doc_id").alias("_identity")).distinct()
+    left = named.join(gone, "_identity", "left_anti")
+    return left.where("doc_id is not null").union(left.where("doc_id is null").dropDuplicates(["_identity"])).select(docs.columns)
 
 
 def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -41,8 +59,9 @@ def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
             F.concat(F.slice(out, 1, F.size(out) - 1), F.array(F.struct(F.try_element_at(out, F.lit(-1))["start"].alias("start"), F.greatest(F.try_element_at(out, F.lit(-1))["end"], x["end"]).alias("end")))),
         ).otherwise(F.concat(out, F.array(F.struct(x["start"].alias("start"), x["end"].alias("end"))))),
     )
-    spans = found.groupBy("doc_id").agg(F.first("found").alias("found")).select("doc_id", spans.alias("spans"))
-    joined = docs.join(spans, "doc_id", "left")
+    # The spans belong to a text: rows that share a doc_id, or have none, are told apart by its hash.
+    spans = found.groupBy("doc_id", "row_key").agg(F.first("found").alias("found")).select(F.col("doc_id").alias("_doc_id"), "row_key", spans.alias("spans"))
+    joined = docs.join(spans, F.col("doc_id").cast("long").eqNullSafe(F.col("_doc_id")) & (text_hash() == F.col("row_key")), "left")
     masked = F.aggregate(
         "spans",
         F.struct(F.lit(0).cast("long").alias("at"), F.lit("").alias("out")),

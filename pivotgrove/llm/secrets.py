@@ -53,6 +53,7 @@ def _places(text: Column, kind: str) -> Column:
 def candidates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", repository: str = "source", owner: str | None = None) -> DataFrame:
     """(doc_id, row_key, repository, owner, found): found lists the places of every shape, a null text has none.
 
+    The row_key is the hash of a text with candidates or without a doc_id, else 0: with the doc_id it names the text.
     Without an owner column the owner is the repository's name before its first slash.
     """
     body = F.coalesce(F.col(text), F.lit(""))
@@ -60,7 +61,7 @@ def candidates(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", repo
     who = F.coalesce(F.col(owner).cast("string"), F.lit("")) if owner else F.split_part(repo, F.lit("/"), F.lit(1))
     base = docs.select(F.col(doc_id).cast("long").alias("doc_id"), body.alias("text"), repo.alias("repository"), who.alias("owner"))
     found = F.concat(*[_places(F.col("text"), k) for k in KINDS])
-    key = F.when(F.size("found") > 0, F.xxhash64("text")).otherwise(F.lit(0).cast("long"))
+    key = F.when((F.size("found") > 0) | F.col("doc_id").isNull(), F.xxhash64("text")).otherwise(F.lit(0).cast("long"))
     return base.withColumn("found", found).select("doc_id", key.alias("row_key"), "repository", "owner", "found")
 
 
@@ -74,10 +75,10 @@ def ownership(found: DataFrame) -> DataFrame:
 
 
 def find_secrets(docs: DataFrame, max_owners: int = MAX_OWNERS, doc_id: str = "doc_id", text: str = "text", repository: str = "source", owner: str | None = None) -> DataFrame:
-    """Per row of docs: doc_id, n_assign, n_access, n_hex, base_sha256, spans, n_live, n_copied, and `found`.
+    """Per row of docs: doc_id, n_assign, n_access, n_hex, base_sha256, spans, n_live, n_copied, `found` and row_key.
 
     `found` holds every span with its verdict. A null or empty text has none (and the hash of no bytes).
-    Repeated rows get equal results, an empty table gives no rows, other columns are ignored, a repository or
+    Repeated rows get equal results, rows that share a doc_id or have none their own text's, an empty table gives no rows, other columns are ignored, a repository or
     owner that is null counts as the empty name. Texts of any length are read whole.
     """
     scanned = materialise(candidates(docs, doc_id, text, repository, owner), "secret-candidates")
@@ -87,28 +88,32 @@ def find_secrets(docs: DataFrame, max_owners: int = MAX_OWNERS, doc_id: str = "d
     salted = owned.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
     judged = each.withColumn("salt", F.pmod(F.xxhash64("doc_id", "start"), F.lit(SALTS)).cast("int")).join(salted, ["value_hash", "salt"])
     by_row = judged.groupBy("doc_id", "row_key").agg(F.array_sort(F.collect_list(F.struct("start", "kind", "end", "copied"))).alias("judged"))
-    out = scanned.select("doc_id", "row_key").join(by_row, ["doc_id", "row_key"], "left")
+    rows, by_row = scanned.select("doc_id", "row_key").alias("r"), by_row.alias("b")
+    same = F.col("r.doc_id").eqNullSafe(F.col("b.doc_id")) & (F.col("r.row_key") == F.col("b.row_key"))
+    out = rows.join(by_row, same, "left").select("r.doc_id", "r.row_key", "b.judged")
     none = F.array().cast("array<struct<start:bigint,kind:int,end:bigint,copied:boolean>>")
-    out = out.select("doc_id", F.coalesce("judged", none).alias("judged"))
+    out = out.select("doc_id", "row_key", F.coalesce("judged", none).alias("judged"))
     base = F.filter("judged", lambda x: x["kind"] < 3)
     # A broader span counts when few own it and no base span holds it.
     more = F.filter("judged", lambda x: (x["kind"] < 3) | (~x["copied"] & ~F.exists(base, lambda b: (b["start"] < x["end"]) & (x["start"] < b["end"]))))
     names = F.array(*[F.lit(k) for k in KINDS])
     written = lambda spans: F.array_join(F.transform(spans, lambda x: F.concat_ws(":", F.element_at(names, x["kind"] + 1), x["start"].cast("string"), x["end"].cast("string"))), ",")
+    of_kind = lambda i: lambda x: x["kind"] == i  # noqa: E731 (a second parameter of the inner one would be the place in the array)
     count = lambda test: F.size(F.filter("found", test)).cast("long")
     return (
-        out.select("doc_id", base.alias("base"), more.alias("found"))
+        out.select("doc_id", "row_key", base.alias("base"), more.alias("found"))
         .select(
             "doc_id",
-            *[count(lambda x, i=i: x["kind"] == i).alias(f"n_{KINDS[i]}") for i in range(3)],
+            *[count(of_kind(i)).alias(f"n_{KINDS[i]}") for i in range(3)],
             F.sha2(written(F.col("base")), 256).alias("base_sha256"),
             written(F.col("found")).alias("spans"),
             count(lambda x: ~x["copied"]).alias("n_live"),
             count(lambda x: x["copied"]).alias("n_copied"),
             "found",
+            "row_key",
         )
     )
 
 
 def op8_secret_ownership(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return find_secrets(read(spark, sf_dir, "documents")).drop("found")
+    return find_secrets(read(spark, sf_dir, "documents")).drop("found", "row_key")

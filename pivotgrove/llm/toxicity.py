@@ -128,8 +128,8 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled:
     return FactorisationMachine.over(values, known_labels).fit(values, known_labels)
 
 
-def score(docs: DataFrame, model: FactorisationMachine) -> DataFrame:
-    """Per row of docs: doc_id, held_out, score, predicted. A null or empty text gets the bias alone."""
+def score(docs: DataFrame, model: FactorisationMachine, keyed: bool = False) -> DataFrame:
+    """Per row of docs: doc_id, held_out, score, predicted and, if keyed, row_key, the text's hash. A null or empty text gets the bias alone."""
     ship(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast((model.bias, model.slot, model.weight.astype(np.float32), model.factor.astype(np.float32)))
 
@@ -138,10 +138,13 @@ def score(docs: DataFrame, model: FactorisationMachine) -> DataFrame:
         for batch in batches:
             z = np.array([own.margin(own.slots(terms(v.as_py()), memo)) for v in batch.column(1)], dtype=float)
             p = 1 / (1 + np.exp(-np.clip(z, -30, 30)))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(p)], ["doc_id", "score"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(p), *batch.columns[2:]], ["doc_id", "score", *batch.schema.names[2:]])
 
     held_out = F.crc32(F.col("doc_id").cast("string")) % 5 == 0
-    return texts(docs).mapInArrow(kernel, "doc_id long, score double").select("doc_id", held_out.alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+    rows, key = texts(docs), ["row_key"] if keyed else []
+    rows = rows.withColumn("row_key", F.xxhash64("text")) if keyed else rows
+    scored = rows.mapInArrow(kernel, "doc_id long, score double" + ", row_key long" * keyed)
+    return scored.select("doc_id", held_out.alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), *key)
 
 
 def toxicity(docs: DataFrame, labels: DataFrame, label: str = "toxic") -> DataFrame:
