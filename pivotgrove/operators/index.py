@@ -37,7 +37,7 @@ class IndexHandle:
     d: int
     version: int = 0
     subs: dict[int, int] = field(default_factory=dict)
-    log: tuple[dict, ...] = ()
+    log: DataFrame | None = None  # every rebuild of every batch
 
     def nodes(self) -> DataFrame:
         """(cell_id, node_id, parent_id, level, ordinal, split_dim, pivots, is_leaf, n_points, lo, hi, center, radius, path)."""

@@ -88,17 +88,16 @@ def insert_batch(ix: IndexHandle, batch: DataFrame, rebuild: str = "selective",
     merged = materialise(dealt.groupBy("cell_id").cogroup(old.groupBy("cell_id")).applyInArrow(_merge(ix, rebuild, version), _OUT), "cells-merged")
     cells = ix.cells.join(merged.select("cell_id"), "cell_id", "left_anti").unionByName(merged.drop("log"))
     log = merged.select("cell_id", F.explode("log").alias("l")).select(F.lit(version).cast("long").alias("batch_id"), "cell_id", "l.*")
-    rows = tuple(r.asDict() for r in log.limit(10_000).collect())  # rebuilds of one batch, for the report; the frame holds all
-    return replace(ix, cells=cells, version=version, log=(*ix.log, *rows))
+    return replace(ix, cells=cells, version=version, log=log if ix.log is None else ix.log.unionByName(log))
 
 
 def compact(ix: IndexHandle) -> IndexHandle:
-    """Write the cells of all versions into one table, so that reads no longer meet the chain of versions."""
-    return replace(ix, cells=materialise(ix.cells, "index-cells"))
+    """Write the cells of all versions into one table, and the log into another, so that reads no longer meet the chain of versions."""
+    return replace(ix, cells=materialise(ix.cells, "index-cells"), log=None if ix.log is None else materialise(ix.log, "index-log"))
 
 
 def rebuild_log(ix: IndexHandle, spark) -> DataFrame:
-    return spark.createDataFrame(list(ix.log), LOG_SCHEMA)
+    return spark.createDataFrame([], LOG_SCHEMA) if ix.log is None else ix.log
 
 
 # --- the balance criterion as DataFrame operations -----------------------------------------------------------

@@ -17,7 +17,9 @@ def save(ix: IndexHandle, path: str) -> None:
     """Write the version's cells, then append its manifest row: a crash between the two leaves an unnamed folder."""
     spark = ix.cells.sparkSession
     ix.cells.withColumn("stored", F.lit(ix.version)).repartitionByRange("cell_id").sortWithinPartitions("cell_id").write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("stored").parquet(f"{path}/cells")
-    head = {"params": ix.params.__dict__, "d": ix.d, "subs": {str(k): v for k, v in ix.subs.items()}, "log": list(ix.log)}
+    if ix.log is not None:
+        ix.log.withColumn("stored", F.lit(ix.version)).write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("stored").parquet(f"{path}/log")
+    head = {"params": ix.params.__dict__, "d": ix.d, "subs": {str(k): v for k, v in ix.subs.items()}, "logged": ix.log is not None and not ix.log.isEmpty()}
     upper = base64.b64encode(pickle.dumps(ix.upper)).decode()
     spark.createDataFrame([(ix.version, json.dumps(head), upper)], "version long, head string, upper string").write.mode("append").parquet(f"{path}/manifest")
 
@@ -28,6 +30,7 @@ def versions(spark: SparkSession, path: str) -> DataFrame:
 
 def load(spark: SparkSession, path: str, version: int | None = None) -> IndexHandle:
     """The newest version, or a pinned one; the store is the engine's own, its manifest is trusted."""
+    from pivotgrove.operators.insertion import LOG_SCHEMA
     from pivotgrove.operators.tree import Params
 
     rows = spark.read.parquet(f"{path}/manifest")
@@ -38,7 +41,9 @@ def load(spark: SparkSession, path: str, version: int | None = None) -> IndexHan
     head = json.loads(found.head)
     cells = spark.read.parquet(f"{path}/cells").where(F.col("stored") == found.version).drop("stored")
     empty = IndexHandle(spark.createDataFrame([], CELL_SCHEMA), pickle.loads(base64.b64decode(found.upper)), Params(**head["params"]), head["d"])
-    return replace(empty, cells=cells, version=found.version, subs={int(k): v for k, v in head["subs"].items()}, log=tuple(head["log"]))
+    log = spark.read.parquet(f"{path}/log").where(F.col("stored") == found.version).drop("stored") if head.get("logged") else None
+    log = spark.createDataFrame(head["log"], LOG_SCHEMA) if head.get("log") else log  # as earlier manifests have it
+    return replace(empty, cells=cells, version=found.version, subs={int(k): v for k, v in head["subs"].items()}, log=log)
 
 
 def layout_by_cell(points: DataFrame) -> DataFrame:

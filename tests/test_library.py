@@ -4,6 +4,7 @@ import glob
 import os
 
 import duckdb
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -99,3 +100,28 @@ def test_components_of_a_path_a_star_and_none(spark):
     got = {r.node: r.root for r in components(spark.createDataFrame(path, "src long, dst long").repartition(7)).collect()}
     assert all(got[i] == 100 for i in range(100, 161)) and got[901] == got[900] == got[1] == 1 and 5 not in got
     assert components(spark.createDataFrame([], "src long, dst long")).count() == 0
+
+
+def test_rebuild_log_holds_every_rebuild(spark, tmp_path, monkeypatch):
+    data = spark.range(400).select(F.col("id").alias("pid"), F.array(F.rand(1), F.rand(2)).alias("coords"))
+    one = {"depth": 0, "i0": 0, "i1": 1, "points_rebuilt": 2, "points_full": 3, "reason": "test"}
+    merge = insertion._merge
+
+    def many(*a):  # a batch that causes 12,000 rebuilds in every cell it touches
+        kernel = merge(*a)
+
+        def told(left, right):
+            out = kernel(left, right)
+            return out.set_column(out.schema.get_field_index("log"), "log", pa.array([[one] * 12_000] * out.num_rows, insertion._LOG_ARROW))
+
+        return told
+
+    ix = build_index(data)
+    monkeypatch.setattr(insertion, "_merge", many)
+    newer = insertion.insert_batch(ix, data.select((F.col("pid") + 1_000).alias("pid"), "coords"))
+    touched = newer.cells.count()
+    assert insertion.rebuild_log(ix, spark).count() == 0
+    assert insertion.rebuild_log(newer, spark).count() == 12_000 * touched
+    store.save(newer, str(tmp_path / "ix"))
+    kept = insertion.rebuild_log(store.load(spark, str(tmp_path / "ix")), spark)
+    assert kept.count() == 12_000 * touched and kept.agg(F.sum("points_full")).first()[0] == 36_000 * touched
