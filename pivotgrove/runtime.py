@@ -29,21 +29,47 @@ def ship(spark: SparkSession) -> None:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or one of our own where it is unset."""
+    """The folder that driver and executors share: spark.checkpoint.dir; in local mode one of our own where it is unset."""
     context = spark.sparkContext
     found = context.getConf().get("spark.checkpoint.dir") or context.getCheckpointDir()
     if not found:
+        if not context.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         found = "file://" + os.path.realpath(tempfile.mkdtemp(prefix="pivotgrove-shared-"))
         context.setCheckpointDir(found)
     return found.rstrip("/")
 
 
+_CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
 def materialise(df: DataFrame, label: str) -> DataFrame:
-    """Write df to the shared folder and read it back: lineage is cut and lost executors cost nothing."""
+    """Write df to the shared folder and read it back: lineage is cut and lost executors cost nothing.
+
+    The shuffle files behind the write go with it, as nothing reads them again; discard() takes the table itself.
+    """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    before = spark.conf.get(_CLEANUP, None)
+    spark.conf.set(_CLEANUP, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        if before is None:
+            spark.conf.unset(_CLEANUP)
+        else:
+            spark.conf.set(_CLEANUP, before)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._materialised_at = path
+    return out
+
+
+def discard(*tables: DataFrame) -> None:
+    """Delete tables that materialise() returned and that no later plan reads."""
+    for table in tables:
+        if path := table.__dict__.get("_materialised_at"):
+            where = table.sparkSession._jvm.org.apache.hadoop.fs.Path(path)
+            where.getFileSystem(table.sparkSession._jsc.hadoopConfiguration()).delete(where, True)
 
 
 _CONTRACT_EDGES = 250_000
@@ -106,5 +132,6 @@ def components(edges: DataFrame, src: str = "src", dst: str = "dst", max_rounds:
         large = links.join(least, "lo").select(F.col("m").alias("lo"), "hi").where("lo < hi").distinct()
         # Small star: a node's smaller neighbours, and it, move to the smallest of them.
         moved = large.join(large.groupBy("hi").agg(F.min("lo").alias("m")), "hi")
-        links = materialise(local(moved.where("lo > m").select(F.col("m").alias("lo"), F.col("lo").alias("hi")).union(moved.select(F.col("m").alias("lo"), "hi"))), "links")
+        older, links = links, materialise(local(moved.where("lo > m").select(F.col("m").alias("lo"), F.col("lo").alias("hi")).union(moved.select(F.col("m").alias("lo"), "hi"))), "links")
+        discard(older)
     raise RuntimeError(f"components did not settle in {max_rounds} rounds")
