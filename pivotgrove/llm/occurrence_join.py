@@ -2,11 +2,12 @@
 
 Two documents link when their shingle sets overlap enough, so a partner of x shares at least T shingles with
 it. Under one order of all shingles, T - 1 - e of x's inverted lists need not be merged: of the others a
-partner must stand in 1 + e at least. Spark merges these lists for the whole corpus (the group-by on shingle)
+partner must stand in 1 + e at least. Spark merges these lists for the whole corpus (one exchange by shingle)
 and drops every document with fewer than 1 + e shingles that any other document has; a passage that many
 documents share is far from enough. What is left falls into small clusters. Inside a cluster the search is
-done with the real list lengths: short lists are merged and counted, and what reaches its part of the
-threshold there is looked up in the long lists by binary search. Documents with equal sets are one class.
+done with the real list lengths: the short lists are merged through a heap that skips what cannot reach its
+part of the threshold, and what reaches it is looked up in the long lists by binary search. Documents with
+equal sets are one class.
 
 Pairs that a link already joins are not looked up again, so a group of copies costs its members and not their
 pairs, and what is written is at most a link per member and task. A cluster over the size of a task is cut
@@ -16,6 +17,7 @@ into blocks by set size, and each pair of blocks whose sizes permit a link is a
 from __future__ import annotations
 
 import hashlib
+import heapq
 from collections.abc import Iterator
 
 import numpy as np
@@ -25,12 +27,14 @@ from pyspark.sql import functions as F
 
 from pivotgrove.llm.shingles import shingle_hashes
 from pivotgrove.llm.tables import read, texts
-from pivotgrove.runtime import components, materialise, ship
+from pivotgrove.runtime import components, discard, materialise, ship
 
 WORDS, PERCENT = 4, 85
 TASK_SHINGLES = 1_000_000
 BROADCAST_ROWS = 100_000
 PRUNING_ROUNDS = 2
+LONG_SHARE = 0.01  #: the larger, the fewer lists count as long
+HOT_SHARE, HOT_HELD, HOT_MOST = 64, 16, 10_000  #: a shingle is dealt as hot if so many of one in HOT_SHARE keys have it
 
 
 def least_overlap(size: int, percent: int) -> int:
@@ -86,12 +90,49 @@ def _set_kernel(words: int):
     return kernel
 
 
+def merge_skip(lists: list[np.ndarray], need: int) -> Iterator[tuple[int, int]]:
+    """(entry, lists that hold it), ascending, of the entries in `need` of the sorted lists at least.
+
+    The lists' heads lie in a heap. An entry on too few heads is left together with the next smallest heads,
+    need - 1 lists in all, and these lists jump by binary search to the entry that the others have reached.
+    """
+    heap = [(int(x[0]), i) for i, x in enumerate(lists) if len(x)]
+    heapq.heapify(heap)
+    at = [0] * len(lists)
+    while len(heap) >= need:
+        least, popped = heap[0][0], []
+        while heap and heap[0][0] == least:
+            popped.append(heapq.heappop(heap)[1])
+        if len(popped) >= need:
+            yield least, len(popped)
+            onward = least + 1
+        else:
+            while heap and len(popped) < need - 1:
+                popped.append(heapq.heappop(heap)[1])
+            if not heap:
+                return
+            onward = heap[0][0]
+        for i in popped:
+            x = lists[i]
+            at[i] += 1
+            if at[i] < len(x) and x[at[i]] < onward:
+                at[i] += int(np.searchsorted(x[at[i] :], onward))
+            if at[i] < len(x):
+                heapq.heappush(heap, (int(x[at[i]]), i))
+
+
 class OccurrenceSearch:
-    """Links among the documents of one task. sets: sorted uint64 arrays; sides: links within one side are skipped if across."""
+    """Links among the documents of one task. sets: sorted uint64 arrays; sides: links within one side are skipped if across.
+
+    Documents are numbered by size; each shingle that two of them have is an inverted list of numbers. Of the T
+    shingles that a document must share with a partner of its size or less, L may lie in its L longest lists: the
+    others are merged for T - L occurrences, and a candidate is looked up in the long ones by binary search.
+    """
 
     def __init__(self, sets: list[np.ndarray], percent: int, sides: list[int] | None = None):
-        self.percent, self.sides = percent, sides
+        self.percent = percent
         self.order = sorted(range(len(sets)), key=lambda i: (len(sets[i]), i))
+        self.sides = np.array([sides[i] for i in self.order]) if sides else None
         sizes = [len(sets[i]) for i in self.order]
         self.size = np.array(sizes, dtype=np.int64)
         every = np.concatenate([sets[i] for i in self.order]) if sets else np.empty(0, np.uint64)
@@ -111,12 +152,26 @@ class OccurrenceSearch:
         ends = np.concatenate(([0], np.cumsum(np.bincount(owner[kept], minlength=len(sizes))))) if len(sizes) else np.zeros(1, np.int64)
         by_place = by_place[kept]
         self.codes = [by_place[ends[i] : ends[i + 1]] for i in range(len(sizes))]
-        self.parent = list(range(len(sizes)))
-
-    def _root(self, i: int) -> int:
-        while self.parent[i] != i:
-            self.parent[i] = i = self.parent[self.parent[i]]
-        return i
+        self.label = np.arange(len(sizes))  # the component of each document
+        self.members = [[i] for i in range(len(sizes))]
+
+    def _join(self, a: int, b: int) -> None:
+        a, b = self.label[a], self.label[b]
+        if len(self.members[a]) < len(self.members[b]):
+            a, b = b, a
+        self.label[self.members[b]] = a
+        self.members[a] += self.members[b]
+        self.members[b] = []
+
+    def probe(self, lists: np.ndarray, entry: int) -> int:
+        """How many of the lists hold the entry: a binary search in each, step by step in all of them."""
+        lo, end = self.first[lists], self.first[lists + 1]
+        hi = end.copy()
+        for _ in range(int(self.length[lists].max(initial=0)).bit_length()):
+            middle = (lo + hi) >> 1
+            below = (lo < hi) & (self.postings[np.minimum(middle, len(self.postings) - 1)] < entry)
+            lo, hi = np.where(below, middle + 1, lo), np.where(below, hi, middle)
+        return int(np.count_nonzero(self.postings[np.minimum(lo, len(self.postings) - 1)][lo < end] == entry))
 
     def links(self) -> Iterator[tuple[int, int]]:
         """Links that join what none before has joined; the components are those of all links."""
@@ -125,27 +180,32 @@ class OccurrenceSearch:
             due = least_overlap(n, self.percent)  # partners before x in the order are not larger
             if len(codes) < due:
                 continue
-            codes = codes[np.lexsort((codes, self.length[codes]))]
-            in_short = min(due, 1 + due // 16)  # occurrences asked of the short lists
-            cut = len(codes) - (due - in_short)
-            short, long = codes[:cut], np.sort(codes[cut:])
-            merged = np.concatenate([self.postings[self.first[c] : self.first[c + 1]] for c in short.tolist()])
-            seen = np.bincount(merged[merged < x], minlength=0)
-            found = np.flatnonzero(seen >= in_short)
-            found = found[100 * self.size[found] >= self.percent * n]
-            for y in found[np.argsort(-seen[found], kind="stable")].tolist():
-                if self.sides and self.sides[self.order[x]] == self.sides[self.order[y]]:
-                    continue
-                a, b = self._root(x), self._root(y)
-                if a == b:
-                    continue
-                held = self.codes[y]
-                at = np.searchsorted(held, long)
-                at[at == len(held)] = 0
-                both = int(seen[y]) + (int(np.count_nonzero(held[at] == long)) if len(held) else 0)
-                if 100 * both >= self.percent * (n + int(self.size[y]) - both):
-                    self.parent[max(a, b)] = min(a, b)
-                    yield self.order[x], self.order[y]
+            codes = codes[np.argsort(self.length[codes], kind="stable")]
+            n_long = min(due - 1, int(due / (1 + LONG_SHARE * np.log2(self.length[codes[-1]]))))
+            need = due - n_long
+            short, long = codes[: len(codes) - n_long], codes[len(codes) - n_long :]
+            least = int(np.searchsorted(self.size, -(-self.percent * n // 100)))  # smaller ones share too little
+            lists = []
+            for c in short.tolist():
+                x_list = self.postings[self.first[c] : self.first[c + 1]]
+                if x_list[0] < x:
+                    lists.append(x_list[np.searchsorted(x_list, least) : np.searchsorted(x_list, x)])
+            while lists:
+                lists, linked = [y for y in lists if len(y)], None
+                for y, count in merge_skip(lists, need):
+                    if self.label[y] == self.label[x] or (self.sides is not None and self.sides[x] == self.sides[y]):
+                        continue
+                    both = count + self.probe(long, y)
+                    if 100 * both >= self.percent * (n + int(self.size[y]) - both):
+                        linked = y
+                        break
+                if linked is None:
+                    break
+                self._join(x, linked)
+                yield self.order[x], self.order[linked]
+                # What x reaches now needs no look-up; candidates up to the linked one are done with.
+                own = self.label[x]
+                lists = [y[self.label[y] != own] for y in (y[np.searchsorted(y, linked + 1) :] for y in lists)]
 
 
 def _link_kernel(percent: int):
@@ -165,29 +225,50 @@ _TASKS = "array<struct<pool:long,whole:long,i:long,j:long,block:long>>"
 
 def tasks_of(chosen: DataFrame, total: int, percent: int) -> DataFrame:
     """chosen: (doc_id, digest, n, root) -> (doc_id, digest, tasks). Small clusters share a pool; a large one is cut
-    into blocks by set size, and each pair of blocks whose sizes permit a link is a task of its own."""
+    into blocks by set size, and each pair of blocks whose sizes permit a link is a task of its own.
+
+    Sums run over one row for each set size of a cluster; a size that fills several blocks is dealt on by hash.
+    """
     pools = max(1, -(-total // TASK_SHINGLES))
-    by_size = Window.partitionBy("root").orderBy("n", "digest").rowsBetween(Window.unboundedPreceding, 0)
-    cut = chosen.withColumn("upto", F.sum("n").over(by_size)).withColumn("all", F.sum("n").over(Window.partitionBy("root")))
-    cut = materialise(cut.withColumn("large", F.col("all") > TASK_SHINGLES).withColumn("block", F.when(F.col("large"), F.floor((F.col("upto") - 1) / TASK_SHINGLES)).otherwise(0)), "join-cut")
+    over = chosen.groupBy("root").agg(F.sum("n").alias("all")).where(F.col("all") > TASK_SHINGLES).select("root")
+    by_size = chosen.join(over, "root", "left_semi").groupBy("root", "n").agg(F.sum("n").alias("held"))
+    upto = F.sum("held").over(Window.partitionBy("root").orderBy("n").rowsBetween(Window.unboundedPreceding, 0))
+    places = by_size.select("root", "n", F.floor((upto - F.col("held")) / TASK_SHINGLES).alias("place"), F.greatest(F.lit(1), F.floor(F.col("held") / TASK_SHINGLES)).alias("parts"))
+    cut = chosen.join(places, ["root", "n"], "left").select("doc_id", "digest", "n", "root", (F.col("place") + F.pmod(F.xxhash64("digest"), F.col("parts"))).alias("block"))
+    cut = materialise(cut, "join-cut")
     zero = F.lit(0).cast("long")
     pool = F.pmod(F.xxhash64("root"), F.lit(pools)).cast("long")
-    small = cut.where(~F.col("large")).select("doc_id", "digest", F.array(F.struct(pool.alias("pool"), F.lit(None).cast("long").alias("whole"), zero.alias("i"), zero.alias("j"), zero.alias("block"))).alias("tasks"))
-    large = cut.where("large")
+    small = cut.where("block is null").select("doc_id", "digest", F.array(F.struct(pool.alias("pool"), F.lit(None).cast("long").alias("whole"), zero.alias("i"), zero.alias("j"), zero.alias("block"))).alias("tasks"))
+    large = cut.where("block is not null")
     blocks = large.groupBy("root", "block").agg(F.min("n").alias("lo"), F.max("n").alias("hi"))
-    left = blocks.select("root", F.col("block").alias("i"), "hi")
-    right = blocks.select("root", F.col("block").alias("j"), "lo")
-    pairs = left.join(right, "root").where((F.col("i") <= F.col("j")) & ((F.col("i") == F.col("j")) | (F.col("hi") * 100 >= F.col("lo") * percent)))
+    left = blocks.select("root", F.col("block").alias("i"), F.col("lo").alias("lo_i"), F.col("hi").alias("hi_i"))
+    right = blocks.select("root", F.col("block").alias("j"), F.col("lo").alias("lo_j"), F.col("hi").alias("hi_j"))
+    fit = (F.col("hi_i") * 100 >= F.col("lo_j") * percent) & (F.col("hi_j") * 100 >= F.col("lo_i") * percent)
+    pairs = left.join(right, "root").where((F.col("i") <= F.col("j")) & fit)
     ends = pairs.select("root", "i", "j", F.explode(F.array_distinct(F.array("i", "j"))).alias("block"))
     task = F.struct(F.lit(-1).cast("long").alias("pool"), F.col("root").alias("whole"), "i", "j", "block")
     by_block = ends.groupBy("root", "block").agg(F.collect_list(task).alias("tasks"))
     return small.unionByName(large.join(by_block, ["root", "block"]).select("doc_id", "digest", "tasks"))
 
 
-def _in_two(rows: DataFrame) -> DataFrame:
-    """Of (key, due, shingle), dealt by shingle, the rows whose shingle another key has too."""
-    lists = rows.groupBy("shingle").agg(F.min("key").alias("first"), F.max("key").alias("last")).where("first < last").select("shingle")
-    return rows.join(lists, "shingle", "left_semi").select("key", "due", "shingle")
+def _hot(rows: DataFrame) -> DataFrame:
+    """Shingles of very many keys, as a share of the keys shows them: HOT_MOST at most, and a hint for dealing alone."""
+    some = rows.where(F.pmod(F.xxhash64("key", F.lit(3)), F.lit(HOT_SHARE)) == 0)
+    return some.groupBy("shingle").agg(F.count("*").alias("held")).where(F.col("held") >= HOT_HELD).orderBy(F.desc("held"), "shingle").limit(HOT_MOST).select("shingle")
+
+
+def _in_two(rows: DataFrame, hot: DataFrame) -> DataFrame:
+    """(key, due, shingle, head): the rows whose shingle another key has too, with the least key that has it.
+
+    Rows of hot shingles stay where they are, their least keys are few; the others are dealt by shingle.
+    """
+    spread = rows.join(F.broadcast(hot), "shingle", "left_anti")
+    by_shingle = Window.partitionBy("shingle")
+    spread = spread.select("key", "due", "shingle", F.min("key").over(by_shingle).alias("head"), F.max("key").over(by_shingle).alias("last"))
+    crowd = rows.join(F.broadcast(hot), "shingle")
+    heads = crowd.groupBy("shingle").agg(F.min("key").alias("head"), F.max("key").alias("last"))
+    crowd = crowd.join(F.broadcast(heads), "shingle").select("key", "due", "shingle", "head", "last")
+    return spread.union(crowd).where("head < last").drop("last")
 
 
 def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> DataFrame:
@@ -206,25 +287,30 @@ def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCE
     # One row of each class stands for it; its key in the cluster graph is short, a clash there would only merge clusters.
     key = F.xxhash64("digest")
     one = held.select("digest", "doc_id", "due", "prefix").join(classes.select("digest", F.col("first_id").alias("doc_id")), ["digest", "doc_id"], "left_semi")
-    short = one.select(key.alias("key"), "due", F.explode("prefix").alias("shingle")).repartition("shingle")  # one exchange for both uses
-    shared = materialise(_in_two(short), "join-shared")
+    short = one.select(key.alias("key"), "due", F.explode("prefix").alias("shingle"))
+    hot = materialise(_hot(short), "join-hot")
+    shared = materialise(_in_two(short, hot), "join-shared")
+    named = materialise(prefixes.select("doc_id", "n_shingles", "digest"), "join-named")
+    discard(prefixes)
+    of_key = F.count("*").over(Window.partitionBy("key"))
     for _ in range(PRUNING_ROUNDS):  # who goes may leave others with too few
-        enough = shared.groupBy("key", "due").agg(F.count("*").alias("n")).where("n >= due").select("key")
-        shared = materialise(_in_two(shared.join(enough, "key").select("key", "due", "shingle").repartition("shingle")), "join-shared")
-    heads = shared.groupBy("shingle").agg(F.min("key").alias("head"))
-    clusters = components(shared.join(heads, "shingle").select(F.col("head").alias("src"), F.col("key").alias("dst")))
+        enough = shared.select("key", "due", "shingle", of_key.alias("n")).where("n >= due").drop("n")
+        older, shared = shared, materialise(_in_two(enough, hot), "join-shared")
+        discard(older)
+    clusters = components(shared.select(F.col("head").alias("src"), F.col("key").alias("dst")))
     chosen = materialise(classes.withColumn("node", key).join(clusters, "node").select(F.col("first_id").alias("doc_id"), "digest", "n", "root"), "join-chosen")
+    discard(shared)
     total, many = chosen.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
     dealt = tasks_of(chosen, total, percent)
     small = many <= BROADCAST_ROWS  # about 100 bytes a row; beyond that both sides are dealt by doc_id
     with_text = rows.join(F.broadcast(dealt) if small else dealt, "doc_id").select("text", "digest", "tasks")
     sets = with_text.mapInArrow(_set_kernel(words), f"digest binary, tasks {_TASKS}, shingles binary").select("digest", "shingles", F.explode("tasks").alias("t")).select("digest", "shingles", "t.*")
     links = components(sets.groupBy("pool", "whole", "i", "j").applyInArrow(_link_kernel(percent), "src binary, dst binary"))
-    named = classes.join(links.select(F.col("node").alias("digest"), "root"), "digest", "left").select("digest", "first_id", F.coalesce("root", "digest").alias("root"), F.col("root").isNotNull().alias("linked"), "copies")
-    least = named.where("linked").groupBy("root").agg(F.min("first_id").alias("least"))
+    linked = classes.join(links.select(F.col("node").alias("digest"), "root"), "digest", "left").select("digest", "first_id", F.coalesce("root", "digest").alias("root"), F.col("root").isNotNull().alias("linked"), "copies")
+    least = linked.where("linked").groupBy("root").agg(F.min("first_id").alias("least"))
     # Only classes of several rows or with links need their name looked up.
-    names = named.where("linked or copies > 1").join(least, "root", "left").select("digest", F.coalesce("least", "first_id").alias("component_id"))
-    out = prefixes.select("doc_id", "n_shingles", "digest").join(names, "digest", "left")
+    names = linked.where("linked or copies > 1").join(least, "root", "left").select("digest", F.coalesce("least", "first_id").alias("component_id"))
+    out = named.join(names, "digest", "left")
     return out.select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
 
 

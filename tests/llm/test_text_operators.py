@@ -221,6 +221,25 @@ def test_near_copies_chain_blocks_and_empty(spark, monkeypatch):
     assert occurrence_join.jaccard_components(spark.createDataFrame([], SCHEMA)).count() == 0
 
 
+def test_merged_lists_equal_counts():
+    draw = random.Random(11)
+    for _ in range(300):
+        lists = [np.array(sorted(draw.sample(range(60), draw.randint(0, 25)))) for _ in range(draw.randint(1, 12))]
+        need = draw.randint(1, 6)
+        want = sorted((x, n) for x, n in collections.Counter(int(x) for y in lists for x in y).items() if n >= need)
+        assert list(occurrence_join.merge_skip(lists, need)) == want
+
+
+def test_long_lists_are_probed():
+    draw = random.Random(12)
+    sets = [np.unique(np.array([draw.randrange(40) for _ in range(draw.randint(1, 30))], np.uint64)) for _ in range(50)]
+    search = occurrence_join.OccurrenceSearch(sets, 80)
+    for y in range(50):
+        lists = np.array(sorted(draw.sample(range(len(search.length)), 9)))
+        lists = lists[search.length[lists] > 1]
+        assert search.probe(lists, y) == len(set(lists.tolist()) & set(search.codes[y].tolist()))
+
+
 def test_shingles_equal_sets_of_words():
     draw = random.Random(7)
     for _ in range(500):
