@@ -114,7 +114,8 @@ def merge_skip(lists: list[np.ndarray], need: int) -> Iterator[tuple[int, int]]:
             onward = heap[0][0]
         for i in popped:
             x = lists[i]
-            at[i] += 1
+            if x[at[i]] < onward:
+                at[i] += 1
             if at[i] < len(x) and x[at[i]] < onward:
                 at[i] += int(np.searchsorted(x[at[i] :], onward))
             if at[i] < len(x):
