@@ -34,7 +34,9 @@ TASK_SHINGLES = 1_000_000
 BROADCAST_ROWS = 100_000
 PRUNING_ROUNDS = 2
 LONG_SHARE = 0.01  #: the larger, the fewer lists count as long
-HOT_SHARE, HOT_HELD, HOT_MOST = 64, 16, 10_000  #: a shingle is dealt as hot if so many of one in HOT_SHARE keys have it
+HEAP_MOST = 512  #: postings that go through the heap; more are counted in one array
+PROBE_COST = 16_384  #: postings that are merged in the time of a candidate's probes
+HOT_IN, HOT_HELD, HOT_MOST = 64, 16, 1000  #: a shingle is dealt as hot if so many of one in HOT_IN keys have it
 
 
 def least_overlap(size: int, percent: int) -> int:
@@ -186,27 +188,54 @@ class OccurrenceSearch:
             need = due - n_long
             short, long = codes[: len(codes) - n_long], codes[len(codes) - n_long :]
             least = int(np.searchsorted(self.size, -(-self.percent * n // 100)))  # smaller ones share too little
-            lists = []
-            for c in short.tolist():
-                x_list = self.postings[self.first[c] : self.first[c + 1]]
-                if x_list[0] < x:
-                    lists.append(x_list[np.searchsorted(x_list, least) : np.searchsorted(x_list, x)])
-            while lists:
-                lists, linked = [y for y in lists if len(y)], None
-                for y, count in merge_skip(lists, need):
-                    if self.label[y] == self.label[x] or (self.sides is not None and self.sides[x] == self.sides[y]):
-                        continue
-                    both = count + self.probe(long, y)
-                    if 100 * both >= self.percent * (n + int(self.size[y]) - both):
-                        linked = y
-                        break
-                if linked is None:
+            entries, counts = self._merge(short, need, least, x)
+            # The unknown long lists can add n_long at most.
+            most = counts + n_long
+            can = 100 * most >= self.percent * (n + self.size[entries] - most)
+            if self.sides is not None:
+                can &= self.sides[entries] != self.sides[x]
+            entries, counts = entries[can], counts[can]
+            order = np.argsort(-counts, kind="stable")
+            entries, counts = entries[order], counts[order]
+            while len(entries):
+                y, both = int(entries[0]), int(counts[0]) + self.probe(long, int(entries[0]))
+                entries, counts = entries[1:], counts[1:]
+                if 100 * both >= self.percent * (n + int(self.size[y]) - both):
+                    self._join(x, y)
+                    yield self.order[x], self.order[y]
+                    apart = self.label[entries] != self.label[x]  # what x reaches now needs no look-up
+                    entries, counts = entries[apart], counts[apart]
+                elif len(entries) * PROBE_COST > int(self.length[long].sum()):
+                    # So many candidates that merging the long lists too is less than a probe for each.
+                    held, more = self._merge(long, 1, least, x)
+                    at = np.minimum(np.searchsorted(held, entries), max(len(held) - 1, 0))
+                    total = counts + (np.where(held[at] == entries, more[at], 0) if len(held) else 0)
+                    linked = 100 * total >= self.percent * (n + self.size[entries] - total)
+                    for z in entries[linked].tolist():
+                        if self.label[z] != self.label[x]:
+                            self._join(x, z)
+                            yield self.order[x], self.order[z]
                     break
-                self._join(x, linked)
-                yield self.order[x], self.order[linked]
-                # What x reaches now needs no look-up; candidates up to the linked one are done with.
-                own = self.label[x]
-                lists = [y[self.label[y] != own] for y in (y[np.searchsorted(y, linked + 1) :] for y in lists)]
+
+    def _merge(self, codes: np.ndarray, need: int, least: int, x: int) -> tuple[np.ndarray, np.ndarray]:
+        """(entries from least to x, ascending; their counts) in `need` lists at least.
+
+        Few postings go through the heap; many are counted in one array.
+        """
+        lists = [self.postings[self.first[c] : self.first[c + 1]] for c in codes.tolist()]
+        if sum(map(len, lists)) <= HEAP_MOST:
+            lists = [y[np.searchsorted(y, least) : np.searchsorted(y, x)] for y in lists]
+            found = list(merge_skip(lists, need))
+            return np.array([e for e, _ in found], dtype=np.int64), np.array([c for _, c in found], dtype=np.int64)
+        merged = np.concatenate(lists)
+        merged = merged[(merged >= least) & (merged < x)]
+        if len(merged) * 8 < x - least:
+            entries, counts = np.unique(merged, return_counts=True)
+        else:
+            counts = np.bincount(merged - least, minlength=1)
+            entries = np.arange(least, least + len(counts))
+        enough = counts >= need
+        return entries[enough].astype(np.int64), counts[enough]
 
 
 def _link_kernel(percent: int):
@@ -252,24 +281,23 @@ def tasks_of(chosen: DataFrame, total: int, percent: int) -> DataFrame:
     return small.unionByName(large.join(by_block, ["root", "block"]).select("doc_id", "digest", "tasks"))
 
 
-def _hot(rows: DataFrame) -> DataFrame:
-    """Shingles of very many keys, as a share of the keys shows them: HOT_MOST at most, and a hint for dealing alone."""
-    some = rows.where(F.pmod(F.xxhash64("key", F.lit(3)), F.lit(HOT_SHARE)) == 0)
-    return some.groupBy("shingle").agg(F.count("*").alias("held")).where(F.col("held") >= HOT_HELD).orderBy(F.desc("held"), "shingle").limit(HOT_MOST).select("shingle")
+def _hot(rows: DataFrame) -> list[int]:
+    """Shingles of very many keys, as one in HOT_IN keys shows them: HOT_MOST at most, and a hint for dealing alone."""
+    some = rows.where(F.pmod(F.xxhash64("key", F.lit(3)), F.lit(HOT_IN)) == 0)
+    held = some.groupBy("shingle").agg(F.count("*").alias("held")).where(F.col("held") >= HOT_HELD)
+    return sorted(r.shingle for r in held.orderBy(F.desc("held"), "shingle").limit(HOT_MOST).collect())
 
 
-def _in_two(rows: DataFrame, hot: DataFrame) -> DataFrame:
+def _in_two(rows: DataFrame, hot: list[int]) -> DataFrame:
     """(key, due, shingle, head): the rows whose shingle another key has too, with the least key that has it.
 
-    Rows of hot shingles stay where they are, their least keys are few; the others are dealt by shingle.
+    Rows of hot shingles stay where they are, with a node that stands for the shingle; the others are dealt by shingle.
     """
-    spread = rows.join(F.broadcast(hot), "shingle", "left_anti")
     by_shingle = Window.partitionBy("shingle")
-    spread = spread.select("key", "due", "shingle", F.min("key").over(by_shingle).alias("head"), F.max("key").over(by_shingle).alias("last"))
-    crowd = rows.join(F.broadcast(hot), "shingle")
-    heads = crowd.groupBy("shingle").agg(F.min("key").alias("head"), F.max("key").alias("last"))
-    crowd = crowd.join(F.broadcast(heads), "shingle").select("key", "due", "shingle", "head", "last")
-    return spread.union(crowd).where("head < last").drop("last")
+    crowd = F.col("shingle").isin(hot)
+    spread = rows.where(~crowd) if hot else rows
+    spread = spread.select("key", "due", "shingle", F.min("key").over(by_shingle).alias("head"), F.max("key").over(by_shingle).alias("last")).where("head < last").drop("last")
+    return spread.union(rows.where(crowd).select("key", "due", "shingle", F.xxhash64("shingle").alias("head"))) if hot else spread
 
 
 def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> DataFrame:
@@ -289,7 +317,7 @@ def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCE
     key = F.xxhash64("digest")
     one = held.select("digest", "doc_id", "due", "prefix").join(classes.select("digest", F.col("first_id").alias("doc_id")), ["digest", "doc_id"], "left_semi")
     short = one.select(key.alias("key"), "due", F.explode("prefix").alias("shingle"))
-    hot = materialise(_hot(short), "join-hot")
+    hot = _hot(short)
     shared = materialise(_in_two(short, hot), "join-shared")
     named = materialise(prefixes.select("doc_id", "n_shingles", "digest"), "join-named")
     discard(prefixes)
