@@ -66,8 +66,9 @@ def sha(spans):
 
 def test_private_data_base(both):
     for df in both:
-        want = collections.Counter((i, sha(base_private(t))) for i, t in plain(df))
-        assert collections.Counter((r.doc_id, r.base_sha256) for r in private_data.find_private(df).collect()) == want
+        kinds = lambda t: tuple(sum(k == x for x, *_ in base_private(t)) for k in ("email", "ip", "card", "phone"))
+        want = collections.Counter((i, sha(base_private(t)), *kinds(t)) for i, t in plain(df))
+        assert collections.Counter((r.doc_id, r.base_sha256, r.n_email, r.n_ip, r.n_card, r.n_phone) for r in private_data.find_private(df).collect()) == want
 
 
 def test_private_data_learns_contexts(spark):
@@ -77,6 +78,36 @@ def test_private_data_learns_contexts(spark):
     assert all(got[i].n_added == 0 and got[i].n_email == 1 for i in range(12))
 
 
+def test_private_data_discovers_unseen_identifiers(spark):
+    draw = random.Random(4)
+    number = lambda: f"{draw.randint(200, 999)}-{draw.randint(200, 999)}-{draw.randint(1000, 9999)}"
+    fill = lambda n: " ".join("".join(draw.choice("abcdefgh") for _ in range(5)) for _ in range(n))
+    rows, planted = [], set()
+    beside = ["phone", "fax", "hotline"]
+    for i in range(60):  # seeds, in three contexts
+        rows.append((i, f"{fill(4)} {beside[i % 3]} +1 {number()} {fill(4)}"))
+    shared = [number() for _ in range(12)]
+    for i in range(60, 90):  # unseen shapes in these contexts
+        rows.append((i, f"{fill(4)} {beside[i % 3]}: {shared[i % 12]} {fill(3)}"))
+    for i in range(90, 116):  # a context that only promoted instances teach, then others in it
+        rows.append((i, f"{fill(4)} ringup {shared[i % 12] if i < 110 else number()} {fill(3)}"))
+    planted = set(range(60, 116))
+    for i in range(130, 200):  # look-alikes elsewhere
+        rows.append((i, f"{fill(4)} part {number()} {fill(3)} on 2024-0{i % 9 + 1}-1{i % 10}"))
+    got = {r.doc_id: r for r in private_data.find_private(spark.createDataFrame([(i, t, "s", "", i) for i, t in rows], SCHEMA)).collect()}
+    assert np.mean([got[i].n_added == 1 and got[i].spans.startswith("phone:") for i in planted]) > 0.95
+    assert not any(got[i].n_added for i in range(130, 200)) and all(got[i].n_phone == 1 and not got[i].n_added for i in range(60))
+
+
+def test_private_data_counts_and_null_ids(spark):
+    text = "write a.b@c.example.com, 10.1.2.3 or +1 (269) 555-3296 10.9.8.7 card 4111111111111111"
+    df = spark.createDataFrame([(None, text, "s", "", 0), (None, "nothing", "s", "", 1), (4, text, "s", "", 2), (4, "x", "s", "", 3)], SCHEMA)
+    want = collections.Counter(k for k, *_ in base_private(text))
+    got = sorted((r.doc_id or 0, r.n_email, r.n_ip, r.n_card, r.n_phone) for r in private_data.find_private(df).collect())
+    full = tuple(want[k] for k in ("email", "ip", "card", "phone"))
+    assert got == [(0, 0, 0, 0, 0), (0, *full), (4, 0, 0, 0, 0), (4, *full)]
+
+
 def base_secrets(t):
     out = [(m.start(), 0, "assign", m.end()) for m in re.finditer(r"""((?i:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", t) if len(m[2]) >= 8]
     out += [(m.start(), 1, "access", m.end()) for m in re.finditer(r"AKIA[A-Z0-9]+", t) if len(m[0]) >= 16]
