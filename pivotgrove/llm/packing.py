@@ -1,5 +1,6 @@
 """Operator 3: concatenate documents' tokens and cut them into fixed windows.
 
+The documents are put in order of doc_id and text hash, so that the same rows give the same pieces however they lie.
 Pass one tokenises each partition and writes its documents with the tokens before each inside the partition.
 The totals of the partitions, one row each, give every partition's place by a prefix sum; partition place
 and local place together are the global offset. Pass two cuts at the multiples of the window: a document
@@ -89,7 +90,7 @@ def tokenizer(vocabulary_file: str) -> WordTokenizer:
 
 
 def tokenise(docs: DataFrame, vocabulary_file: str | None = None, end_id: int = END_ID) -> DataFrame:
-    """(part, local_start, doc_id, doc_tokens, ids): a partition's documents in its own order, each with its end id."""
+    """(part, local_start, doc_id, doc_tokens, ids): the partitions' documents in order, each with its end id."""
     ship(docs.sparkSession)
     place = vocabulary_file or vocabulary(VOCABULARY)
     end = end_id.to_bytes(4, "little")
@@ -107,13 +108,14 @@ def tokenise(docs: DataFrame, vocabulary_file: str | None = None, end_id: int =
                     before += n
                 yield pa.RecordBatch.from_pydict({"part": [part] * len(counts), "local_start": starts, "doc_id": rows.column(0), "doc_tokens": counts, "ids": packed})
 
-    return texts(docs).mapInArrow(kernel, "part long, local_start long, doc_id long, doc_tokens long, ids binary")
+    rows = texts(docs).withColumn("h", F.xxhash64("text")).repartitionByRange("doc_id", "h").sortWithinPartitions("doc_id", "h").drop("h")
+    return rows.mapInArrow(kernel, "part long, local_start long, doc_id long, doc_tokens long, ids binary")
 
 
 def pack(docs: DataFrame, window: int = WINDOW, vocabulary_file: str | None = None, end_id: int = END_ID, keep_ids: bool = False) -> DataFrame:
     """Per piece: doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset, and with keep_ids the packed ids.
 
-    A null or empty text is the end id alone. Repeated rows and ids are packed each for itself, an empty table
+    A null or empty text is the end id alone. Repeated rows and ids are packed each for itself, null ids first; an empty table
     gives no rows, other columns are ignored; a document longer than the window gives a piece for each window.
     """
     tokens = materialise(tokenise(docs, vocabulary_file, end_id), "packing-tokens")
