@@ -2,8 +2,9 @@
 
 Of the hashes of a text's word shingles all those below a fixed fraction of the hash range are kept. The
 sketch of a union is the union of the sketches, its size follows the text's, and the share of one sketch in
-another estimates containment however unequal the texts are. A fingerprint is written as the number of
-distinct shingles, a digest of all of them, and 32 bits of each kept hash in ascending order.
+another estimates containment however unequal the texts are. A text of few shingles keeps them all, and is cut
+to the fraction when it meets a larger one. A fingerprint is written as the number of distinct shingles, a
+digest of all of them, and 32 bits of each kept hash in ascending order.
 
 Each document is also set against its edited text, which takes the next document's beginning. One range
 exchange by doc_id brings neighbours together; where a partition ends, its last document and the first of
@@ -26,36 +27,66 @@ from pivotgrove.llm.tables import read, texts
 from pivotgrove.runtime import materialise, ship
 
 WORDS, SCALE = 5, 8  #: words in a shingle; one hash in SCALE is kept
+WHOLE = 64  #: up to so many shingles a text keeps all
+_CUT = np.uint32((1 << 32) // SCALE)
+_MERGED_WHOLE, _MERGED = (1 << 64) - 1, (1 << 64) - 2  #: stand for the total of a merged sketch
 
 
 class Sketch:
-    """The kept hashes (ascending), how many shingles they were drawn from, and the sum of all as a digest."""
+    """The kept hashes (ascending), how many shingles they were drawn from, and the sum of all as a digest.
+
+    A merged sketch knows its kept hashes alone: total and digest are those of a text, and then unknown.
+    """
 
     def __init__(self, total: int, digest: int, kept: np.ndarray):
         self.total, self.digest, self.kept = total, digest, kept
 
     @classmethod
-    def of(cls, text: str, words: int = WORDS, scale: int = SCALE) -> Sketch:
-        hashes = shingle_hashes(text, words)
+    def of(cls, text: str, words: int = WORDS) -> Sketch:
+        return cls.over(shingle_hashes(text, words))
+
+    @classmethod
+    def over(cls, hashes: np.ndarray) -> Sketch:
+        """Of a set of distinct 64-bit shingle hashes."""
         digest = int(hashes.sum(dtype=np.uint64)) if len(hashes) else 0
-        high = (hashes[hashes < np.uint64((1 << 64) // scale)] >> np.uint64(32)).astype(np.uint32)  # 32 bits are kept of each
-        return cls(len(hashes), digest, np.unique(high))
+        kept = np.unique((hashes >> np.uint64(32)).astype(np.uint32))  # 32 bits are kept of each
+        return cls(len(hashes), digest, kept if len(hashes) <= WHOLE else kept[kept < _CUT])
+
+    @property
+    def whole(self) -> bool:
+        """Every shingle was kept."""
+        return self.total <= WHOLE or self.total == _MERGED_WHOLE
+
+    def _alike(self, other: Sketch) -> tuple[np.ndarray, np.ndarray]:
+        """Both sketches' hashes under one fraction."""
+        if self.whole and other.whole:
+            return self.kept, other.kept
+        return self.kept[self.kept < _CUT], other.kept[other.kept < _CUT]
 
     def merge(self, other: Sketch) -> Sketch:
-        """The sketch of both texts' shingles together; total and digest become those of the kept hashes alone."""
-        kept = np.union1d(self.kept, other.kept)
-        return Sketch(len(kept), int(kept.sum(dtype=np.uint64)), kept)
+        """The sketch of both texts' shingles together."""
+        a, b = self._alike(other)
+        kept = np.union1d(a, b)
+        whole = self.whole and other.whole and len(kept) <= WHOLE
+        return Sketch(_MERGED_WHOLE, 0, kept) if whole else Sketch(_MERGED, 0, kept[kept < _CUT])
 
     def containment(self, other: Sketch) -> float:
         """Estimated share of this text's shingles that the other has; 0 where nothing was kept."""
-        return len(np.intersect1d(self.kept, other.kept, assume_unique=True)) / len(self.kept) if len(self.kept) else 0.0
+        if self._same(other):
+            return 1.0
+        a, b = self._alike(other)
+        return len(np.intersect1d(a, b, assume_unique=True)) / len(a) if len(a) else 0.0
+
+    def _same(self, other: Sketch) -> bool:
+        return self.total < _MERGED and (self.total, self.digest) == (other.total, other.digest)
 
     def likeness(self, other: Sketch) -> float:
         """Estimated Jaccard similarity; texts with the same shingles have 1, whatever was kept of them."""
-        if (self.total, self.digest) == (other.total, other.digest):
+        if self._same(other):
             return 1.0
-        both = len(np.intersect1d(self.kept, other.kept, assume_unique=True))
-        union = len(self.kept) + len(other.kept) - both
+        a, b = self._alike(other)
+        both = len(np.intersect1d(a, b, assume_unique=True))
+        union = len(a) + len(b) - both
         return both / union if union else 0.0
 
     def __bytes__(self) -> bytes:
@@ -78,10 +109,10 @@ def edited(text: str, following: str) -> str:
 def _row(text: str, own: Sketch, following: str, nxt: Sketch) -> tuple:
     changed = edited(text, following)
     other = own if changed == text else Sketch.of(changed)
-    return len(text), hashlib.sha256(changed.encode()).digest(), bytes(own), bytes(other), own.likeness(other), own.likeness(nxt)
+    return len(text), hashlib.sha256(changed.encode()).digest(), bytes(own), bytes(other), own.likeness(other), own.likeness(nxt), own.containment(other), own.containment(nxt)
 
 
-_RESULT = "n_chars long, edited_sha256 binary, fingerprint binary, edited_fingerprint binary, near_edited double, near_next double"
+_RESULT = "n_chars long, edited_sha256 binary, fingerprint binary, edited_fingerprint binary, near_edited double, near_next double, in_edited double, in_next double"
 _NAMES = [x.split()[0] for x in _RESULT.split(", ")]
 
 
@@ -90,7 +121,7 @@ def _neighbours(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     part, held = TaskContext.get().partitionId(), None
 
     def written(rows: list[tuple]) -> pa.RecordBatch:
-        kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.binary(), pa.binary(), pa.binary(), pa.float64(), pa.float64()]
+        kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int64(), pa.binary(), pa.binary(), pa.binary(), *[pa.float64()] * 4]
         return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], ["part", "doc_id", "head", "tail", *_NAMES])
 
     for batch in batches:
@@ -99,14 +130,14 @@ def _neighbours(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             text = text.as_py()
             own = Sketch.of(text)
             if held is None:
-                rows.append((part, None, text, None, *[None] * 6))
+                rows.append((part, None, text, None, *[None] * len(_NAMES)))
             else:
                 rows.append((part, held[0], None, None, *_row(held[1], held[2], text, own)))
             held = (doc_id, text, own)
         if rows:
             yield written(rows)
     if held is not None:
-        yield written([(part, held[0], None, held[1], *[None] * 6)])
+        yield written([(part, held[0], None, held[1], *[None] * len(_NAMES))])
 
 
 def _boundaries(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -119,14 +150,14 @@ def _boundaries(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def fingerprints(docs: DataFrame) -> DataFrame:
-    """Per row of docs: doc_id and the columns of the contract.
+    """Per row of docs: doc_id, the columns of the contract, and in_edited and in_next: the shares of its shingles there.
 
     A null text counts as empty: no shingle, likeness 1 to another empty text and 0 to any other. A text of
-    fewer words than a shingle is one shingle. The order is (doc_id, text): repeated ids and rows follow one
+    fewer words than a shingle is one shingle. The order is (doc_id, hash of the text): repeated ids and rows follow one
     another; a single row follows itself; an empty table gives no rows; other columns are ignored.
     """
     ship(docs.sparkSession)
-    ordered = texts(docs).repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
+    ordered = texts(docs).withColumn("h", F.xxhash64("text")).repartitionByRange("doc_id", "h").sortWithinPartitions("doc_id", "h").drop("h")
     found = materialise(ordered.mapInArrow(_neighbours, f"part long, doc_id long, head string, tail string, {_RESULT}"), "sketch-rows")
     heads = found.where("head is not null").select("part")
     # Partitions are few and carry numbers alone here: each is given the next one that has rows, the last the first.
