@@ -21,12 +21,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pivotgrove.llm.tables import read
-from pivotgrove.runtime import components, materialise, ship
+from pivotgrove.runtime import components, discard, materialise, ship
 
 THRESHOLD, TARGET = 0.95, 0.995
 SAMPLE = 20_000  #: vectors that the codebooks and the number of visits are fitted on at most
 CELL_ROWS = 256  #: vectors a cell should hold
-CODES_LEAST, CODES_MOST = 4, 256
+CODES_LEAST, CODES_MOST = 4, 2048  #: up to a billion vectors the cells stay as full; then they grow
 BLOCK = 1024
 SEED = 11
 
@@ -70,6 +70,20 @@ class MultiIndex:
         """The visits of each row; the first is its own cell."""
         return [traverse(p, q, self.visits) for p, q in zip(*self.distances(x), strict=True)]
 
+    def ranks(self, x: np.ndarray, cells: np.ndarray) -> np.ndarray:
+        """How many cells lie as near to each row as its given cell, itself left out: counted by code, not walked."""
+        out = np.empty(len(x), dtype=np.int64)
+        width = len(self.books[1])
+        for r, (p, q, c) in enumerate(zip(*self.distances(x), cells.tolist(), strict=True)):
+            # The sums below stay on one side of the cell's own sum, whatever the rounding.
+            limit = p[c // width] + q[c % width]
+            out[r] = np.searchsorted(np.sort(q), limit - p + 1e-12, side="right").sum() - 1
+        return np.maximum(out, 0)
+
+    def homes(self, x: np.ndarray) -> np.ndarray:
+        p, q = self.distances(x)
+        return p.argmin(1) * len(self.books[1]) + q.argmin(1)
+
     @classmethod
     def fit(cls, sample: np.ndarray, rows: int, threshold: float = THRESHOLD, target: float = TARGET, seed: int = SEED) -> MultiIndex:
         codes = int(min(CODES_MOST, max(CODES_LEAST, np.ceil(np.sqrt(rows / CELL_ROWS)))))
@@ -82,11 +96,9 @@ class MultiIndex:
         side -= (side * x).sum(1, keepdims=True) * x
         side /= np.maximum(np.linalg.norm(side, axis=1, keepdims=True), 1e-300)
         y = threshold * x + np.sqrt(1 - threshold**2) * side
-        own = [r[0] for r in cls(books, 1).route(y)]
-        back = [r[0] for r in cls(books, 1).route(x)]
         # A pair is found when either side visits the other's cell.
-        rank = np.array([min(p.index(b), q.index(a)) for p, b, q, a in zip(index.route(x), own, index.route(y), back, strict=True)])
-        index.visits = int(np.ceil(np.quantile(rank, target, method="higher"))) + 1
+        rank = np.minimum(index.ranks(x, index.homes(y)), index.ranks(y, index.homes(x)))
+        index.visits = int(np.quantile(rank, target, method="higher")) + 1
         return index
 
 
@@ -102,17 +114,19 @@ def _route_kernel(shared):
         for batch in batches:
             for at in range(0, batch.num_rows, 2048):
                 rows = batch.slice(at, 2048)
-                x = _unit(rows.column(2))
-                visits = index.route(x)
-                yield pa.RecordBatch.from_arrays([rows.column(0), rows.column(1), pa.array([v.tobytes() for v in x], pa.binary()), pa.array(visits, pa.list_(pa.int32()))], ["rep", "weight", "unit", "visits"])
+                visits = index.route(_unit(rows.column(2)))
+                # The vector travels as it was given: 4 bytes a component where it came as floats.
+                raw = np.asarray(rows.column(2).flatten()).reshape(len(visits), -1)
+                yield pa.RecordBatch.from_arrays([rows.column(0), rows.column(1), pa.array([v.tobytes() for v in raw], pa.binary()), pa.array(visits, pa.list_(pa.int32()))], ["rep", "weight", "raw", "visits"])
 
     return kernel
 
 
-def _cell_kernel(threshold: float):
+def _cell_kernel(threshold: float, component: type):
     def kernel(table: pa.Table) -> pa.Table:
         rep, weight = table["rep"].to_numpy(), table["weight"].to_numpy()
-        unit = np.vstack([np.frombuffer(v.as_py(), np.float64) for v in table["unit"]])
+        raw = np.vstack([np.frombuffer(v.as_py(), component) for v in table["raw"]]).astype(np.float64)
+        unit = raw / np.linalg.norm(raw, axis=1, keepdims=True)
         entry, probe = np.flatnonzero(table["entry"].to_numpy()), np.flatnonzero(~table["entry"].to_numpy())
         gain = np.zeros(len(rep), dtype=np.int64)
         links: list[tuple[int, int]] = []
@@ -163,7 +177,9 @@ def near_duplicates(vectors: DataFrame, vec_id: str = "vec_id", embedding: str =
     """
     spark = vectors.sparkSession
     ship(spark)
-    rows = vectors.select(F.col(vec_id).cast("long").alias("vec_id"), F.col(embedding).cast("array<double>").alias("v")).groupBy("vec_id").agg(F.min("v").alias("v"))
+    narrow = vectors.schema[embedding].dataType.simpleString() == "array<float>"
+    kind = "array<float>" if narrow else "array<double>"
+    rows = vectors.select(F.col(vec_id).cast("long").alias("vec_id"), F.col(embedding).cast(kind).alias("v")).groupBy("vec_id").agg(F.min("v").alias("v"))
     finite = F.forall("v", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists("v", lambda x: x != 0)
     good = materialise(rows.where(F.col("v").isNotNull() & finite), "vectors")
     width = good.groupBy(F.size("v").alias("d")).agg(F.count("*").alias("n")).orderBy(F.desc("n"), "d").first()
@@ -175,17 +191,19 @@ def near_duplicates(vectors: DataFrame, vec_id: str = "vec_id", embedding: str =
     sample = classes.select(F.xxhash64("rep").alias("h"), "v").orderBy("h").limit(SAMPLE).toArrow()["v"].combine_chunks()
     index = MultiIndex.fit(_unit(sample), classes.count(), threshold, target)
     shared = spark.sparkContext.broadcast((index.books, index.visits))
-    routed = materialise(classes.mapInArrow(_route_kernel(shared), "rep long, weight long, unit binary, visits array<int>"), "vectors-routed").withColumn("home", F.element_at("visits", 1))
+    routed_at = materialise(classes.mapInArrow(_route_kernel(shared), "rep long, weight long, raw binary, visits array<int>"), "vectors-routed")
+    routed = routed_at.withColumn("home", F.element_at("visits", 1))
     visits = routed.withColumn("cell", F.explode("visits"))
     blocks = lambda n: F.ceil(F.col(n) / BLOCK).cast("int")
     size = visits.groupBy("cell").agg(F.count("*").alias("probes"), F.sum((F.col("home") == F.col("cell")).cast("int")).alias("entries")).where("entries > 0")
-    size = F.broadcast(size.select("cell", blocks("probes").alias("pb"), blocks("entries").alias("eb")))  # a row for each cell of the grid at most
+    size = size.select("cell", blocks("probes").alias("pb"), blocks("entries").alias("eb"))  # a row for each cell that holds vectors
     part = lambda n: F.pmod(F.xxhash64("rep"), F.col(n)).cast("int")
     every = lambda n: F.explode(F.sequence(F.lit(0), F.col(n) - 1))
-    common = ["cell", "p", "e", "rep", "weight", "unit", "home", "visits"]
+    common = ["cell", "p", "e", "rep", "weight", "raw", "home", "visits"]
     entries = routed.withColumn("cell", F.col("home")).join(size, "cell").withColumn("e", part("eb")).withColumn("p", every("pb")).select(*common, F.lit(True).alias("entry"))
     probes = visits.join(size, "cell").withColumn("p", part("pb")).withColumn("e", every("eb")).withColumn("visits", F.array().cast("array<int>")).select(*common, F.lit(False).alias("entry"))
-    found = materialise(entries.union(probes).groupBy("cell", "p", "e").applyInArrow(_cell_kernel(threshold), "rep long, gain long, other long"), "vectors-found")
+    found = materialise(entries.union(probes).groupBy("cell", "p", "e").applyInArrow(_cell_kernel(threshold, np.float32 if narrow else np.float64), "rep long, gain long, other long"), "vectors-found")
+    discard(routed_at)
     gains = found.where("other is null").groupBy("rep").agg(F.sum("gain").alias("gain"))
     linked = components(found.where("other is not null").select(F.col("rep").alias("src"), F.col("other").alias("dst")))
     named = classes.join(gains, "rep", "left").join(linked.withColumnRenamed("node", "rep"), "rep", "left").select("v", (F.coalesce("gain", F.lit(0)) + F.col("weight") - 1).alias("n_links"), F.coalesce("root", "rep").alias("component_id"))

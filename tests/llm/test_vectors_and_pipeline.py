@@ -50,6 +50,28 @@ def test_planted_groups_copies_and_odd_vectors(spark, monkeypatch):
     assert multi_index.near_duplicates(df.limit(0)).count() == 0
 
 
+def test_recall_on_float_vectors_with_links(spark):
+    draw = np.random.default_rng(6)
+    x = draw.normal(size=(4000, 64))
+    for g in range(500):  # neighbours from far over the threshold to a little under it
+        x[8 * g + 1 : 8 * g + 4] = x[8 * g] + draw.uniform(0.05, 0.35) * draw.normal(size=(3, 64))
+    x = x.astype(np.float32)
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<float>")
+    got = {r.vec_id: r for r in multi_index.near_duplicates(df).collect()}
+    want = brute(list(range(4000)), x.astype(np.float64))
+    found, total = sum(r.n_links for r in got.values()), sum(n for n, _ in want.values())
+    assert total > 2000 and 0.99 * total <= found <= total and all(got[i].n_links <= want[i][0] for i in got)
+    assert np.mean([got[i].component_id == want[i][1] for i in got]) > 0.99
+
+
+def test_ranks_equal_the_walk():
+    draw = np.random.default_rng(3)
+    index = multi_index.MultiIndex((draw.normal(size=(6, 4)), draw.normal(size=(5, 4))), 30)
+    x, cells = draw.normal(size=(40, 8)), draw.integers(0, 30, 40)
+    walked = [r.index(c) for r, c in zip(index.route(x), cells.tolist(), strict=True)]
+    assert index.ranks(x, cells).tolist() == walked and index.homes(x).tolist() == [r[0] for r in index.route(x)]
+
+
 def test_traversal_is_in_order():
     draw = np.random.default_rng(2)
     a, b = draw.random(9), draw.random(7)
