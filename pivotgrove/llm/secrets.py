@@ -2,8 +2,8 @@
 
 Fixed shapes find candidates with their places: the pieces between matches and the matches themselves, in
 turn, add up to offsets. Every candidate's hash is counted over the whole corpus by distinct repository and
-distinct owner, after a count within each: a value that many owners carry is a copied example, one that few
-carry is live-looking. A broader shape, a long run that mixes digits with letters of both cases, is added to
+distinct owner, after a count within each: a value that many owners, or very many repositories of one, carry is
+a copied example, any other is live-looking. A broader shape, a long run that mixes digits with letters of both cases, is added to
 the spans only where its owners are few.
 """
 
@@ -24,8 +24,8 @@ SHAPES = {
     "mixed": r"(?<![A-Za-z0-9+/_-])(?=[A-Za-z+/_-]*[0-9])(?=[A-Z0-9+/_-]*[a-z])(?=[a-z0-9+/_-]*[A-Z])[A-Za-z0-9+/_-]{24,}+",
 }
 VALUE_LENGTH = 8
-MAX_OWNERS = 2
-SALTS = 32
+MAX_OWNERS, MAX_REPOSITORIES = 2, 8
+RUN = 256  #: matches whose places are added up in one go
 
 
 def _places(text: Column, kind: str) -> Column:
@@ -33,16 +33,22 @@ def _places(text: Column, kind: str) -> Column:
     shape = F.lit(SHAPES[kind])
     hits = F.regexp_extract_all(text, shape, F.lit(0))
     gaps = F.split(text, SHAPES[kind], -1)
-    # The state is the end so far and the matches so far; gap i stands before match i.
-    start = F.aggregate(
-        F.zip_with(hits, F.slice(gaps, 1, F.size(hits)), lambda h, g: F.struct(h.alias("hit"), F.char_length(g).cast("long").alias("gap"))),
-        F.struct(F.lit(0).cast("long").alias("at"), F.array().cast("array<struct<kind:int,start:bigint,end:bigint,value:string>>").alias("out")),
+    each = F.zip_with(hits, F.slice(gaps, 1, F.size(hits)), lambda h, g: F.struct(h.alias("hit"), F.char_length(g).cast("long").alias("gap")))  # gap i stands before match i
+    # Runs of bounded length: first what each adds, then where each begins, then the places inside it.
+    runs = F.transform(F.sequence(F.lit(0), F.floor((F.size(hits) - 1) / RUN).cast("int")), lambda i: F.slice(each, i * RUN + 1, RUN))
+    zero = F.lit(0).cast("long")
+    adds = F.transform(runs, lambda r: F.aggregate(r, zero, lambda at, x: at + x["gap"] + F.char_length(x["hit"])))
+    begins = F.aggregate(adds, F.struct(zero.alias("at"), F.array().cast("array<bigint>").alias("out")), lambda s, n: F.struct((s["at"] + n).alias("at"), F.concat(s["out"], F.array(s["at"])).alias("out")), lambda s: s["out"])
+    inside = lambda run, begin: F.aggregate(
+        run,
+        F.struct(begin.alias("at"), F.array().cast("array<struct<kind:int,start:bigint,end:bigint,value:string>>").alias("out")),
         lambda s, x: F.struct(
             (s["at"] + x["gap"] + F.char_length(x["hit"])).alias("at"),
             F.concat(s["out"], F.array(F.struct(F.lit(KINDS.index(kind)).alias("kind"), (s["at"] + x["gap"]).alias("start"), (s["at"] + x["gap"] + F.char_length(x["hit"])).alias("end"), x["hit"].alias("value")))).alias("out"),
         ),
         lambda s: s["out"],
     )
+    start = F.flatten(F.zip_with(runs, begins, inside))
     if kind == "assign":
         kept = F.filter(start, lambda x: F.char_length(F.regexp_extract(x["value"], SHAPES[kind], 2)) >= VALUE_LENGTH)
         start = F.transform(kept, lambda x: F.struct(x["kind"].alias("kind"), x["start"].alias("start"), x["end"].alias("end"), F.regexp_extract(x["value"], SHAPES[kind], 2).alias("value")))
@@ -74,7 +80,7 @@ def ownership(found: DataFrame) -> DataFrame:
     return by_owner.groupBy("value_hash").agg(F.sum("n").alias("occurrences"), F.count("*").alias("owners")).join(repositories, "value_hash")
 
 
-def find_secrets(docs: DataFrame, max_owners: int = MAX_OWNERS, doc_id: str = "doc_id", text: str = "text", repository: str = "source", owner: str | None = None) -> DataFrame:
+def find_secrets(docs: DataFrame, max_owners: int = MAX_OWNERS, max_repositories: int = MAX_REPOSITORIES, doc_id: str = "doc_id", text: str = "text", repository: str = "source", owner: str | None = None) -> DataFrame:
     """Per row of docs: doc_id, n_assign, n_access, n_hex, base_sha256, spans, n_live, n_copied, `found` and row_key.
 
     `found` holds every span with its verdict. A null or empty text has none (and the hash of no bytes).
@@ -82,11 +88,10 @@ def find_secrets(docs: DataFrame, max_owners: int = MAX_OWNERS, doc_id: str = "d
     owner that is null counts as the empty name. Texts of any length are read whole.
     """
     scanned = materialise(candidates(docs, doc_id, text, repository, owner), "secret-candidates")
-    owned = ownership(scanned).select("value_hash", (F.col("owners") > max_owners).alias("copied"))
+    copied = ownership(scanned).where((F.col("owners") > max_owners) | (F.col("repositories") > max_repositories)).select("value_hash", F.lit(True).alias("copied"))
     each = scanned.where(F.size("found") > 0).select("doc_id", "row_key", F.explode("found").alias("f")).select("doc_id", "row_key", "f.kind", "f.start", "f.end", F.xxhash64("f.value").alias("value_hash")).distinct()
-    # A value that a third of all documents copy would meet in one task: its verdict goes to every salt instead.
-    salted = owned.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
-    judged = each.withColumn("salt", F.pmod(F.xxhash64("doc_id", "start"), F.lit(SALTS)).cast("int")).join(salted, ["value_hash", "salt"])
+    # Copied values are few; a hot one among them meets its rows in parts, as a skewed side of this join is split.
+    judged = each.join(copied, "value_hash", "left").withColumn("copied", F.coalesce("copied", F.lit(False)))
     by_row = judged.groupBy("doc_id", "row_key").agg(F.array_sort(F.collect_list(F.struct("start", "kind", "end", "copied"))).alias("judged"))
     rows, by_row = scanned.select("doc_id", "row_key").alias("r"), by_row.alias("b")
     same = F.col("r.doc_id").eqNullSafe(F.col("b.doc_id")) & (F.col("r.row_key") == F.col("b.row_key"))

@@ -117,8 +117,12 @@ def base_secrets(t):
 
 def test_secrets_base(both):
     for df in both:
-        want = collections.Counter((i, sha(base_secrets(t))) for i, t in plain(df))
-        assert collections.Counter((r.doc_id, r.base_sha256) for r in secrets.find_secrets(df).collect()) == want
+        kinds = lambda t: tuple(sum(k == x for x, *_ in base_secrets(t)) for k in ("assign", "access", "hex"))
+        want = collections.Counter((i, sha(base_secrets(t)), *kinds(t)) for i, t in plain(df))
+        got = secrets.find_secrets(df).collect()
+        assert collections.Counter((r.doc_id, r.base_sha256, r.n_assign, r.n_access, r.n_hex) for r in got) == want
+        bases = collections.Counter((i, ",".join(f"{k}:{a}:{b}" for k, a, b in base_secrets(t))) for i, t in plain(df))
+        assert collections.Counter((r.doc_id, ",".join(x for x in r.spans.split(",") if x and not x.startswith("mixed"))) for r in got) == bases
 
 
 def test_secrets_ownership(spark):
@@ -127,6 +131,15 @@ def test_secrets_ownership(spark):
     assert got[0].n_copied == 1 and got[0].n_live == 0 and got[9].n_live == 2 and "mixed:28:52" in got[9].spans
 
 
+def test_secrets_owners_repositories_and_many_matches(spark):
+    rows = [(i, "key Zx9Qw8Er7Ty6Ui5Op4As3Df2 end", f"one/repo{i % 12}", "", i) for i in range(12)]  # one owner, twelve repositories
+    rows += [(20 + i, "key Qq9Qw8Er7Ty6Ui5Op4As3Df2 end", f"two/repo{i}", "", i) for i in range(2)]
+    rows.append((40, "".join(f"é token={i:08d}é " for i in range(700)), "x", "", 0))
+    got = {r.doc_id: r for r in secrets.find_secrets(spark.createDataFrame(rows, SCHEMA)).collect()}
+    assert all(got[i].spans == "" for i in range(12)) and all(got[20 + i].spans == "mixed:4:28" for i in range(2))
+    assert got[40].n_assign == 700 and got[40].base_sha256 == sha(base_secrets(rows[-1][1]))
+
+
 def test_token_counts(both):
     sp = sentencepiece.SentencePieceProcessor(model_file=PT.path("piece_bpe_32k.model"))
     for df in both:
