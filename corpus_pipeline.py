@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from pivotgrove.llm import occurrence_join, packing, secrets, toxicity
 from pivotgrove.llm.tables import read
-from pivotgrove.runtime import materialise
+from pivotgrove.runtime import discard, materialise
 
 MASK = "[secret]"
 NEAR_WORDS, NEAR_PERCENT = 5, 80
@@ -29,7 +29,10 @@ def text_hash() -> Column:
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the factorisation machine calls toxic go. Repeated doc_ids go together, any of them toxic; without one a text goes by itself."""
+    """Documents that the factorisation machine calls toxic go. Repeated doc_ids go together, any of them toxic; without one a text goes by itself.
+
+    Where nothing is labelled, nothing goes.
+    """
     judged = toxicity.score(docs, toxicity.fit(docs, read(spark, sf_dir, "labels")), keyed=True)
     toxic = judged.where("predicted = 1").select(identity(F.col("row_key")).alias("_identity")).distinct()
     return docs.withColumn("_identity", identity(text_hash())).join(toxic, "_identity", "left_anti").select(docs.columns)
@@ -48,7 +51,10 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def mask_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Every document stays; the spans of its secrets are replaced by the mask, copied examples' too, and n_chars follows."""
+    """Every document stays; the spans of its secrets are replaced by the mask, copied examples' too, and n_chars follows.
+
+    Rows that share a doc_id, or have none, are masked each by its own text's spans; a null text stays null.
+    """
     found = secrets.find_secrets(docs).where(F.size("found") > 0)
     # Overlapping spans are masked as one: a span begins where none before it reaches.
     spans = F.aggregate(
@@ -94,5 +100,6 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read(spark, sf_dir, "documents")
     for name, stage in STAGES[:-1]:
-        docs = materialise(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        older, docs = docs, materialise(stage(spark, docs, sf_dir), f"pipeline-{name}")
+        discard(older)
     return STAGES[-1][1](spark, docs, sf_dir)
