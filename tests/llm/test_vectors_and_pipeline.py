@@ -1,15 +1,15 @@
 """Embedding near-duplicates and the pipeline against plain Python."""
 
-import collections
 import zlib
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
+from tokenizers import Tokenizer
 
 import corpus_pipeline
-from pivotgrove.llm import multi_index, secrets, toxicity
-from pivotgrove.llm.tables import read
+from pivotgrove.llm import multi_index, packing, secrets, toxicity
+from pivotgrove.llm.tables import read, vocabulary
 from tests.llm.test_text_operators import base_secrets, brute_components
 
 
@@ -131,11 +131,32 @@ def test_toxic_rows_without_an_id_go(spark, sf_dir, monkeypatch):
     assert {(r.doc_id, r.text) for r in corpus_pipeline.drop_toxic(spark, docs, sf_dir).collect()} == {(None, "kind"), (2, "kind")}
 
 
-def test_run_packs_what_the_stages_leave(spark, sf_dir):
-    rows = corpus_pipeline.run(spark, sf_dir).collect()
-    by_seq = collections.defaultdict(int)
-    for r in rows:
-        by_seq[r.sequence_id] += r.length
-    assert set(list(by_seq.values())[:-1]) <= {2048, by_seq[max(by_seq)]}
-    assert len({r.doc_id for r in rows}) < read(spark, sf_dir, "documents").count()
-    assert all(0 <= r.ids_crc32 < 2**32 for r in rows) and zlib.crc32(b"") == 0
+def test_nothing_goes_without_labels(spark, tmp_path):
+    spark.createDataFrame([], "doc_id long, toxic int").write.parquet(str(tmp_path / "labels.parquet"))
+    docs = spark.createDataFrame([(1, "idiot scum"), (2, "kind"), (None, None)], "doc_id long, text string")
+    assert corpus_pipeline.drop_toxic(spark, docs, str(tmp_path)).count() == 3
+
+
+def test_run_equals_plain_python(spark, sf_dir):
+    docs, labels = read(spark, sf_dir, "documents"), read(spark, sf_dir, "labels")
+    toxic = {r.doc_id for r in toxicity.toxicity(docs, labels).collect() if r.predicted}
+    rows = sorted((r.doc_id, r.text) for r in docs.collect() if r.doc_id not in toxic)
+    kept = {d for d, _, least in brute_components(rows, 5, 80) if d == least}
+    rows = [r for r in rows if r[0] in kept]
+    spans = {r.doc_id: [tuple(map(int, x.split(":")[1:])) for x in r.spans.split(",") if x] for r in secrets.find_secrets(docs.where(F.col("doc_id").isin(sorted(kept)))).collect()}
+    tokens = Tokenizer.from_file(vocabulary(packing.VOCABULARY))
+    want, at = [], 0
+    for doc_id, text in rows:
+        out, begun = "", 0
+        for a, b in sorted(spans[doc_id]):
+            if a >= begun:
+                out += text[begun:a] + corpus_pipeline.MASK
+            begun = max(begun, b)
+        ids = tokens.encode(out + text[begun:], add_special_tokens=False).ids + [1]
+        start = 0
+        while start < len(ids):
+            length = min(2048 - at % 2048, len(ids) - start)
+            want.append((doc_id, start, length, zlib.crc32(np.array(ids[start : start + length], "<u4").tobytes()), len(ids), at // 2048, at % 2048))
+            start, at = start + length, at + length
+    got = corpus_pipeline.run(spark, sf_dir).select("doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset").collect()
+    assert len(toxic) > 2 and len(kept) < docs.count() - len(toxic) and sorted(map(tuple, got)) == want
