@@ -31,8 +31,8 @@ from pivotgrove.runtime import materialise, ship
 WORD_CLASSES, ENDING_CLASSES = 128, 127
 CONTEXT, WIDTH = 6, 16
 COMMON_WORDS = 500_000  #: words whose counts every task holds, at most
-EPOCHS, BATCH, NOISE, RATE, SEED = 3, 1024, 10, 0.15, 5
-LANES, DRAWN = 16, 64  #: runs of tokens in a batch, and noise classes that it draws
+EPOCHS, BATCH, NOISE, RATE, SEED = 3, 2048, 10, 0.15, 5
+LANES, DRAWN = 16, 48  #: runs of tokens in a batch, and noise classes that it draws
 MERGED = 256  #: copies of the model that one task adds up
 END = np.uint64(0xE9D)  #: stands for the end of a text
 _FLUSH = 1 << 22
@@ -131,10 +131,17 @@ class LogBilinear:
             guess = sum(seen[:, x] * v for x, v in zip(back, weight, strict=True)).reshape(-1, WIDTH)
             after, bias = self.after.astype(np.float32), (self.bias - log_noise).astype(np.float32)
             q = after.take(w, 0)
-            own = (1 / (1 + np.exp(-np.clip(np.einsum("bd,bd->b", guess, q) + bias.take(w), -30, 30))) - 1) * each
-            z = np.clip(guess @ after[k].T + bias[k], -30, 30)
-            gap = each[:, None] * np.float32(NOISE / DRAWN) / (1 + np.exp(-z))
-            g_guess = own[:, None] * q + gap @ after[k]
+            own = ((1 / (1 + np.exp(-np.clip(np.einsum("bd,bd->b", guess, q) + bias.take(w), -30, 30))) - 1) * each).astype(np.float32)
+            drawn = after.take(k, 0)
+            gap = guess @ -drawn.T  # the share of each drawn class, in place: each * NOISE / DRAWN over 1 + exp(-z)
+            gap -= bias.take(k)
+            np.clip(gap, -30, 30, out=gap)
+            np.exp(gap, out=gap)
+            gap += 1
+            np.divide((each * np.float32(NOISE / DRAWN))[:, None], gap, out=gap)
+            q *= own[:, None]
+            g_guess = gap @ drawn
+            g_guess += q
             g_after = np.bincount((w[:, None] * WIDTH + at_width).ravel(), (own[:, None] * guess).ravel(), self.after.size).reshape(self.after.shape)
             np.add.at(g_after, k, (gap.T @ guess).astype(float))
             g_bias = np.bincount(w, own, len(share)) + np.bincount(k, gap.sum(0), len(share))
@@ -155,6 +162,7 @@ class LogBilinear:
         # One product for every distance and class: a context adds up rows of it.
         moved = [(self.before * w).astype(np.float32) for w in self.weight]
         after, bias = self.after.T.astype(np.float32), self.bias.astype(np.float32)
+        every = np.ones(len(bias), np.float32)
         for lo in range(0, len(target), block):
             c = context[lo : lo + block]
             guess = moved[0][c[:, 0]]
@@ -163,10 +171,12 @@ class LogBilinear:
             z = guess @ after
             z += bias
             own = z[np.arange(len(c)), target[lo : lo + block]].astype(float)
-            top = z.max(axis=1)
-            z -= top[:, None]
-            np.exp(z, out=z)
-            out[lo : lo + block] = own - top - np.log(z.sum(axis=1, dtype=np.float64))
+            top = z.max()
+            total = np.exp(np.subtract(z, top, out=z)) @ every
+            out[lo : lo + block] = own - top - np.log(np.maximum(total, 1e-300))
+            for i in np.flatnonzero(total < 1e-20):  # a row far below the block's top is added up by itself
+                row = guess[i].astype(float) @ self.after.T + self.bias
+                out[lo + i] = row[target[lo + i]] - row.max() - np.log(np.exp(row - row.max()).sum())
         return out
 
 
