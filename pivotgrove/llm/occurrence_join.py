@@ -300,6 +300,17 @@ def _in_two(rows: DataFrame, hot: list[int]) -> DataFrame:
     return spread.union(rows.where(crowd).select("key", "due", "shingle", F.xxhash64("shingle").alias("head"))) if hot else spread
 
 
+def _edges(shared: DataFrame, hot: list[int]) -> DataFrame:
+    """(src, dst) of the cluster graph. A key hangs on one of its hot shingles; these are joined by the distinct sets of them."""
+    edge = lambda a, b: ((F.col(a) if isinstance(a, str) else a).alias("src"), (F.col(b) if isinstance(b, str) else b).alias("dst"))
+    if not hot:
+        return shared.select(*edge("head", "key"))
+    crowd = F.col("shingle").isin(hot)
+    held = shared.where(crowd).groupBy("key").agg(F.array_sort(F.collect_set("head")).alias("heads"))  # HOT_MOST at most
+    least = F.element_at("heads", 1)
+    return shared.where(~crowd).select(*edge("head", "key")).union(held.select(*edge(least, "key"))).union(held.select("heads").distinct().select(*edge(least, F.explode("heads"))))
+
+
 def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCENT) -> DataFrame:
     """Per row of docs: doc_id, n_shingles, component_id (the smallest doc_id that links reach).
 
@@ -326,7 +337,7 @@ def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCE
         enough = shared.select("key", "due", "shingle", of_key.alias("n")).where("n >= due").drop("n")
         older, shared = shared, materialise(_in_two(enough, hot), "join-shared")
         discard(older)
-    clusters = components(shared.select(F.col("head").alias("src"), F.col("key").alias("dst")))
+    clusters = components(_edges(shared, hot))
     chosen = materialise(classes.withColumn("node", key).join(clusters, "node").select(F.col("first_id").alias("doc_id"), "digest", "n", "root"), "join-chosen")
     discard(shared)
     total, many = chosen.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()

@@ -271,6 +271,21 @@ def test_near_copies_chain_blocks_and_empty(spark, monkeypatch):
     assert occurrence_join.jaccard_components(spark.createDataFrame([], SCHEMA)).count() == 0
 
 
+def test_hot_shingles_stay_where_they_are(spark, monkeypatch):
+    monkeypatch.setattr(occurrence_join, "HOT_IN", 1)
+    monkeypatch.setattr(occurrence_join, "HOT_HELD", 4)
+    draw = random.Random(9)
+    passage = " ".join(f"p{i}" for i in range(60))
+    rows = []
+    for i in range(60):
+        own = [f"o{i // 3}-{j}" for j in range(80)]
+        own[draw.randrange(80)] = f"edit{i}"
+        rows.append((i, " ".join(own) + (" " + passage if i % 2 else ""), None, "", 0))
+    df = spark.createDataFrame(rows, SCHEMA)
+    got = collections.Counter((r.doc_id, r.n_shingles, r.component_id) for r in occurrence_join.jaccard_components(df).collect())
+    assert got == brute_components([(r[0], r[1]) for r in rows], 4, 85)
+
+
 def test_merged_lists_equal_counts():
     draw = random.Random(11)
     for _ in range(300):
