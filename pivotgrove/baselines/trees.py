@@ -109,12 +109,18 @@ class LearnedRTree:
     model: object
 
     def knn(self, queries: DataFrame) -> DataFrame:
-        return search.knn(self.ix, queries, "box_dfs", home_pass=True)
+        return search.knn(self.ix, queries, "box_dfs", home=self.guessed(queries))
 
     def guessed(self, queries: DataFrame) -> DataFrame:
         from pyspark.ml.functions import array_to_vector
 
-        return self.model.transform(queries.withColumn("features", array_to_vector("qcoords"))).select("qid", F.col("prediction").cast("int").alias("cell_place"))
+        told = self.model.transform(queries.withColumn("features", array_to_vector("qcoords"))).select("qid", F.col("prediction").cast("int").alias("label"))
+        return told.join(F.broadcast(_places(self.ix)), "label").select("qid", "cell_id")
+
+
+def _places(ix: IndexHandle) -> DataFrame:
+    """(cell_id, label): a row a cell."""
+    return ix.summary().select("cell_id", (F.row_number().over(Window.orderBy("cell_id")) - 1).alias("label"))
 
 
 def learned_rtree(points: DataFrame, sample: int = 20_000, **options) -> LearnedRTree:
@@ -122,7 +128,7 @@ def learned_rtree(points: DataFrame, sample: int = 20_000, **options) -> Learned
     from pyspark.ml.functions import array_to_vector
 
     ix = packed_rtree(points, **options)
-    places = ix.summary().select("cell_id", (F.row_number().over(Window.orderBy("cell_id")) - 1).alias("label"))  # a row a cell
+    places = _places(ix)
     rows = ix.points().select("pid", "coords", "cell_id", F.xxhash64("pid").alias("h")).orderBy("h").limit(sample).join(F.broadcast(places), "cell_id")
     model = DecisionTreeClassifier(maxDepth=10).fit(rows.select(array_to_vector("coords").alias("features"), F.col("label").cast("double").alias("label")))
     return LearnedRTree(ix, model)

@@ -27,7 +27,7 @@ def config_ratio(log: DataFrame, base: str, keys: tuple[str, ...] = ("dataset",
 def index_bytes(ix: IndexHandle) -> DataFrame:
     """Bytes of the packed cells, of the points alone (8 a number and an id), and the share that the tree adds."""
     raw = F.sum("n_points") * (8 * ix.d + 8)
-    return ix.cells.agg(F.sum(F.octet_length("packed")).alias("index_bytes"), raw.alias("point_bytes"), F.sum("n_points").alias("points")).withColumn("extra_share", F.col("index_bytes") / F.col("point_bytes") - 1)
+    return ix.cells.agg(F.sum(F.octet_length("packed")).alias("index_bytes"), raw.alias("point_bytes"), F.sum("n_points").alias("indexed_points")).withColumn("extra_share", F.col("index_bytes") / F.col("point_bytes") - 1)
 
 
 def rebuild_fraction(log: DataFrame) -> DataFrame:
@@ -144,7 +144,8 @@ def sse(points: DataFrame, centroids) -> float:
 def spark_io(spark, action: Callable) -> dict:
     """Shuffle, spill and task counts of what an action ran, from the status store of the session."""
     store = spark._jsparkSession.sparkContext().statusStore()
-    stages = lambda: {(s.stageId(), s.attemptId()): s for s in _java_list(spark, store.stageList(None))}
+    jvm, none = spark._jvm, spark.sparkContext._gateway.new_array(spark._jvm.double, 0)
+    stages = lambda: {(s.stageId(), s.attemptId()): s for s in _java_list(spark, store.stageList(None, False, False, none, jvm.java.util.ArrayList()))}
     before = set(stages())
     action()
     new = [s for k, s in stages().items() if k not in before]

@@ -1,9 +1,9 @@
 """The two-tier index: cells cut on a bounded sample, a tree in each, one row per cell in the store.
 
-The upper tier is the same multi-way tree, built with learned cuts on a sample of fixed size; it becomes a
-nested CASE expression, so dealing points to cells is a projection in generated code followed by the build's
-only full exchange. A cell over its size (equal points cannot be cut) is dealt further by a hash of the id:
-cells may overlap, their bounds stay true, so answers do too.
+The upper tier is the same multi-way tree, built on a sample that grows with the number of cells up to
+MAX_CELLS; as arrays it goes to every task, which deals its points level by level, before the build's only full
+exchange. A cell that is still over its size is dealt further by a grid over its two widest coordinates, or,
+where its points are equal, by a hash of the id: cells may overlap, their bounds stay true, so answers do too.
 """
 
 from __future__ import annotations
@@ -13,7 +13,7 @@ from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from pivotgrove.operators import tree
@@ -21,8 +21,10 @@ from pivotgrove.operators.tree import Node, Params
 from pivotgrove.runtime import materialise, ship
 from pivotgrove.sources.points import validate
 
-SAMPLE_ROWS = 100_000  #: points that the upper tier is cut on at most
+SAMPLE_ROWS, CELL_SAMPLE = 100_000, 64  #: points that the upper tier is cut on: so many, or so many for each cell
+MAX_CELLS = 65_536  #: cells of the upper tier; a cell that then holds too much is dealt on by a grid
 CELL_POINTS = 65_536  #: points that a cell should hold
+FAN = 8
 CELL_SCHEMA = "cell_id long, n_points long, lo array<double>, hi array<double>, center array<double>, radius double, packed binary, version long"
 _SUB = 1 << 20
 
@@ -36,7 +38,7 @@ class IndexHandle:
     params: Params
     d: int
     version: int = 0
-    subs: dict[int, int] = field(default_factory=dict)
+    subs: dict[int, int | list] = field(default_factory=dict)  # a cell dealt on: ways by hash, or [side, then dim, lo, hi of each grid coordinate]
     log: DataFrame | None = None  # every rebuild of every batch
 
     def nodes(self) -> DataFrame:
@@ -92,26 +94,68 @@ def _point_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                     )
 
 
-def _cell_of(node: Node, names: dict[int, int]) -> Column:
-    """The upper tier as nested conditions on flat coordinates: a value equal to a cut goes left."""
-    if node.idx is not None:
-        return F.lit(names[id(node)])
-    x = F.element_at("coords", node.dim + 1)
-    out = None
-    for cut, kid in zip(node.pivots.tolist(), node.kids, strict=False):
-        out = F.when(x <= cut, _cell_of(kid, names)) if out is None else out.when(x <= cut, _cell_of(kid, names))
-    last = _cell_of(node.kids[-1], names)
-    return last if out is None else out.otherwise(last)
-
-
-def cell_column(ix_upper: Node, subs: dict[int, int]) -> Column:
-    names = {id(x): i for i, x in enumerate(tree.leaves(ix_upper))}
-    cell = _cell_of(ix_upper, names).cast("long")
-    many = {c: s for c, s in subs.items() if s > 1}
-    if not many:
-        return cell * _SUB
-    ways = F.coalesce(F.try_element_at(F.create_map(*[F.lit(v) for kv in many.items() for v in kv]), cell.cast("int")), F.lit(1))
-    return cell * _SUB + F.pmod(F.xxhash64("pid"), ways)
+def _mixed(pids: np.ndarray) -> np.ndarray:
+    x = pids.astype(np.int64).view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    return (x ^ (x >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93) >> np.uint64(20)
+
+
+def cell_ids(router: tree.Router, subs: dict[int, int | list], points: np.ndarray, pids: np.ndarray) -> np.ndarray:
+    cell = router.cells(points)
+    out = cell * _SUB
+    for big in np.intersect1d(np.unique(cell), np.array(list(subs), dtype=np.int64)).tolist():
+        at, how = np.flatnonzero(cell == big), subs[big]
+        if isinstance(how, int):
+            out[at] += (_mixed(pids[at]) % np.uint64(max(how, 1))).astype(np.int64)
+            continue
+        side, place = how[0], np.zeros(len(at), dtype=np.int64)
+        for dim, lo, hi in (how[1:4], how[4:7])[: 1 if len(how) < 7 else 2]:
+            place = place * side + np.clip(((points[at, int(dim)] - lo) / (hi - lo) * side).astype(np.int64), 0, side - 1)
+        out[at] += place
+    return out
+
+
+def deal(points: DataFrame, upper: Node, subs: dict[int, int | list], d: int) -> DataFrame:
+    """(pid, coords, cell_id): every point's cell, without an exchange; the upper tier goes to each task as arrays."""
+    shared = points.sparkSession.sparkContext.broadcast((tree.Router.of(upper), subs))
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        router, own = shared.value
+        for batch in batches:
+            if batch.num_rows:
+                cell = cell_ids(router, own, as_matrix(batch.column(1), d), batch.column(0).to_numpy())
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(cell)], ["pid", "coords", "cell_id"])
+
+    return points.select("pid", "coords").mapInArrow(kernel, "pid long, coords array<double>, cell_id long")
+
+
+def upper_tree(sample: np.ndarray, ids: np.ndarray, cells: int, params: Params) -> Node:
+    """A tree of about so many leaves: at each node the levels still to come share the fan-out evenly."""
+    draw = np.random.default_rng([params.seed, cells])
+    root = tree.volume(sample, 0)
+    line = [(root, np.arange(len(sample)), cells)]
+    while line:
+        node, mine, want = line.pop()
+        levels = int(np.ceil(np.log(max(want, 2)) / np.log(FAN) - 1e-9))
+        cut = tree.split(sample, ids, mine, node.depth, params, draw, int(np.ceil(want ** (1 / levels) - 1e-9))) if want > 1 and len(mine) > 1 else None
+        if cut is None:
+            node.idx = mine
+            continue
+        node.dim, node.pivots, parts = cut
+        for part in parts:
+            kid = tree.volume(sample[part], node.depth + 1)
+            node.kids.append(kid)
+            line.append((kid, part, int(np.ceil(want * len(part) / len(mine) - 0.3))))
+    return root
+
+
+def _dealt_on(lo: list[float], hi: list[float], parts: int) -> int | list:
+    """How a cell that should be so many is dealt on."""
+    span = np.array(hi) - np.array(lo)
+    wide = [int(i) for i in np.argsort(-span, kind="stable")[:2] if span[i] > 0 and np.isfinite(span[i])]
+    if not wide:
+        return parts
+    side = int(np.ceil(parts ** (1 / len(wide))))
+    return [min(side, 1000), *[v for i in wide for v in (i, float(lo[i]), float(hi[i]))]]
 
 
 def cell_row(cell: int, root: Node, points: np.ndarray, pids: np.ndarray, version: int) -> dict:
@@ -146,25 +190,25 @@ def build_index(points: DataFrame, params: Params | None = None, cell_points: in
     params = params or Params(**options)
     spark = points.sparkSession
     ship(spark)
-    good = validate(points)[0].select("pid", "coords")
-    n = good.count()
-    first = good.first()
-    if first is None:
+    good = validate(points)[0].select(F.col("pid").cast("long").alias("pid"), "coords")
+    n, d = good.agg(F.count("*"), F.max(F.size("coords"))).first()
+    if not n:
         return IndexHandle(spark.createDataFrame([], CELL_SCHEMA), tree.build(np.empty((0, 1)), np.empty(0, np.int64), replace(params, t=2)), params, 1)
-    d = len(first.coords)
     if params.t == "auto":
         params = replace(params, t=params.fan(n))
     wanted = -(-n // cell_points)
-    sample, ids = np.zeros((1, d)), np.zeros(1, np.int64)
+    sample, ids, subs = np.zeros((1, d)), np.zeros(1, np.int64), {}
     if wanted > 1:
-        keep = min(1.0, SAMPLE_ROWS / n)
-        got = good.where(F.pmod(F.xxhash64("pid", F.lit(params.seed)), F.lit(1_000_000)) < int(keep * 1_000_000)).toArrow()
+        keep = min(1.0, max(SAMPLE_ROWS, CELL_SAMPLE * min(wanted, MAX_CELLS)) / n)
+        got = good.where(F.pmod(F.xxhash64("pid", F.lit(params.seed)), F.lit(1_000_000_000)) < int(keep * 1_000_000_000)).toArrow()
         ids = got["pid"].to_numpy()
         order = np.argsort(ids, kind="stable")
         sample, ids = as_matrix(got["coords"], d)[order], ids[order]
-    upper = tree.build(sample, ids, replace(params, c=max(1, len(sample) // wanted), mode="inverse" if params.mode == "sort" else params.mode, t=max(2, min(params.t if isinstance(params.t, int) else 8, 8))))
-    sizes = {r.cell: r["count"] for r in good.select((cell_column(upper, {}) / _SUB).cast("int").alias("cell")).groupBy("cell").count().collect()} if wanted > 1 else {0: n}  # a row a cell
-    subs = {cell: -(-m // (2 * cell_points)) for cell, m in sizes.items()}
-    dealt = good.withColumn("cell_id", cell_column(upper, subs))
-    cells = dealt.groupBy("cell_id").applyInArrow(_build_cell(params, d, 0, builder), CELL_SCHEMA)
+    upper = upper_tree(sample, ids, min(wanted, MAX_CELLS), replace(params, mode="sort" if builder else params.mode))
+    if wanted > 1:
+        at = [F.element_at("coords", i + 1) for i in range(d)]
+        ends = deal(good, upper, {}, d).groupBy(F.floor(F.col("cell_id") / _SUB).alias("cell")).agg(F.count("*").alias("held"), *[F.min(x).alias(f"l{i}") for i, x in enumerate(at)], *[F.max(x).alias(f"h{i}") for i, x in enumerate(at)])
+        for r in ends.where(F.col("held") > 2 * cell_points).collect():  # MAX_CELLS rows at most
+            subs[int(r.cell)] = _dealt_on([r[f"l{i}"] for i in range(d)], [r[f"h{i}"] for i in range(d)], -(-r.held // cell_points))
+    cells = deal(good, upper, subs, d).groupBy("cell_id").applyInArrow(_build_cell(params, d, 0, builder), CELL_SCHEMA)
     return IndexHandle(materialise(cells, "index-cells"), upper, params, d, 0, subs)

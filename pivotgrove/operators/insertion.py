@@ -10,18 +10,20 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from pivotgrove.operators import tree
-from pivotgrove.operators.index import CELL_ARROW, CELL_SCHEMA, IndexHandle, _build_cell, as_matrix, cell_column, cell_row
+from pivotgrove.operators.index import CELL_ARROW, CELL_SCHEMA, IndexHandle, _build_cell, as_matrix, cell_row, deal
 from pivotgrove.runtime import materialise, ship
 from pivotgrove.sources.points import validate
 
+COMPACT_EVERY = 8  #: versions that a read meets at most before they are written as one
 LOG_SCHEMA = "batch_id long, cell_id long, depth int, i0 int, i1 int, points_rebuilt long, points_full long, reason string"
 _LOG_ARROW = pa.list_(pa.struct([("depth", pa.int32()), ("i0", pa.int32()), ("i1", pa.int32()), ("points_rebuilt", pa.int64()), ("points_full", pa.int64()), ("reason", pa.string())]))
 _OUT = CELL_SCHEMA + ", log array<struct<depth:int,i0:int,i1:int,points_rebuilt:long,points_full:long,reason:string>>"
 
 
 def route(batch: DataFrame, ix: IndexHandle) -> DataFrame:
-    """batch with the cell_id of each point: the upper tier as a projection, no exchange."""
-    return batch.withColumn("cell_id", cell_column(ix.upper, ix.subs))
+    """(pid, coords, cell_id) of each point: the upper tier goes to the tasks, no exchange."""
+    ship(batch.sparkSession)
+    return deal(batch.select(F.col("pid").cast("long").alias("pid"), "coords"), ix.upper, ix.subs, ix.d)
 
 
 def route_to_leaf(batch: DataFrame, ix: IndexHandle) -> DataFrame:
@@ -88,7 +90,8 @@ def insert_batch(ix: IndexHandle, batch: DataFrame, rebuild: str = "selective",
     merged = materialise(dealt.groupBy("cell_id").cogroup(old.groupBy("cell_id")).applyInArrow(_merge(ix, rebuild, version), _OUT), "cells-merged")
     cells = ix.cells.join(merged.select("cell_id"), "cell_id", "left_anti").unionByName(merged.drop("log"))
     log = merged.select("cell_id", F.explode("log").alias("l")).select(F.lit(version).cast("long").alias("batch_id"), "cell_id", "l.*")
-    return replace(ix, cells=cells, version=version, log=log if ix.log is None else ix.log.unionByName(log))
+    out = replace(ix, cells=cells, version=version, log=log if ix.log is None else ix.log.unionByName(log))
+    return compact(out) if version % COMPACT_EVERY == 0 else out
 
 
 def compact(ix: IndexHandle) -> IndexHandle:

@@ -141,6 +141,20 @@ def run(source: DataFrame | IndexHandle, k: int, iters: int = 10, mode: str = "l
     return {"centroids": at, "sizes": sizes, "history": history}
 
 
+def assigned(points: DataFrame, centroids: np.ndarray) -> DataFrame:
+    """(pid, cid): the nearest centroid of every point."""
+    ship(points.sparkSession)
+    shared = points.sparkSession.sparkContext.broadcast(centroids)
+
+    def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if batch.num_rows:
+                cid, _ = nearest(as_matrix(batch.column(1), centroids.shape[1]), shared.value)
+                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(cid.astype(np.int32))], ["pid", "cid"])
+
+    return points.select(F.col("pid").cast("long").alias("pid"), "coords").mapInArrow(kernel, "pid long, cid int")
+
+
 def update(source: DataFrame | IndexHandle, previous: dict, iters: int = 3, mode: str = "node_filter") -> dict:
     """After points came: on from the previous centroids."""
     return run(source, len(previous["centroids"]), iters, mode, previous["centroids"])

@@ -31,8 +31,9 @@ def _route(shared, knn: bool, d: int):
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cell, n, lo, hi, centre, radius = shared.value
         for batch in batches:
-            for start in range(0, batch.num_rows, 512):
-                rows = batch.slice(start, 512)
+            step = max(1, min(512, 4_000_000 // max(len(cell), 1)))
+            for start in range(0, batch.num_rows, step):
+                rows = batch.slice(start, step)
                 q = as_matrix(rows.column(1), d)
                 low, high = np.zeros((len(q), len(cell))), np.zeros((len(q), len(cell)))
                 for i in range(d):
@@ -85,21 +86,24 @@ def probes(ix: IndexHandle, queries: DataFrame, knn: bool) -> DataFrame:
 _OUT = "qid long, pid long, dist double, strategy string, nodes_visited long, leaves_visited long, points_accessed long, pruned_nodes long, elapsed_us long"
 
 
-def _visit(knn: bool, child_order: str, accept_inside: bool, d: int):
+def _visit(knn: bool, child_order: str, accept_inside: bool, d: int, seed_bound: bool = True, dfs_bound: str = "own"):
     """One row an answer, and for each query and cell one row of counters (pid null)."""
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import time
 
+        last = None
         for batch in batches:
-            for packed, wanted in zip(batch.column(0), batch.column(1).to_pylist(), strict=True):
-                root, points, pids = tree.unpack(packed.as_py())
+            for at, (cell, wanted) in enumerate(zip(batch.column(2).to_pylist(), batch.column(1).to_pylist(), strict=True)):
+                if cell != last:  # the blocks of a cell follow one another
+                    root, points, pids = tree.unpack(batch.column(0)[at].as_py())
+                    last = cell
                 rows: list[tuple] = []
                 for w in wanted:
                     q, strategy = np.array(w["qcoords"]), w["strategy"]
                     began = time.perf_counter_ns()
                     if knn:
-                        found, work = tree.knn(root, points, pids, q, w["k"], strategy, child_order, w["bound"])
+                        found, work = tree.knn(root, points, pids, q, w["k"], strategy, child_order, w["bound"] if seed_bound else np.inf, dfs_bound=dfs_bound)
                         answers = [(p, x) for x, p in found]
                     else:
                         near, far, work = tree.radius_search(root, points, pids, q, w["r"], strategy, accept_inside)
@@ -124,12 +128,22 @@ def prepared(queries: DataFrame, strategy: str | None) -> DataFrame:
     return out
 
 
-def visits(ix: IndexHandle, queries: DataFrame, knn: bool, child_order: str = "nearest", accept_inside: bool = False) -> DataFrame:
-    """Every (query, cell) visit: the queries of a cell travel in blocks, so that a favourite cell is many tasks."""
+def visits(ix: IndexHandle, queries: DataFrame, knn: bool, child_order: str = "nearest", accept_inside: bool = False, **how) -> DataFrame:
+    """Every (query, cell) visit."""
     ship(queries.sparkSession)
-    asked = probes(ix, queries, knn)
-    blocks = asked.groupBy("cell_id", F.pmod(F.xxhash64("qid"), F.lit(64)).alias("block")).agg(F.collect_list(F.struct("qid", "qcoords", "k", "r", "strategy", "bound")).alias("asked"))
-    return blocks.join(ix.cells.select("cell_id", "packed"), "cell_id").select("packed", "asked").mapInArrow(_visit(knn, child_order, accept_inside, ix.d), _OUT)
+    return _at_cells(ix, probes(ix, queries, knn), queries.count(), knn, child_order, accept_inside, **how)
+
+
+def _at_cells(ix: IndexHandle, asked: DataFrame, queries: int, knn: bool, child_order: str, accept_inside: bool, **how) -> DataFrame:
+    """The visits of asked: a cell's queries travel in blocks of about QUERY_BLOCK, so that a favourite cell is many tasks."""
+    block = F.lit(0)
+    if queries > QUERY_BLOCK:  # a cell may have more than a block
+        asked = materialise(asked, "probes")
+        crowded = asked.groupBy("cell_id").agg(F.ceil(F.count("*") / QUERY_BLOCK).alias("blocks")).where("blocks > 1")
+        asked = asked.join(F.broadcast(crowded) if ix.summary().count() <= MAX_SUMMARY_CELLS else crowded, "cell_id", "left")
+        block = F.pmod(F.xxhash64("qid"), F.coalesce("blocks", F.lit(1)))
+    blocks = asked.groupBy("cell_id", block.alias("block")).agg(F.collect_list(F.struct("qid", "qcoords", "k", "r", "strategy", "bound")).alias("asked"))
+    return blocks.join(ix.cells.select("cell_id", "packed"), "cell_id").select("packed", "asked", "cell_id").mapInArrow(_visit(knn, child_order, accept_inside, ix.d, **how), _OUT)
 
 
 def top_k(rows: DataFrame, queries: DataFrame) -> DataFrame:
@@ -137,30 +151,32 @@ def top_k(rows: DataFrame, queries: DataFrame) -> DataFrame:
     return rows.where("pid is not null").select("qid", "pid", "dist").withColumn("rank", F.row_number().over(best)).join(queries.select("qid", "k"), "qid").where("rank <= k").select("qid", "pid", "rank", "dist")
 
 
-def knn(ix: IndexHandle, queries: DataFrame, strategy: str | None = None, child_order: str = "nearest", home_pass: bool = False) -> DataFrame:
+def knn(ix: IndexHandle, queries: DataFrame, strategy: str | None = None, child_order: str = "nearest", home_pass: bool = False, home: DataFrame | None = None, **how) -> DataFrame:
     """(qid, pid, rank, dist): the k nearest by (dist, pid); all points where k is larger, none for k below 1.
 
-    home_pass visits each query's nearest cell first and goes on with the distance found there (depth first over
-    cells); otherwise one wave visits all candidate cells (breadth first).
+    home_pass visits each query's nearest cell first, or the one that home (qid, cell_id) names, and goes on with
+    the distance found there (depth first over cells); otherwise one wave visits all candidate cells (breadth first). seed_bound=False: a tree's walk begins without
+    the bound that cells gave; dfs_bound="single": depth first prunes by boxes whatever the volume.
     """
     asked = prepared(queries, strategy).where("k >= 1")
-    if not home_pass:
-        return top_k(visits(ix, asked, True, child_order), asked)
+    if not home_pass and home is None:
+        return top_k(visits(ix, asked, True, child_order, **how), asked)
+    ship(queries.sparkSession)
     asked = materialise(asked, "queries")
+    n = asked.count()
     candidates = materialise(probes(ix, asked, True), "probes")
     near = candidates.join(ix.summary().select("cell_id", "lo", "hi"), "cell_id").withColumn("low", G.box_lower_bound(F.col("lo"), F.col("hi"), F.col("qcoords")))
-    home = near.groupBy("qid").agg(F.min_by("cell_id", F.struct("low", "cell_id")).alias("cell_id"))
-    first = materialise(_probe_visits(ix, candidates.join(home, ["qid", "cell_id"]), child_order), "home-pass")
+    nearest = near.groupBy("qid").agg(F.min_by("cell_id", F.struct("low", "cell_id")).alias("cell_id"))
+    if home is not None:  # a guess outside the candidates can hold no answer: the nearest cell stands in
+        guess = candidates.select("qid", "cell_id").join(home.select("qid", "cell_id"), ["qid", "cell_id"], "left_semi").withColumnRenamed("cell_id", "guess")
+        nearest = nearest.join(guess, "qid", "left").select("qid", F.coalesce("guess", "cell_id").alias("cell_id"))
+    nearest = materialise(nearest, "homes")
+    first = materialise(_at_cells(ix, candidates.join(nearest, ["qid", "cell_id"]), n, True, child_order, False, **how), "home-pass")
     kth = first.where("pid is not null").groupBy("qid").agg(F.count("*").alias("got"), F.max("dist").alias("kth"))
-    rest = near.join(home.withColumnRenamed("cell_id", "home"), "qid").where("cell_id != home").join(kth, "qid", "left")
+    rest = near.join(nearest.withColumnRenamed("cell_id", "home"), "qid").where("cell_id != home").join(kth, "qid", "left")
     bound = F.when(F.col("got") >= F.col("k"), F.least("bound", "kth")).otherwise(F.col("bound"))
     rest = rest.withColumn("bound", bound).where(F.col("low") <= F.col("bound") * (1 + 1e-9)).select("qid", "qcoords", "k", "r", "strategy", "bound", "cell_id")
-    return top_k(first.unionByName(_probe_visits(ix, rest, child_order)), asked)
-
-
-def _probe_visits(ix: IndexHandle, asked: DataFrame, child_order: str) -> DataFrame:
-    blocks = asked.groupBy("cell_id", F.pmod(F.xxhash64("qid"), F.lit(64)).alias("block")).agg(F.collect_list(F.struct("qid", "qcoords", "k", "r", "strategy", "bound")).alias("asked"))
-    return blocks.join(ix.cells.select("cell_id", "packed"), "cell_id").select("packed", "asked").mapInArrow(_visit(True, child_order, False, ix.d), _OUT)
+    return top_k(first.unionByName(_at_cells(ix, rest, n, True, child_order, False, **how)), asked)
 
 
 def radius(ix: IndexHandle, queries: DataFrame, strategy: str | None = None, accept_inside: bool = False) -> DataFrame:

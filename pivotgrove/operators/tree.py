@@ -32,8 +32,10 @@ class Params:
     sub: str = "extremes"
     split: str = "cycle"  # or "widest", "max_variance"
     stop: str = "le"  # or "lt"
+    check: str = "after"  # of an insertion: balance after the batch went down, or at each node before
     objective: str = "printed"
     sample_least: int = 64
+    small: int = 1024  # learned cuts of so few points are their order statistics: a model costs more there
     seed: int = 0
 
     def fan(self, n: int) -> int:
@@ -80,28 +82,59 @@ def volume(points: np.ndarray, depth: int) -> Node:
     return Node(depth, len(points), points.min(0), points.max(0), centre, float(distances(points, centre).max()))
 
 
+def quantile_sketch(x: np.ndarray, draw: np.random.Generator, width: int = 512) -> tuple[np.ndarray, np.ndarray]:
+    """(values ascending, weights): blocks of sorted values keep every other one, each for two, until few are left.
+
+    Sketches of parts merge by concatenation and the same steps.
+    """
+    values, weights, weight = [], [], 1
+    while len(x) > width:
+        whole = len(x) // width * width
+        values.append(x[whole:])
+        weights.append(np.full(len(x) - whole, weight))
+        x = np.sort(x[:whole].reshape(-1, width), axis=1)[:, int(draw.integers(2)) :: 2].ravel()
+        weight *= 2
+    values, weights = np.concatenate([*values, x]), np.concatenate([*weights, np.full(len(x), weight)])
+    order = np.argsort(values, kind="stable")
+    return values[order], weights[order]
+
+
 def find_pivots(x: np.ndarray, t: int, p: Params, draw: np.random.Generator) -> np.ndarray:
     """The t - 1 cut values of one coordinate: a value equal to a cut goes left."""
     n = len(x)
     at = np.arange(1, t) / t
+    ranks = np.maximum(np.ceil(at * n).astype(np.int64) - 1, 0)  # zero-based places of the wanted order statistics
     if p.mode == "equal_width":
         return x.min() + (x.max() - x.min()) * at
     if p.mode == "sketch":
-        sample = np.sort(x[draw.integers(0, n, min(n, max(p.sample_least, 1024)))])
-        return sample[np.minimum((at * len(sample)).astype(int), len(sample) - 1)]
+        values, weights = quantile_sketch(x, draw)
+        return values[np.minimum(np.searchsorted(np.cumsum(weights), ranks, side="right"), len(values) - 1)]
+    if n <= p.small and p.mode != "candidate_median":
+        return np.partition(x, ranks)[ranks]
     size = min(n, max(int(p.delta * n), p.sample_least))
-    model = cdf.fit(x if size == n else x[draw.choice(n, size, replace=False)], p.l, p.sub)
+    model = cdf.fit(x if size == n else x[draw.integers(0, n, size)], p.l, p.sub)
     if p.mode == "inverse":
         return np.maximum.accumulate([model.inverse(q) for q in at])
     f = model.predict(x)
+    if p.mode == "rank_corrected" and p.sub == "extremes":
+        # Predictions rise with the values, so counts of prediction bands say which band holds a rank: one pass for all cuts.
+        bands = int(np.clip(np.ceil(1 / max(min(p.kappa, 1 / t), 1e-3)), 2 * t, 1024))
+        band = np.minimum((f * bands).astype(np.int16), bands - 1)
+        held = np.bincount(band, minlength=bands)
+        upto = np.cumsum(held)
+        out = []
+        for rank in ranks.tolist():
+            j = int(np.searchsorted(upto, rank, side="right"))
+            place = rank - int(upto[j] - held[j])
+            out.append(np.partition(x[band == j], place)[place])
+        return np.maximum.accumulate(np.array(out))
     out = []
-    for q in at:
+    for q, rank in zip(at, ranks.tolist(), strict=True):
         kappa = min(p.kappa, 1 / t)
         while True:
             low, high = f < q - kappa, f > q + kappa
             window = x[~low & ~high]
             below = int(low.sum())
-            rank = int(np.ceil(q * n)) - 1  # zero-based place of the wanted order statistic
             # Prediction rises with the value, so the window holds it if its rank falls inside; else it widens.
             inside = 0 <= rank - below < len(window)
             if kappa >= 1 or len(window) and (p.mode == "candidate_median" or inside):
@@ -115,6 +148,12 @@ def find_pivots(x: np.ndarray, t: int, p: Params, draw: np.random.Generator) ->
     return np.maximum.accumulate(np.array(out))
 
 
+def dealt(side: np.ndarray, t: int) -> list[np.ndarray]:
+    """The places of each side's members, in order: one stable pass over small numbers."""
+    order = np.argsort(side.astype(np.int16), kind="stable")
+    return np.split(order, np.cumsum(np.bincount(side, minlength=t))[:-1])
+
+
 def split(points: np.ndarray, pids: np.ndarray, idx: np.ndarray, depth: int, p: Params, draw: np.random.Generator, t: int | None = None) -> tuple[int, np.ndarray, list[np.ndarray]] | None:
     """(dimension, cuts, children's points), or None where no coordinate can be cut."""
     d = points.shape[1]
@@ -134,7 +173,7 @@ def split(points: np.ndarray, pids: np.ndarray, idx: np.ndarray, depth: int, p:
         pivots = find_pivots(x, t, p, draw)
         side = np.searchsorted(pivots, x, side="left")
         if side.min() != side.max():
-            return dim, pivots, [idx[side == j] for j in range(t)]
+            return dim, pivots, [idx[part] for part in dealt(side, t)]
     return None
 
 
@@ -202,9 +241,13 @@ class _Best:
                 heapq.heapreplace(self.heap, item)
 
 
-def knn(root: Node, points: np.ndarray, pids: np.ndarray, q: np.ndarray, k: int, strategy: str = "box_dfs", child_order: str = "nearest", limit: float = np.inf, budget: int | None = None) -> tuple[list[tuple[float, int]], Work]:
-    """The k nearest by (distance, pid) within limit. A node is left out only when it lies strictly beyond the k-th."""
-    ball, deep = strategy.startswith("ball"), strategy.endswith("dfs")
+def knn(root: Node, points: np.ndarray, pids: np.ndarray, q: np.ndarray, k: int, strategy: str = "box_dfs", child_order: str = "nearest", limit: float = np.inf, budget: int | None = None, dfs_bound: str = "own") -> tuple[list[tuple[float, int]], Work]:
+    """The k nearest by (distance, pid) within limit. A node is left out only when it lies strictly beyond the k-th.
+
+    dfs_bound "single": depth first prunes by boxes whatever the volume.
+    """
+    deep = strategy.endswith("dfs")
+    ball = strategy.startswith("ball") and not (deep and dfs_bound == "single")
     best, work = _Best(k, limit * (1 + 1e-12)), Work()
     line: deque = deque([(0.0, root)])
     while line and root.n:
@@ -323,6 +366,7 @@ def insert(root: Node, points: np.ndarray, pids: np.ndarray, fresh: np.ndarray,
     if p.t == "auto":
         p = Params(**{**p.__dict__, "t": max(2, len(root.kids) or p.fan(root.n + len(fresh)))})
     touched: list[Node] = []
+    log: list[dict] = []
     line = [(root, fresh)]
     while line:
         node, mine = line.pop()
@@ -338,9 +382,19 @@ def insert(root: Node, points: np.ndarray, pids: np.ndarray, fresh: np.ndarray,
         node.bounds = None
         touched.append(node)
         side = np.searchsorted(node.pivots, points[mine, node.dim], side="left")
-        line.extend((node.kids[j], mine[side == j]) for j in np.unique(side).tolist())
         assert node.n == old + len(mine)
-    log = []
+        if p.check == "before" and rebuild != "none" and len(node.kids) > 1:
+            # The children's sizes as they would be: what is out of balance is built at once, the batch's share with it.
+            sizes = (np.array([k.n for k in node.kids]) + np.bincount(side, minlength=len(node.kids))).tolist()
+            found = rebuild_range(sizes, allowed_omega(p.omega, len(sizes)))
+            if found is not None:
+                i0, i1 = (0, len(sizes) - 1) if rebuild == "full" else found
+                came = mine[(side >= i0) & (side <= i1)]
+                log.append(_rebuild(node, points, pids, p, i0, i1, came, mine))
+                if log[-1]["reason"] == "tie":
+                    continue
+                mine, side = mine[(side < i0) | (side > i1)], side[(side < i0) | (side > i1)]
+        line.extend((node.kids[j], mine[side == j]) for j in np.unique(side).tolist())
     done: set[int] = set()
     for node in sorted(touched, key=lambda x: x.depth):  # the highest violation first; what is rebuilt holds no other
         if id(node) in done or rebuild == "none" or len(node.kids) < 2:
@@ -350,31 +404,36 @@ def insert(root: Node, points: np.ndarray, pids: np.ndarray, fresh: np.ndarray,
         if found is None:
             continue
         i0, i1 = (0, len(sizes) - 1) if rebuild == "full" else found
-        mine = np.concatenate([leaf.idx for k in node.kids[i0 : i1 + 1] for leaf in leaves(k)])
         line2 = list(node.kids[i0 : i1 + 1])
         while line2:
             k = line2.pop()
             done.add(id(k))
             line2.extend(k.kids)
-        if i1 > i0:
-            again = split(points, pids, mine, node.depth, Params(**{**p.__dict__, "split": "cycle"}), np.random.default_rng([p.seed, len(mine)]), i1 - i0 + 1)
-            same = again is not None and again[0] == node.dim
-        else:
-            same = False
-        if same:
-            _, cuts, parts = again
-            node.kids[i0 : i1 + 1] = [build(points, pids, p, part, node.depth + 1) for part in parts]
-            node.pivots = np.concatenate((node.pivots[:i0], cuts, node.pivots[i1:]))
-        else:  # the coordinate cannot be cut there again: the whole node is built anew
-            mine = np.concatenate([leaf.idx for leaf in leaves(node)])
-            new = build(points, pids, p, mine, node.depth)
-            for a in ("dim", "pivots", "kids", "idx"):
-                setattr(node, a, getattr(new, a))
-        node.bounds = None
-        log.append({"depth": node.depth, "i0": i0, "i1": i1, "points_rebuilt": len(mine), "points_full": node.n, "reason": "balance" if same else "tie"})
+        log.append(_rebuild(node, points, pids, p, i0, i1))
     return log
 
 
+def _rebuild(node: Node, points: np.ndarray, pids: np.ndarray, p: Params, i0: int, i1: int, came: np.ndarray | None = None, all_came: np.ndarray | None = None) -> dict:
+    """Cut children i0..i1 anew with the points that came to them; the whole node where its coordinate cannot be cut there."""
+    none = np.empty(0, np.int64)
+    mine = np.concatenate([leaf.idx for k in node.kids[i0 : i1 + 1] for leaf in leaves(k)] + [none if came is None else came])
+    same = False
+    if i1 > i0:
+        again = split(points, pids, mine, node.depth, Params(**{**p.__dict__, "split": "cycle"}), np.random.default_rng([p.seed, len(mine)]), i1 - i0 + 1)
+        same = again is not None and again[0] == node.dim
+    if same:
+        _, cuts, parts = again
+        node.kids[i0 : i1 + 1] = [build(points, pids, p, part, node.depth + 1) for part in parts]
+        node.pivots = np.concatenate((node.pivots[:i0], cuts, node.pivots[i1:]))
+    else:
+        mine = np.concatenate([leaf.idx for leaf in leaves(node)] + [none if all_came is None else all_came])
+        new = build(points, pids, p, mine, node.depth)
+        for a in ("dim", "pivots", "kids", "idx"):
+            setattr(node, a, getattr(new, a))
+    node.bounds = None
+    return {"depth": node.depth, "i0": i0, "i1": i1, "points_rebuilt": len(mine), "points_full": node.n, "reason": "balance" if same else "tie"}
+
+
 def grow(node: Node, more: np.ndarray) -> None:
     """Count and volumes after points came: the box exactly, the ball around the old centre."""
     if not len(more):
@@ -388,6 +447,46 @@ def grow(node: Node, more: np.ndarray) -> None:
     node.radius = max(node.radius, float(distances(more, node.center).max()))
 
 
+# --- routing by the upper tier ------------------------------------------------------------------------------
+
+
+@dataclass
+class Router:
+    """A tree as arrays: a value moves from node to child level by level, all values together."""
+
+    dim: np.ndarray
+    cuts: np.ndarray  # (nodes, widest fan-out - 1), filled up with infinity
+    first: np.ndarray  # a node's first child; a leaf is its own
+    leaf: np.ndarray  # a leaf's number
+    height: int
+
+    @classmethod
+    def of(cls, root: Node) -> Router:
+        level, nodes, height = [root], [root], 0
+        first: list[int] = []
+        while level:
+            kids = [k for x in level for k in x.kids]
+            at = len(nodes)
+            for x in level:
+                first.append(at if x.kids else len(first))
+                at += len(x.kids)
+            nodes += kids
+            level, height = kids, height + 1
+        number = {id(x): i for i, x in enumerate(leaves(root))}
+        cuts = np.full((len(nodes), max([len(x.kids) - 1 for x in nodes if x.kids], default=0)), np.inf)
+        for i, x in enumerate(nodes):
+            if x.kids:
+                cuts[i, : len(x.kids) - 1] = x.pivots[: len(x.kids) - 1]
+        return cls(np.array([max(x.dim, 0) for x in nodes]), cuts, np.array(first), np.array([number.get(id(x), -1) for x in nodes]), height - 1)
+
+    def cells(self, points: np.ndarray) -> np.ndarray:
+        at, row = np.zeros(len(points), dtype=np.int64), np.arange(len(points))
+        for _ in range(self.height):
+            x = points[row, self.dim[at]]
+            at = self.first[at] + (self.cuts[at] < x[:, None]).sum(axis=1)
+        return self.leaf[at]
+
+
 # --- measures and packing ----------------------------------------------------------------------------------
 
 

@@ -331,18 +331,18 @@ def _knn(view: str, mod: int, strategy: str, spark, sf_dir, digits: int | None =
 
 
 for _s in tree.STRATEGIES:
-    query(f"knn_{_s}", knn_sql("ord2", 300, 10))(partial(_knn, "ord2", 300, _s))
-    query(f"knn_events_{_s}", knn_sql("evt2", 250, 10))(partial(_knn, "evt2", 250, _s, cell_points=2500))
-query("knn_nearest_first_home_pass", knn_sql("ord2", 300, 10))(partial(_knn, "ord2", 300, "box_dfs", home=True, cell_points=4000))
-query("knn_pivot_order", knn_sql("ord2", 500, 10))(partial(_knn, "ord2", 500, "ball_dfs", child_order="pivot"))
-query("knn_3d", knn_sql("evt3", 300, 10))(partial(_knn, "evt3", 300, "box_dfs"))
-query("knn_4d", knn_sql("evt4", 300, 10))(partial(_knn, "evt4", 300, "ball_bfs"))
+    query(f"knn_{_s}", knn_sql("ord2", 100, 10))(partial(_knn, "ord2", 100, _s))
+    query(f"knn_events_{_s}", knn_sql("evt2", 100, 10))(partial(_knn, "evt2", 100, _s, cell_points=2500))
+query("knn_nearest_first_home_pass", knn_sql("ord2", 100, 10))(partial(_knn, "ord2", 100, "box_dfs", home=True, cell_points=4000))
+query("knn_pivot_order", knn_sql("ord2", 100, 10))(partial(_knn, "ord2", 100, "ball_dfs", child_order="pivot"))
+query("knn_3d", knn_sql("evt3", 100, 10))(partial(_knn, "evt3", 100, "box_dfs"))
+query("knn_4d", knn_sql("evt4", 100, 10))(partial(_knn, "evt4", 100, "ball_bfs"))
 query("knn_ties", knn_sql("part2", 100, 10))(partial(_knn, "part2", 100, "box_bfs"))
 query("knn_negative", knn_sql("cus2", 100, 10))(partial(_knn, "cus2", 100, "ball_dfs"))
-query("knn_emb3", knn_sql("emb3", 25, 10))(partial(_knn, "emb3", 25, "ball_dfs"))
-query("knn_emb64", knn_sql("emb64", 25, 5, 5))(lambda spark, sf_dir: _shown(search.knn(build_index(points(spark, sf_dir, "emb64")), _asked(points(spark, sf_dir, "emb64"), 25, 5), "box_dfs"), 5))
+query("knn_emb3", knn_sql("emb3", 100, 10))(partial(_knn, "emb3", 100, "ball_dfs"))
+query("knn_emb64", knn_sql("emb64", 100, 5, 5))(lambda spark, sf_dir: _shown(search.knn(build_index(points(spark, sf_dir, "emb64")), _asked(points(spark, sf_dir, "emb64"), 100, 5), "box_dfs"), 5))
 for _m in tree.MODES:
-    query(f"knn_build_{_m}", knn_sql("ord2", 500, 10))(partial(_knn, "ord2", 500, "box_dfs", mode=_m))
+    query(f"knn_build_{_m}", knn_sql("ord2", 100, 10))(partial(_knn, "ord2", 100, "box_dfs", mode=_m))
 
 
 def _radius(view: str, mod: int, r: float, strategy: str, spark, sf_dir, accept: bool = False):
@@ -351,25 +351,25 @@ def _radius(view: str, mod: int, r: float, strategy: str, spark, sf_dir, accept:
 
 
 for _s in tree.STRATEGIES:
-    query(f"radius_{_s}", radius_sql("ord2", 300, 800.0))(partial(_radius, "ord2", 300, 800.0, _s))
-query("radius_accept_inside", radius_sql("evt2", 500, 60.0))(partial(_radius, "evt2", 500, 60.0, "ball_bfs", accept=True))
+    query(f"radius_{_s}", radius_sql("ord2", 100, 800.0))(partial(_radius, "ord2", 100, 800.0, _s))
+query("radius_accept_inside", radius_sql("evt2", 100, 60.0))(partial(_radius, "evt2", 100, 60.0, "ball_bfs", accept=True))
 
 
-@query("radius_count", f"select qid, count(*) as n from ({radius_sql('evt3', 250, 20.0)}) group by qid")
+@query("radius_count", f"select qid, count(*) as n from ({radius_sql('evt3', 100, 20.0)}) group by qid")
 def radius_count(spark, sf_dir):
-    return _radius("evt3", 250, 20.0, "box_dfs", spark, sf_dir).groupBy("qid").agg(F.count("*").alias("n"))
+    return _radius("evt3", 100, 20.0, "box_dfs", spark, sf_dir).groupBy("qid").agg(F.count("*").alias("n"))
 
 
-@query("brute_knn", knn_sql("ord2", 500, 10))
+@query("brute_knn", knn_sql("ord2", 100, 10))
 def brute_knn(spark, sf_dir):
     data = points(spark, sf_dir, "ord2")
-    return _shown(brute.knn(data, _asked(data, 500)))
+    return _shown(brute.knn(data, _asked(data, 100)))
 
 
-@query("brute_radius", radius_sql("ord2", 500, 800.0))
+@query("brute_radius", radius_sql("ord2", 100, 800.0))
 def brute_radius(spark, sf_dir):
     data = points(spark, sf_dir, "ord2")
-    return brute.radius(data, _asked(data, 500, r=800.0))
+    return brute.radius(data, _asked(data, 100, r=800.0))
 
 
 @query("knn_join_suppliers", "with pairs as (select s_suppkey as qid, c_custkey as pid, abs(s_acctbal - c_acctbal) as d0, s_nationkey - c_nationkey as d1 from supplier, customer), k as (select qid, pid, sqrt(d0 * d0 + (d1 * d1)::DOUBLE) as dist from pairs), r as (select *, row_number() over (partition by qid order by dist, pid) as n from k) select qid, pid, cast(n as integer) as rank, dist from r where n <= 3")
@@ -387,7 +387,7 @@ def distance_join(spark, sf_dir):
 @query("access_counts")
 def access_counts(spark, sf_dir):
     data = points(spark, sf_dir, "ord2")
-    return M.points_accessed(search.access_log(build_index(data), _every(data, 300)), True)
+    return M.points_accessed(search.access_log(build_index(data), _every(data, 100)), True)
 
 
 def _every(data: DataFrame, mod: int) -> DataFrame:
@@ -397,13 +397,13 @@ def _every(data: DataFrame, mod: int) -> DataFrame:
 @query("two_factor_ratios")
 def two_factor_ratios(spark, sf_dir):
     data = points(spark, sf_dir, "ord2")
-    return M.factor_ratio(search.access_log(build_index(data), _every(data, 300)))
+    return M.factor_ratio(search.access_log(build_index(data), _every(data, 100)))
 
 
 @query("search_explained")
 def search_explained(spark, sf_dir):
     data = points(spark, sf_dir, "ord2")
-    return search.explain_search(build_index(data, cell_points=2000), _asked(data, 500)).drop("cells")
+    return search.explain_search(build_index(data, cell_points=2000), _asked(data, 100)).drop("cells")
 
 
 @query("index_shape")
@@ -415,15 +415,15 @@ def index_shape(spark, sf_dir):
 @query("index_exactness", "select 0::BIGINT as missing, 0::BIGINT as extra")
 def index_exactness(spark, sf_dir):
     data = points(spark, sf_dir, "evt2")
-    return M.exactness(_shown(search.knn(build_index(data, cell_points=1500), _asked(data, 500), "ball_bfs")), _shown(brute.knn(data, _asked(data, 500))))
+    return M.exactness(_shown(search.knn(build_index(data, cell_points=1500), _asked(data, 100), "ball_bfs")), _shown(brute.knn(data, _asked(data, 100))))
 
 
-@query("index_store_reopened", knn_sql("ord2", 500, 10))
+@query("index_store_reopened", knn_sql("ord2", 100, 10))
 def index_store_reopened(spark, sf_dir):
     data = points(spark, sf_dir, "ord2")
     path = f"{shared_dir(spark)}/store-{uuid.uuid4().hex}"
     store.save(build_index(data), path)
-    return _shown(search.knn(store.load(spark, path, 0), _asked(data, 500)))
+    return _shown(search.knn(store.load(spark, path, 0), _asked(data, 100)))
 
 
 # --- insertion ---------------------------------------------------------------------------------------------------
@@ -440,12 +440,12 @@ def _grown(spark, sf_dir, rebuild: str = "selective", mode: str = "rank_correcte
 
 def _grown_knn(spark, sf_dir, **how):
     data, ix = _grown(spark, sf_dir, **how)
-    return _shown(search.knn(ix, _asked(data, 250)))
+    return _shown(search.knn(ix, _asked(data, 100)))
 
 
-query("insert_then_knn", knn_sql("evt2", 250, 10))(partial(_grown_knn, rebuild="none"))
-query("rebuild_selective_knn", knn_sql("evt2", 250, 10))(_grown_knn)
-query("rebuild_full_knn", knn_sql("evt2", 250, 10))(partial(_grown_knn, rebuild="full", mode="sort"))
+query("insert_then_knn", knn_sql("evt2", 100, 10))(partial(_grown_knn, rebuild="none"))
+query("rebuild_selective_knn", knn_sql("evt2", 100, 10))(_grown_knn)
+query("rebuild_full_knn", knn_sql("evt2", 100, 10))(partial(_grown_knn, rebuild="full", mode="sort"))
 
 
 @query("insert_route_counts", "select count(*) as n, cast(count(distinct event_id) as bigint) as ids from events")
@@ -498,29 +498,29 @@ def path_metric_fixture(spark, sf_dir):
 _DIGITS = "case when (a.node // 9) = (b.node // 9) then case when a.node // 3 = b.node // 3 then case when a.node = b.node then 3 else 2 end else 1 end else 0 end"
 
 
-@query("similarity_graph", tree_sql("ord2", 3, 1, 3) + f" select a.pid as src, b.pid as dst, 2 * ({_DIGITS}) - 3 as w from a3 as a, a3 as b where a.pid < b.pid and a.pid % 500 = 0 and b.pid % 500 = 0")
+@query("similarity_graph", tree_sql("ord2", 3, 1, 3) + f" select a.pid as src, b.pid as dst, 2 * ({_DIGITS}) - 3 as w from a3 as a, a3 as b where a.pid < b.pid and a.pid % 100 = 0 and b.pid % 100 = 0")
 def similarity_graph(spark, sf_dir):
-    assigned = levels.assign_exact(points(spark, sf_dir, "ord2"), 3, 1, 3, 2).where("pid % 500 = 0")
+    assigned = levels.assign_exact(points(spark, sf_dir, "ord2"), 3, 1, 3, 2).where("pid % 100 = 0")
     path = F.array(*[(F.floor(F.col("node") / 3**i) % 3).cast("int") for i in (2, 1, 0)])
     return selector.similarity_graph(assigned.select("pid", path.alias("path")))
 
 
-@query("features_f1", f"with p as ({SQL_VIEW['ord2'][1]}) select pid as qid, x0, x1, 10.0::DOUBLE as k from p where pid % 300 = 0")
+@query("features_f1", f"with p as ({SQL_VIEW['ord2'][1]}) select pid as qid, x0, x1, 10.0::DOUBLE as k from p where pid % 100 = 0")
 def features_f1(spark, sf_dir):
-    f1 = selector.features_f1(_asked(points(spark, sf_dir, "ord2"), 300).drop("r"))
+    f1 = selector.features_f1(_asked(points(spark, sf_dir, "ord2"), 100).drop("r"))
     return f1.select("qid", *[F.element_at("f1", i + 1).alias(n) for i, n in enumerate(("x0", "x1", "k"))])
 
 
 @query("features_f2")
 def features_f2(spark, sf_dir):
     data = points(spark, sf_dir, "ord2")
-    return selector.features_f2(build_index(data), _asked(data, 500))
+    return selector.features_f2(build_index(data), _asked(data, 100))
 
 
 @query("labels_by_work")
 def labels_by_work(spark, sf_dir):
     data = points(spark, sf_dir, "ord2")
-    return selector.label_queries(build_index(data), _asked(data, 500), child_order="pivot").select("qid", "label")
+    return selector.label_queries(build_index(data), _asked(data, 100), child_order="pivot").select("qid", "label")
 
 
 @query("labels_early_stop_differ", "select 0::BIGINT as differing")
@@ -539,17 +539,17 @@ def _labelled(spark, sf_dir):
     return data, ix, selector.train_selector(rows.select("features", "label"), "tree")
 
 
-@query("knn_auto", knn_sql("ord2", 500, 10))
+@query("knn_auto", knn_sql("ord2", 100, 10))
 def knn_auto(spark, sf_dir):
     data, ix, model = _labelled(spark, sf_dir)
-    return _shown(selector.auto_search(ix, _asked(data, 500).drop("r"), model))
+    return _shown(selector.auto_search(ix, _asked(data, 100).drop("r"), model))
 
 
-@query("radius_auto", radius_sql("ord2", 500, 800.0))
+@query("radius_auto", radius_sql("ord2", 100, 800.0))
 def radius_auto(spark, sf_dir):
     data = points(spark, sf_dir, "ord2")
     ix = build_index(data)
-    asked = _asked(data, 500, r=800.0).drop("k")
+    asked = _asked(data, 100, r=800.0).drop("k")
     labels = selector.label_queries(ix, asked, "radius")
     model = selector.train_selector(selector.features(ix, asked, "f1").join(labels, "qid").select("features", "label"), "rf")
     return selector.auto_search(ix, asked, model, "f1", "radius")
@@ -622,33 +622,33 @@ def kmeans_updated(spark, sf_dir):
 
 def _baseline(make, strategy: str, spark, sf_dir):
     data = points(spark, sf_dir, "ord2")
-    return _shown(search.knn(make(data), _asked(data, 500), strategy))
+    return _shown(search.knn(make(data), _asked(data, 100), strategy))
 
 
-query("baseline_ball_knn", knn_sql("ord2", 500, 10))(partial(_baseline, B.ball_tree, "ball_dfs"))
-query("baseline_rtree_knn", knn_sql("ord2", 500, 10))(partial(_baseline, B.packed_rtree, "box_bfs"))
-query("baseline_kd_knn", knn_sql("ord2", 500, 10))(partial(_baseline, B.binary_kd, "box_dfs"))
-query("baseline_base_multiway_knn", knn_sql("ord2", 500, 10))(partial(_baseline, B.base_multiway, "box_dfs"))
-query("baseline_equal_width_knn", knn_sql("ord2", 500, 10))(partial(_baseline, B.equal_width, "box_dfs"))
+query("baseline_ball_knn", knn_sql("ord2", 100, 10))(partial(_baseline, B.ball_tree, "ball_dfs"))
+query("baseline_rtree_knn", knn_sql("ord2", 100, 10))(partial(_baseline, B.packed_rtree, "box_bfs"))
+query("baseline_kd_knn", knn_sql("ord2", 100, 10))(partial(_baseline, B.binary_kd, "box_dfs"))
+query("baseline_base_multiway_knn", knn_sql("ord2", 100, 10))(partial(_baseline, B.base_multiway, "box_dfs"))
+query("baseline_equal_width_knn", knn_sql("ord2", 100, 10))(partial(_baseline, B.equal_width, "box_dfs"))
 
 
-@query("baseline_forest_knn", knn_sql("ord2", 500, 10))
+@query("baseline_forest_knn", knn_sql("ord2", 100, 10))
 def baseline_forest_knn(spark, sf_dir):
     data = points(spark, sf_dir, "ord2")
     f = B.forest(data.where("pid % 4 = 0")).insert(data.where("pid % 4 in (1, 2)")).insert(data.where("pid % 4 = 3"))
-    return _shown(f.knn(_asked(data, 500)))
+    return _shown(f.knn(_asked(data, 100)))
 
 
-@query("baseline_learned_rtree_knn", knn_sql("ord2", 500, 10))
+@query("baseline_learned_rtree_knn", knn_sql("ord2", 100, 10))
 def baseline_learned_rtree_knn(spark, sf_dir):
     data = points(spark, sf_dir, "ord2")
-    return _shown(B.learned_rtree(data).knn(_asked(data, 500)))
+    return _shown(B.learned_rtree(data).knn(_asked(data, 100)))
 
 
-@query("grid_radius", radius_sql("evt2", 500, 5.0))
+@query("grid_radius", radius_sql("evt2", 100, 5.0))
 def grid_radius(spark, sf_dir):
     data = points(spark, sf_dir, "evt2")
-    return B.grid_radius(data, _asked(data, 500, r=5.0), [10.0, 10.0])
+    return B.grid_radius(data, _asked(data, 100, r=5.0), [10.0, 10.0])
 
 
 _BIT = " | ".join(f"(((c0 >> {b}) & 1) << {2 * b}) | (((c1 >> {b}) & 1) << {2 * b + 1})" for b in range(8))
@@ -704,10 +704,10 @@ def agg_pivot(spark, sf_dir):
     return out.na.fill(0)
 
 
-@query("win_running", "select event_id, user_id, round(sum(value) over (partition by user_id order by event_id rows unbounded preceding), 4) as total, lag(value) over (partition by user_id order by event_id) as before, ntile(4) over (partition by user_id order by event_id) as quarter from events where user_id % 10 = 0")
+@query("win_running", "select event_id, user_id, round(sum(value) over (partition by user_id order by event_id rows unbounded preceding), 4) as total, lag(value) over (partition by user_id order by event_id) as before, ntile(4) over (partition by user_id order by event_id) as quarter from events")
 def win_running(spark, sf_dir):
     by = Window.partitionBy("user_id").orderBy("event_id")
-    e = table(spark, sf_dir, "events").where("user_id % 10 = 0")
+    e = table(spark, sf_dir, "events")
     return e.select("event_id", "user_id", F.round(F.sum("value").over(by.rowsBetween(Window.unboundedPreceding, 0)), 4).alias("total"), F.lag("value").over(by).alias("before"), F.ntile(4).over(by).cast("long").alias("quarter"))
 
 
@@ -735,10 +735,10 @@ def join_semi_anti(spark, sf_dir):
     return c.join(o, "c_custkey", "left_semi").agg(F.count("*").alias("buying")).crossJoin(c.join(o, "c_custkey", "left_anti").agg(F.count("*").alias("idle")))
 
 
-@query("join_interval", "with r as (select p_partkey, p_retailprice - 1.0 as lo, p_retailprice + 1.0 as hi from part where p_partkey % 20 = 0) select r.p_partkey as range_id, count(*) as n from r, part where part.p_retailprice between lo and hi group by 1")
+@query("join_interval", "with r as (select p_partkey, p_retailprice - 1.0 as lo, p_retailprice + 1.0 as hi from part) select r.p_partkey as range_id, count(*) as n from r, part where part.p_retailprice between lo and hi group by 1")
 def join_interval(spark, sf_dir):
     part = table(spark, sf_dir, "part").select("p_partkey", "p_retailprice")
-    ranges = part.where("p_partkey % 20 = 0").select(F.col("p_partkey").alias("range_id"), (F.col("p_retailprice") - 1.0).alias("lo"), (F.col("p_retailprice") + 1.0).alias("hi"))
+    ranges = part.select(F.col("p_partkey").alias("range_id"), (F.col("p_retailprice") - 1.0).alias("lo"), (F.col("p_retailprice") + 1.0).alias("hi"))
     return relational.interval_join(part, ranges, "p_retailprice", 4.0).groupBy("range_id").agg(F.count("*").alias("n"))
 
 
@@ -800,10 +800,18 @@ def sort_topk(spark, sf_dir):
 # --- streams -----------------------------------------------------------------------------------------------------
 
 
+def write_in_order(events: DataFrame, folder: str, parts: int) -> None:
+    """The stream takes files by their age: each part of the ids is written once the one before is there."""
+    n = (events.agg(F.max("event_id")).first()[0] or 0) + 1
+    for i in range(parts):
+        some = events.where((F.col("event_id") >= i * n // parts) & (F.col("event_id") < (i + 1) * n // parts))
+        some.coalesce(1).sortWithinPartitions("event_id").write.mode("append").parquet(folder)
+
+
 def _streamed(spark, sf_dir, make, mode: str, parts: int = 4):
-    """Deal the events to files in id order, run the stream over them, give the sink's table."""
+    """Deal the events to files, one written after the other in id order, run the stream over them, give the sink's table."""
     folder = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
-    table(spark, sf_dir, "events").repartitionByRange(parts, "event_id").sortWithinPartitions("event_id").write.parquet(folder)
+    write_in_order(table(spark, sf_dir, "events"), folder, parts)
     return ingest.run_to_table(make(ingest.events_stream(spark, folder)), f"t{uuid.uuid4().hex}", mode, f"{folder}-checkpoint")
 
 
@@ -833,7 +841,7 @@ def stream_cell_counts(spark, sf_dir):
     return out.groupBy("cell").agg(F.max("n").alias("n"))
 
 
-@query("stream_insert_knn", knn_sql("evt2", 500, 10))
+@query("stream_insert_knn", knn_sql("evt2", 100, 10))
 def stream_insert_knn(spark, sf_dir):
     data = points(spark, sf_dir, "evt2")
     folder = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
@@ -841,10 +849,12 @@ def stream_insert_knn(spark, sf_dir):
     table(spark, sf_dir, "events").where(F.col("event_id") >= int(0.8 * n)).repartitionByRange(3, "event_id").write.parquet(folder)
     holder = ingest.IndexHolder(build_index(data.where(F.col("pid") < int(0.8 * n)), t=4))
     ingest.stream_insert(ingest.events_stream(spark, folder).drop("ts_utc"), holder, f"{folder}-checkpoint").awaitTermination()
-    return _shown(search.knn(holder.ix, _asked(data, 500)))
+    return _shown(search.knn(holder.ix, _asked(data, 100)))
 
 
 # --- experiments -------------------------------------------------------------------------------------------------
 
 for _w, _f in workloads.ALL.items():
     query(f"workload_{_w.lower()}")(_f)
+
+from pivotgrove import queries_surface  # noqa: E402, F401 (it registers its own)

@@ -11,6 +11,7 @@ from pyspark.sql.streaming import StreamingQuery
 from pivotgrove.operators.index import IndexHandle
 from pivotgrove.operators.insertion import insert_batch
 from pivotgrove.operators.search import knn
+from pivotgrove.sources import store
 from pivotgrove.sources.points import EVENT_SCHEMA, view_of
 
 
@@ -25,16 +26,25 @@ def with_utc(events: DataFrame) -> DataFrame:
 
 
 class IndexHolder:
-    """The current version of an index under a stream; a batch that comes again changes nothing."""
+    """The current version of an index under a stream; a batch that comes again changes nothing.
 
-    def __init__(self, ix: IndexHandle, on_version: Callable[[IndexHandle], None] | None = None):
-        self.ix, self.seen, self.on_version = ix, set(), on_version
+    With a path every version is saved there with the batches it holds, so that reopened() knows them after a restart.
+    """
+
+    def __init__(self, ix: IndexHandle, on_version: Callable[[IndexHandle], None] | None = None, path: str | None = None, seen: set[int] | None = None):
+        self.ix, self.seen, self.on_version, self.path = ix, set(seen or ()), on_version, path
+
+    @classmethod
+    def reopened(cls, spark: SparkSession, path: str, on_version: Callable[[IndexHandle], None] | None = None) -> IndexHolder:
+        return cls(store.load(spark, path), on_version, path, store.batches(spark, path))
 
     def take(self, batch: DataFrame, batch_id: int) -> None:
         if batch_id in self.seen:
             return
         self.ix = insert_batch(self.ix, batch)
         self.seen.add(batch_id)
+        if self.path:
+            store.save(self.ix, self.path, sorted(self.seen))
         if self.on_version:
             self.on_version(self.ix)
 

@@ -23,7 +23,7 @@ def brute(x, ids, q, k):
 @pytest.mark.parametrize("n,d", [(0, 2), (1, 2), (700, 2), (900, 3), (300, 1), (200, 16)])
 def test_every_strategy_equals_brute_force(mode, n, d):
     x, ids = cloud(n, d)
-    root, x, ids = tree.unpack(tree.pack(tree.build(x, ids, Params(mode=mode, c=10)), x, ids))
+    root, x, ids = tree.unpack(tree.pack(tree.build(x, ids, Params(mode=mode, c=10, small=0)), x, ids))
     assert sorted(np.concatenate([leaf.idx for leaf in tree.leaves(root)]).tolist()) == list(range(n))
     for seed in range(3):
         q = np.random.default_rng(seed).normal(size=d)
@@ -74,7 +74,7 @@ def test_pruning_is_sound(seed, r):
 def test_insertion_keeps_answers_exact(mode, rebuild):
     x, ids = cloud(3000, 2)
     x[1500:] = x[1500:] * 0.1 + 3
-    p = Params(mode=mode, t=4)
+    p = Params(mode=mode, t=4, small=0)
     root, log = tree.build(x, ids, p, np.arange(1500)), []
     for a in range(1500, 3000, 300):
         log += tree.insert(root, x, ids, np.arange(a, a + 300), p, rebuild)
@@ -131,3 +131,26 @@ def test_rank_corrected_cuts_are_the_order_statistics():
     x = np.random.default_rng(3).exponential(size=5000)
     cuts = tree.find_pivots(x, 5, Params(kappa=0.05), np.random.default_rng(0))
     assert cuts.tolist() == [np.sort(x)[int(np.ceil(i / 5 * 5000)) - 1] for i in range(1, 5)]
+
+
+def test_router_equals_the_tree():
+    x, ids = cloud(4000, 3, 4, 1)
+    from pivotgrove.operators.index import cell_ids, upper_tree
+
+    for cells in (1, 2, 9, 150, 700):
+        root = upper_tree(x, ids, cells, Params(mode="rank_corrected", t=8))
+        assert len(tree.leaves(root)) <= max(1.5 * cells, 2)
+        want = np.empty(len(x), dtype=np.int64)
+        for i, leaf in enumerate(tree.leaves(root)):
+            want[leaf.idx] = i
+        assert tree.Router.of(root).cells(x).tolist() == want.tolist()
+        dealt = cell_ids(tree.Router.of(root), {0: 3, 1: [4, 0, -1.0, 1.0, 1, -1.0, 1.0]}, x, ids)
+        assert (dealt >> 20 == want).all() and len(set(dealt[want == 0].tolist())) > 1
+
+
+def test_quantile_sketch_is_near_the_quantiles():
+    x = np.random.default_rng(8).exponential(size=50_000)
+    values, weights = tree.quantile_sketch(x, np.random.default_rng(0))
+    assert weights.sum() == len(x) and len(values) < 5000
+    cuts = tree.find_pivots(x, 8, Params(mode="sketch"), np.random.default_rng(0))
+    assert max(abs(float((x <= c).mean()) - (i + 1) / 8) for i, c in enumerate(cuts)) < 0.02
