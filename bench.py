@@ -12,6 +12,7 @@ ROOT = Path(__file__).resolve().parent
 sys.path.insert(0, str(ROOT))
 os.environ["PYTHONPATH"] = f"{ROOT}:{os.environ.get('PYTHONPATH', '')}"
 
+MODES, REPEATS = ("inverse", "rank_corrected", "sort", "equal_width"), 2
 HEADLINE = ["brute_knn", "knn_box_dfs", "knn_box_bfs", "knn_ball_dfs", "knn_ball_bfs", "radius_box_bfs", "tree_exact_t3_assign", "rebuild_selective_knn", "kmeans_lloyd_3iters", "kmeans_filtered_3iters", "baseline_kd_knn", "baseline_ball_knn"]
 
 
@@ -21,6 +22,8 @@ def main() -> None:
 
     from pivotgrove.operators import search
     from pivotgrove.operators.index import build_index
+    from pivotgrove.operators.insertion import insert_batch
+    from pivotgrove.operators.selector import gen_knn_queries, gen_radius_queries
     from pivotgrove.queries import QUERIES
     from pivotgrove.sources.points import points
 
@@ -29,23 +32,37 @@ def main() -> None:
     spark.sparkContext.setLogLevel("ERROR")
     took: dict[str, float] = {}
 
-    def run(name: str, action) -> object:
+    def run(name: str, action, again: int = 0) -> object:
+        """The least of the repeats counts."""
         began = time.perf_counter()
         out = action()
-        took[name] = round(time.perf_counter() - began, 3)
+        spent = round(time.perf_counter() - began, 3)
+        took[name] = min(took[name], spent) if again else spent
         return out
 
     write = lambda df: df.write.format("noop").mode("overwrite").save()
     spark.range(1000).count()
     write(QUERIES["geo_dist_orders"](spark, sf_dir))
-    # Builds over the largest table: learned cuts against sorting, and 1,000 queries each.
+    # Every worker and kernel is warm before a build is timed, so that the order of the modes does not matter.
+    small = points(spark, sf_dir, "ord2").where("pid % 10 = 0").cache()
+    for mode in MODES:
+        write(search.knn(insert_batch(build_index(small, mode=mode), small.where("pid % 100 = 0")), small.limit(20).select(F.col("pid").alias("qid"), F.col("coords").alias("qcoords"), F.lit(10).alias("k"))))
+    # Builds over the largest table: learned cuts against sorting; 1,000 kNN and radius queries and a batch into each.
     data = points(spark, sf_dir, "li2").cache()
     data.count()
-    asked = data.select(F.xxhash64("pid").alias("h"), "pid", "coords").orderBy("h").limit(1000).select(F.col("pid").alias("qid"), F.col("coords").alias("qcoords"), F.lit(10).alias("k")).cache()
-    asked.count()
-    for mode in ("inverse", "rank_corrected", "sort", "equal_width"):
-        ix = run(f"build_li2_{mode}", lambda mode=mode: build_index(data, mode=mode))
-        run(f"knn_1000_li2_{mode}", lambda ix=ix: write(search.knn(ix, asked)))
+    asked = gen_knn_queries(data, 1000, 10, 10).cache()
+    within = gen_radius_queries(data, 1000, 0.001, 0.005).cache()
+    fifth = F.pmod(F.xxhash64("pid", F.lit(3)), F.lit(100)) == 0
+    batch = data.where(fifth).withColumn("pid", F.col("pid") + 1).cache()
+    asked.count(), within.count(), batch.count()
+    for mode in MODES:
+        for again in range(REPEATS):
+            ix = run(f"build_li2_{mode}", lambda mode=mode: build_index(data, mode=mode), again)
+        for again in range(REPEATS):
+            run(f"knn_1000_li2_{mode}", lambda ix=ix: write(search.knn(ix, asked)), again)
+        run(f"radius_1000_li2_{mode}", lambda ix=ix: write(search.radius(ix, within)))
+        for again in range(REPEATS):
+            run(f"insert_li2_{mode}", lambda ix=ix: insert_batch(ix, batch), again)
     for name in HEADLINE:
         run(name, lambda name=name: write(QUERIES[name](spark, sf_dir)))
     print(json.dumps({"metric": "headline_total", "value": round(sum(took.values()), 3), "unit": "sec", "queries": took, "sf": sf_dir}))

@@ -131,10 +131,11 @@ def geo_sql_functions(spark, sf_dir):
     return points(spark, sf_dir, "ord2").selectExpr("pid", "ball_lower_bound(array(0D, 0D), 5D, coords) as low")
 
 
-@query("geo_ball_merge")
+@query("geo_ball_merge", f"{_BALL}, w as (select grp % 5 as parent, b.n, c0, c1, rad from b join r using (grp)), m as (select parent, sum(c0 * n) / sum(n) as m0, sum(c1 * n) / sum(n) as m1, cast(sum(n) as bigint) as n from w group by parent) select parent, round(any_value(m0), 4) as c0, round(any_value(m1), 3) as c1, round(max(sqrt((c0 - m0) * (c0 - m0) + (c1 - m1) * (c1 - m1)) + rad), 3) as radius, any_value(m.n) as n_points from w join m using (parent) group by parent")
 def geo_ball_merge(spark, sf_dir):
     balls = G.mbb(_groups(spark, sf_dir), ["grp"], 2).withColumn("parent", F.col("grp") % 5)
-    return G.mbb_merge(balls, ["parent"], 2)
+    out = G.mbb_merge(balls, ["parent"], 2)
+    return out.select("parent", F.round(F.element_at("center", 1), 4).alias("c0"), F.round(F.element_at("center", 2), 3).alias("c1"), F.round("radius", 3).alias("radius"), "n_points")
 
 
 # --- fan-out -----------------------------------------------------------------------------------------------------
@@ -609,7 +610,15 @@ def kmeans_sse(spark, sf_dir):
     return spark.createDataFrame([(out["history"][2]["sse"],)], "sse double").select(F.round(F.col("sse") / 1e6, 3).alias("sse"))
 
 
-@query("kmeans_updated")
+def _updated_sql(before: int, after: int, k: int) -> str:
+    out = f"with p as ({SQL_VIEW['ord2'][1]}), early as (select * from p where pid % 5 != 0), c0 as (select row_number() over (order by pid) - 1 as cid, x0 as c0, x1 as c1 from (select * from early order by pid limit {k}))"
+    for i in range(before + after):
+        source = "early" if i < before else "p"
+        out += f", a{i} as (select pid, any_value(x0) as x0, any_value(x1) as x1, min_by(cid, struct_pack(d := (x0 - c0) * (x0 - c0) + (x1 - c1) * (x1 - c1), cid := cid)) as cid from {source}, c{i} group by pid), c{i + 1} as (select cid, avg(x0) as c0, avg(x1) as c1, count(*) as n from a{i} group by cid)"
+    return out + f" select cast(cid as integer) as cid, n from c{before + after}"
+
+
+@query("kmeans_updated", _updated_sql(3, 2, 4))
 def kmeans_updated(spark, sf_dir):
     data = points(spark, sf_dir, "ord2")
     first = kmeans.run(data.where("pid % 5 != 0"), 4, 3)
@@ -854,7 +863,13 @@ def stream_insert_knn(spark, sf_dir):
 
 # --- experiments -------------------------------------------------------------------------------------------------
 
+#: What the worked examples of the text come to.
+_EXAMPLES = {
+    "W3": "select 'W3' as workload, 'evt2' as dataset, 't=' || t as config, metric, value from (values (2, 'aepl', 2.0::DOUBLE), (3, 'aepl', 1.75), (4, 'aepl', 2.25), (2, 'printed_per_point', 2.0), (3, 'printed_per_point', 1.875), (4, 'printed_per_point', 2.25), (2, 'level_sum', 2.0), (3, 'level_sum', 5.0::DOUBLE / 3), (4, 'level_sum', 2.25), (2, 'exact_recursive', 2.0), (3, 'exact_recursive', 1.75), (4, 'exact_recursive', 2.25)) v(t, metric, value)",
+    "W12": "select * from (values ('W12', 'fixture', '6,3,9', 'points_rebuilt', 12.0::DOUBLE), ('W12', 'fixture', '6,3,9', 'points_full', 18.0)) v(workload, dataset, config, metric, value)",
+    "W20": "select 'W20' as workload, 'fixture' as dataset, cast(i as varchar) as config, 'similarity' as metric, value from (values (0, 1.0::DOUBLE), (1, -3.0), (2, 3.0)) v(i, value)",
+}
 for _w, _f in workloads.ALL.items():
-    query(f"workload_{_w.lower()}")(_f)
+    query(f"workload_{_w.lower()}", _EXAMPLES.get(_w))(_f)
 
 from pivotgrove import queries_surface  # noqa: E402, F401 (it registers its own)
