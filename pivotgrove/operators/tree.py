@@ -82,6 +82,44 @@ def volume(points: np.ndarray, depth: int) -> Node:
     return Node(depth, len(points), points.min(0), points.max(0), centre, float(distances(points, centre).max()))
 
 
+def attach_volumes(root: Node, points: np.ndarray) -> None:
+    """Boxes and balls of a whole tree: its points in the order of the leaves, each level's nodes as runs of them."""
+    order, levels, line = [], {}, [root]
+    places: dict[int, int] = {}
+    at = 0
+    while line:  # preorder: a node's points begin where the leaves before it end
+        node = line.pop()
+        places[id(node)] = at
+        levels.setdefault(node.depth, []).append(node)
+        if node.idx is not None:
+            order.append(node.idx)
+            at += len(node.idx)
+        else:
+            line.extend(reversed(node.kids))
+    d = points.shape[1]
+    x = np.vstack((points[np.concatenate(order)], np.zeros((1, d)))) if at else np.zeros((1, d))
+    for nodes in levels.values():
+        held = [n for n in nodes if n.n]
+        for n in nodes:
+            if not n.n:
+                n.lo, n.hi, n.center, n.radius = np.full(d, np.inf), np.full(d, -np.inf), np.zeros(d), -np.inf
+        if not held:
+            continue
+        start, count = np.array([places[id(n)] for n in held]), np.array([n.n for n in held])
+        runs = np.column_stack((start, start + count)).ravel()
+        low, high = np.minimum.reduceat(x, runs)[::2], np.maximum.reduceat(x, runs)[::2]
+        centre = np.add.reduceat(x, runs)[::2] / count[:, None]
+        first = np.concatenate(([0], np.cumsum(count)[:-1]))
+        rows = np.arange(count.sum()) + np.repeat(start - first, count)
+        total = np.zeros(len(rows))
+        for i in range(d):
+            gap = x[rows, i] - np.repeat(centre[:, i], count)
+            total += gap * gap
+        radius = np.sqrt(np.maximum.reduceat(total, first)).tolist()
+        for n, a, b, c, r in zip(held, low, high, centre, radius, strict=True):
+            n.lo, n.hi, n.center, n.radius = a, b, c, r
+
+
 def quantile_sketch(x: np.ndarray, draw: np.random.Generator, width: int = 512) -> tuple[np.ndarray, np.ndarray]:
     """(values ascending, weights): blocks of sorted values keep every other one, each for two, until few are left.
 
@@ -151,7 +189,8 @@ def find_pivots(x: np.ndarray, t: int, p: Params, draw: np.random.Generator) ->
 def dealt(side: np.ndarray, t: int) -> list[np.ndarray]:
     """The places of each side's members, in order: one stable pass over small numbers."""
     order = np.argsort(side.astype(np.int16), kind="stable")
-    return np.split(order, np.cumsum(np.bincount(side, minlength=t))[:-1])
+    ends = np.cumsum(np.bincount(side, minlength=t)).tolist()
+    return [order[a:b] for a, b in zip([0, *ends], ends, strict=False)]
 
 
 def split(points: np.ndarray, pids: np.ndarray, idx: np.ndarray, depth: int, p: Params, draw: np.random.Generator, t: int | None = None) -> tuple[int, np.ndarray, list[np.ndarray]] | None:
@@ -170,6 +209,14 @@ def split(points: np.ndarray, pids: np.ndarray, idx: np.ndarray, depth: int, p:
             # Equal-count cuts by (value, pid); values that a cut divides are told apart by rank, so bounds do the routing.
             kids = [idx[order[a:b]] for a, b in zip(cuts, cuts[1:], strict=False)]
             return dim, x[order[[max(c - 1, 0) for c in cuts[1:-1]]]], kids
+        if len(idx) <= p.small and p.mode in ("inverse", "rank_corrected"):
+            order = np.argsort(x, kind="stable")  # few points: their order statistics and their sides from one sort
+            ranked = x[order]
+            pivots = ranked[np.maximum(-(-np.arange(1, t) * len(idx) // t) - 1, 0)]
+            cuts = [0, *np.searchsorted(ranked, pivots, side="right").tolist(), len(idx)]
+            if max(b - a for a, b in zip(cuts, cuts[1:], strict=False)) < len(idx):
+                return dim, pivots, [idx[order[a:b]] for a, b in zip(cuts, cuts[1:], strict=False)]
+            continue
         pivots = find_pivots(x, t, p, draw)
         side = np.searchsorted(pivots, x, side="left")
         if side.min() != side.max():
@@ -183,7 +230,8 @@ def build(points: np.ndarray, pids: np.ndarray, p: Params, idx: np.ndarray | Non
     idx = np.arange(len(points)) if idx is None else idx
     if p.t == "auto":
         p = Params(**{**p.__dict__, "t": p.fan(len(idx))})
-    root = volume(points[idx], depth)
+    bare = lambda at, n: Node(at, n, None, None, None, 0.0)
+    root = bare(depth, len(idx))
     open_nodes = [(root, idx, t)]
     while open_nodes:
         node, mine, fan = open_nodes.pop()
@@ -192,10 +240,9 @@ def build(points: np.ndarray, pids: np.ndarray, p: Params, idx: np.ndarray | Non
             node.idx = mine
             continue
         node.dim, node.pivots, parts = cut
-        for part in parts:
-            kid = volume(points[part], node.depth + 1)
-            node.kids.append(kid)
-            open_nodes.append((kid, part, None))
+        node.kids = [bare(node.depth + 1, len(part)) for part in parts]
+        open_nodes.extend((kid, part, None) for kid, part in zip(node.kids, parts, strict=True))
+    attach_volumes(root, points)
     return root
 
 
