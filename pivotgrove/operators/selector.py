@@ -14,7 +14,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from pivotgrove.operators import tree
-from pivotgrove.operators.index import IndexHandle
+from pivotgrove.operators.index import _SUB, IndexHandle
 from pivotgrove.operators.search import prepared, visits
 from pivotgrove.operators.tree import STRATEGIES
 from pivotgrove.runtime import materialise, ship
@@ -108,16 +108,37 @@ def similarity_graph(sample: DataFrame) -> DataFrame:
     return a.join(b, F.col("src") < F.col("dst")).select("src", "dst", path_similarity(F.col("pa"), F.col("pb")).alias("w"))
 
 
-def leaf_paths(ix: IndexHandle, most: int = MAX_PREFIXES) -> tuple[list[tuple[int, ...]], int]:
-    """Path prefixes (cell first) of the deepest level at which there are at most `most`, and that depth."""
-    nodes = ix.nodes().select("cell_id", "level", "is_leaf", "path")
-    depth, best = 0, [(r.cell_id,) for r in nodes.where("level = 0").select("cell_id").distinct().orderBy("cell_id").limit(most).collect()]
+def upper_paths(ix: IndexHandle) -> list[tuple[int, ...]]:
+    """The path of each leaf of the upper tier, in the leaves' order."""
+    out: list[tuple[int, ...]] = []
+    line: list[tuple] = [(ix.upper, ())]
+    while line:
+        node, path = line.pop()
+        if node.idx is not None:
+            out.append(path)
+        else:
+            line.extend((k, (*path, j)) for j, k in reversed(list(enumerate(node.kids))))
+    return out
+
+
+def leaf_paths(ix: IndexHandle, most: int = MAX_PREFIXES) -> tuple[list[tuple[int, ...]], int, int]:
+    """(path prefixes, levels of the upper tier, levels inside a cell) of the deepest cut with `most` prefixes at most.
+
+    Every cell belongs to a prefix: with more cells than that, prefixes end inside the upper tier.
+    """
+    above = upper_paths(ix)
+    if len(above) > most:
+        cut = max(c for c in range(max(map(len, above)) + 1) if len({p[:c] for p in above}) <= most)
+        return sorted({p[:cut] for p in above}), cut, 0
+    whole = max(map(len, above))
+    nodes = ix.nodes().select(F.floor(F.col("cell_id") / _SUB).cast("int").alias("place"), "level", "is_leaf", "path")
+    depth, best = 0, sorted(set(above))
     while True:
         keep = F.slice("path", 1, depth + 1)
-        rows = nodes.where((F.size("path") == depth + 1) | (F.col("is_leaf") & (F.size("path") <= depth))).select("cell_id", keep.alias("p")).distinct().limit(most + 1).collect()
-        found = sorted((r.cell_id, *r.p) for r in rows)
-        if len(found) > most or found == best:
-            return best, depth
+        rows = nodes.where((F.size("path") == depth + 1) | (F.col("is_leaf") & (F.size("path") <= depth))).select("place", keep.alias("p")).distinct().limit(most + 1).collect()
+        found = sorted({(*above[r.place], *r.p) for r in rows})
+        if len(rows) > most or found == best:
+            return best, whole, depth
         depth, best = depth + 1, found
 
 
@@ -143,16 +164,16 @@ def features_f2(ix: IndexHandle, queries: DataFrame, most: int = MAX_PREFIXES) -
     """
     from pivotgrove.operators.insertion import route_to_leaf
 
-    paths, depth = leaf_paths(ix, most)
+    paths, above, depth = leaf_paths(ix, most)
     table = {p: [float(_similar(p, o)) for o in paths] for p in paths}
-    shared = queries.sparkSession.sparkContext.broadcast((table, paths, depth))
+    shared = queries.sparkSession.sparkContext.broadcast((table, paths, [p[:above] for p in upper_paths(ix)], depth))
 
     def kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, every, cut = shared.value
+        known, every, upper, cut = shared.value
         for batch in batches:
             out = []
             for row in batch.to_pylist():
-                p = (row["cell_id"], *row["path"][:cut])
+                p = (*upper[row["cell_id"] // _SUB], *row["path"][:cut])
                 out.append(known.get(p) or [float(_similar(p, o)) for o in every])
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.list_(pa.float64()))], ["qid", "f2"])
 

@@ -125,3 +125,17 @@ def test_rebuild_log_holds_every_rebuild(spark, tmp_path, monkeypatch):
     store.save(newer, str(tmp_path / "ix"))
     kept = insertion.rebuild_log(store.load(spark, str(tmp_path / "ix")), spark)
     assert kept.count() == 12_000 * touched and kept.agg(F.sum("points_full")).first()[0] == 36_000 * touched
+
+
+def test_similarity_features_reach_every_cell(spark, sf_dir):
+    from pivotgrove.operators import selector
+    from pivotgrove.operators.index import build_index
+    from pivotgrove.sources.points import points
+
+    data = points(spark, sf_dir, "ord2")
+    ix = build_index(data, cell_points=40)  # more cells than prefixes
+    assert len(selector.upper_paths(ix)) > 16
+    asked = data.where("pid % 50 = 0").selectExpr("pid as qid", "coords as qcoords", "10 as k")
+    got = [tuple(r.f2) for r in selector.features_f2(ix, asked, most=16).collect()]
+    assert len({len(x) for x in got}) == 1 and len(got[0]) <= 16 and all(max(x) > min(x) for x in got)
+    assert len(set(got)) > 4
