@@ -214,6 +214,14 @@ def test_transducer_equals_merges_and_streams():
             p.decode()
 
 
+def test_the_transducer_alone_equals_the_library(both, reference_bpe):
+    # Without the memo and the look-up of whole pretokens: every pretoken of whole texts goes through the machine.
+    c = bpe_transducer.codec(vocabulary(bpe_transducer.RANKS))
+    for df in both:
+        for _, t in plain(df)[:120]:
+            assert [i for piece in c.split(t) for i in c.machine.encode(piece.encode())] == reference_bpe.encode_ordinary(t)
+
+
 def words(t):
     return t.encode().lower().split()
 
