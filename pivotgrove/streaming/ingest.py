@@ -112,7 +112,11 @@ def interval_pairs(left: DataFrame, right: DataFrame, within: str = "1 hour", la
 
 
 def run_to_table(stream: DataFrame, name: str, mode: str, checkpoint: str) -> DataFrame:
-    """Run a stream over what is there into a memory table and give that table."""
+    """Run a stream over what is there and give its table: appended rows in files beside the checkpoint, other modes (a row a group) in memory."""
+    if mode == "append":
+        sink = stream.writeStream.outputMode(mode).format("parquet").option("path", f"{checkpoint}-out")
+        sink.option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+        return stream.sparkSession.read.schema(stream.schema).parquet(f"{checkpoint}-out")
     query = stream.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     query.awaitTermination()
     return stream.sparkSession.table(name)
