@@ -23,3 +23,17 @@ def test_stream_dedupe_keeps_rows_in_files_and_takes_events_by_time(spark, tmp_p
     before = {t.name for t in spark.catalog.listTables()}
     assert QUERIES["stream_dedupe"](spark, str(tmp_path)).first().n == 2 * events.count()
     assert {t.name for t in spark.catalog.listTables()} == before  # no table in the driver's memory
+
+
+def test_marks_bound_the_first_wave(spark, sf_dir):
+    """A query's first bound is that of a few hundred points, not of a whole cell; answers stay exact."""
+    from pivotgrove.baselines import brute
+    from pivotgrove.operators import search
+    from pivotgrove.operators.index import build_index
+
+    data = P.points(spark, "/root/testdata/sf0.01", "ord2")
+    asked = data.where("pid % 500 = 0").select(F.col("pid").alias("qid"), F.col("coords").alias("qcoords"), F.lit(10).cast("long").alias("k"))
+    ix = build_index(data, cell_points=4000)
+    assert search.probes(ix, search.prepared(asked, "box_dfs"), True).count() < 2 * asked.count()
+    for how in ({"strategy": "ball_bfs"}, {"strategy": "box_dfs", "home_pass": True}, {"strategy": "box_bfs", "seed_bound": False}):
+        assert search.knn(ix, asked, **how).exceptAll(brute.knn(data, asked)).isEmpty()
