@@ -50,3 +50,14 @@ def test_brute_knn_in_arrays(spark):
     rows = sorted((r.qid, r["rank"], r.pid, r.dist) for r in out.collect())
     assert [r[2] for r in rows if r[0] == 1] == [1, 6, 11] and abs(rows[0][3] - 0.2) < 1e-12
     assert len([r for r in rows if r[0] == 2]) == 40 and {r[0] for r in rows} == {1, 2}
+
+
+def test_early_stop_over_several_cells(spark, sf_dir):
+    from pivotgrove.operators import selector
+    from pivotgrove.operators.index import build_index
+
+    data = P.points(spark, sf_dir, "ord2")
+    ix = build_index(data, cell_points=300)
+    asked = data.where("pid % 50 = 0").select(F.col("pid").alias("qid"), F.col("coords").alias("qcoords"), F.lit(10).cast("long").alias("k"))
+    early, full = selector.label_early_stop(ix, asked), selector.label_queries(ix, asked).select("qid", "label")
+    assert ix.cells.count() > 1 and early.count() == asked.count() and early.exceptAll(full).isEmpty()
