@@ -61,3 +61,14 @@ def test_early_stop_over_several_cells(spark, sf_dir):
     asked = data.where("pid % 50 = 0").select(F.col("pid").alias("qid"), F.col("coords").alias("qcoords"), F.lit(10).cast("long").alias("k"))
     early, full = selector.label_early_stop(ix, asked), selector.label_queries(ix, asked).select("qid", "label")
     assert ix.cells.count() > 1 and early.count() == asked.count() and early.exceptAll(full).isEmpty()
+
+
+def test_all_points_asked_for_need_no_order(spark, sf_dir):
+    from pivotgrove.operators import search
+    from pivotgrove.operators.index import build_index
+
+    data = P.points(spark, "/root/testdata/sf0.01", "cus2")
+    asked = data.where("pid % 500 = 0").select(F.col("pid").alias("qid"), F.col("coords").alias("qcoords"), F.lit(10**6).cast("long").alias("k"))
+    counted = search.knn(build_index(data, cell_points=400), asked).groupBy("qid").count()
+    assert "Window" not in counted._jdf.queryExecution().executedPlan().toString()
+    assert {r["count"] for r in counted.collect()} == {data.count()}
