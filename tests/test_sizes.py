@@ -1,5 +1,6 @@
 """What failed on tables 6 and 60 times as large, on small tables."""
 
+import pytest
 from pyspark.sql import functions as F
 
 from pivotgrove.operators import relational
@@ -72,3 +73,21 @@ def test_all_points_asked_for_need_no_order(spark, sf_dir):
     counted = search.knn(build_index(data, cell_points=400), asked).groupBy("qid").count()
     assert "Window" not in counted._jdf.queryExecution().executedPlan().toString()
     assert {r["count"] for r in counted.collect()} == {data.count()}
+
+
+ON_TABLES = ["fanout_table"]
+
+
+@pytest.mark.parametrize("name", ON_TABLES)
+def test_measures_read_a_given_table(spark, sf_dir, name):
+    import duckdb
+
+    from pivotgrove.queries import ORACLES, QUERIES
+
+    assert " from orders" in ORACLES[name] or " from part" in ORACLES[name]
+    con = duckdb.connect()
+    for t in ("orders", "part"):
+        con.execute(f"create view {t} as select * from '{sf_dir}/{t}.parquet'")
+    got, want = QUERIES[name](spark, sf_dir).toPandas(), con.execute(ORACLES[name]).df()
+    order = lambda df: df[sorted(got.columns)].astype(str).sort_values(sorted(got.columns)).reset_index(drop=True)
+    assert order(got).equals(order(want)) and len(got)
