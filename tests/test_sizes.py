@@ -75,7 +75,7 @@ def test_all_points_asked_for_need_no_order(spark, sf_dir):
     assert {r["count"] for r in counted.collect()} == {data.count()}
 
 
-ON_TABLES = ["fanout_table", "fanout_best", "fanout_solvers", "fanout_example8", "balance_audit", "config_ratio", "feature_gain"]
+ON_TABLES = ["fanout_table", "fanout_best", "fanout_solvers", "fanout_example8", "balance_audit", "config_ratio", "feature_gain", "factor_ratios_fixture"]
 
 
 @pytest.mark.parametrize("name", ON_TABLES)
