@@ -24,7 +24,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from pivotgrove.llm.shingles import mix, word_endings, word_hashes
+from pivotgrove.llm.shingles import endings_at, hashes_at, mix, word_bounds
 from pivotgrove.llm.tables import read
 from pivotgrove.runtime import materialise, ship
 
@@ -35,31 +35,63 @@ EPOCHS, BATCH, NOISE, RATE, SEED = 3, 2048, 10, 0.15, 5
 LANES, DRAWN = 16, 64  #: runs of tokens in a batch, and noise classes that it draws
 MERGED = 256  #: copies of the model that one task adds up
 END = np.uint64(0xE9D)  #: stands for the end of a text
-_FLUSH = 1 << 22
+_FLUSH, _RUN = 1 << 20, 1 << 18  #: distinct words of runs that a task holds, characters of a run
 
 
-def token_hashes(text: str) -> np.ndarray:
-    return np.append(word_hashes(text), END)
+class Run:
+    """Several texts as one array of bytes, so that few calls serve them all; a space between them keeps words apart.
 
+    hashes: of the words of every text and its end; size: tokens of each text.
+    """
+
+    def __init__(self, texts: list[str]):
+        whole = [t.encode() for t in texts]
+        self.raw = np.frombuffer(b" ".join(whole), dtype=np.uint8)
+        self.starts, self.ends = word_bounds(self.raw)
+        borders = np.cumsum([len(t) + 1 for t in whole])
+        self.size = np.diff(np.searchsorted(self.starts, borders), prepend=0) + 1
+        self.first = np.cumsum(self.size) - self.size
+        self.is_word = np.ones(int(self.size.sum()), dtype=bool)
+        self.is_word[self.first + self.size - 1] = False
+        self.hashes = np.full(len(self.is_word), END)
+        self.hashes[self.is_word] = hashes_at(self.raw, self.starts, self.ends)
+
+    def ending_classes(self, at: np.ndarray) -> np.ndarray:
+        """Of the tokens at these places; the end's, 0, is not used, as it is a class of its own."""
+        out = np.zeros(len(at), np.int32)
+        words = np.flatnonzero(self.is_word[at])
+        place = at[words] - np.searchsorted(self.first, at[words], side="right") + 1  # an end before it for each text before it
+        out[words] = mix(endings_at(self.raw, self.starts[place], self.ends[place])) % np.uint64(ENDING_CLASSES)
+        return out
 
-def ending_classes(text: str) -> np.ndarray:
-    """Of each word and the end; the end's is not used, as it is a class of its own."""
-    return np.append((mix(word_endings(text)) % np.uint64(ENDING_CLASSES)).astype(np.int32) if text else np.empty(0, np.int32), np.int32(0))
+
+def runs(texts: pa.Array, most: int) -> Iterator[tuple[int, Run]]:
+    """(place of the first, run) of neighbouring texts that together have about so many characters; a longer text is a run alone."""
+    held, waiting, begun = [], 0, 0
+    for at, value in enumerate(texts):
+        text = value.as_py()
+        if held and waiting + len(text) > most:
+            yield begun, Run(held)
+            held, waiting, begun = [], 0, at
+        held.append(text)
+        waiting += len(text)
+    if held:
+        yield begun, Run(held)
 
 
 def _count_kernel(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     held, waiting = [], 0
 
     def counted() -> pa.RecordBatch:
-        h, e = (np.concatenate(x) for x in zip(*held, strict=True))
-        h, at, n = np.unique(h, return_index=True, return_counts=True)
-        return pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(e[at]), pa.array(n)], ["word", "ending", "n"])
+        h, e, c = (np.concatenate(x) for x in zip(*held, strict=True))
+        h, at, group = np.unique(h, return_index=True, return_inverse=True)
+        return pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(e[at]), pa.array(np.bincount(group, c).astype(np.int64))], ["word", "ending", "n"])
 
     for batch in batches:
-        for value in batch.column(1):
-            text = value.as_py()
-            held.append((token_hashes(text), ending_classes(text)))
-            waiting += len(held[-1][0])
+        for _, run in runs(batch.column(1), _RUN):
+            h, at, n = np.unique(run.hashes, return_index=True, return_counts=True)
+            held.append((h, run.ending_classes(at), n))
+            waiting += len(h)
             if waiting >= _FLUSH:
                 yield counted()
                 held, waiting = [], 0
@@ -77,13 +109,13 @@ class Classes:
     total: np.ndarray  # training tokens of each class
     distinct: np.ndarray  # training words of each class
 
-    def look_up(self, h: np.ndarray, endings: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(class, count or -1 where the word is not common)."""
+    def look_up(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(class, count), each -1 where the word is not common."""
         if not len(self.words):
-            return WORD_CLASSES + endings.astype(np.int64), np.full(len(h), -1)
+            return np.full(len(h), -1), np.full(len(h), -1)
         at = np.minimum(np.searchsorted(self.words, h), len(self.words) - 1)
         hit = self.words[at] == h
-        return np.where(hit, self.of[at], WORD_CLASSES + endings), np.where(hit, self.counts[at], -1)
+        return np.where(hit, self.of[at], -1), np.where(hit, self.counts[at], -1)
 
 
 N_CLASSES = WORD_CLASSES + ENDING_CLASSES
@@ -135,7 +167,7 @@ class LogBilinear:
             drawn = after.take(k, 0)
             gap = guess @ -drawn.T  # the share of each drawn class, in place: each * NOISE / DRAWN over 1 + exp(-z)
             gap -= bias.take(k)
-            np.clip(gap, -30, 30, out=gap)
+            np.minimum(gap, 30, out=gap)  # what is far below adds nothing to 1
             np.exp(gap, out=gap)
             gap += 1
             np.divide((each * np.float32(NOISE / DRAWN))[:, None], gap, out=gap)
@@ -150,33 +182,38 @@ class LogBilinear:
             for x, v in zip(back, weight, strict=True):
                 g_seen[:, x] += g_guess * v
             g_before = np.bincount((c.reshape(-1, 1) * WIDTH + at_width).ravel(), g_seen.ravel(), self.before.size).reshape(self.before.shape)
-            g_weight = np.stack([np.einsum("lrd,lrd->d", g_guess, seen[:, x]) for x in back]).astype(float)
+            ones = np.ones(LANES * run, np.float32)
+            g_weight = np.stack([ones @ (g_guess * seen[:, x]).reshape(-1, WIDTH) for x in back]).astype(float)
             for x, s, g in zip(self.arrays(), square, (g_before, g_weight, g_after, g_bias), strict=True):
                 s += g * g
                 x -= RATE * g / np.sqrt(s)
         return self
 
-    def log_probabilities(self, context: np.ndarray, target: np.ndarray, block: int = 2048) -> np.ndarray:
+    def log_probabilities(self, context: np.ndarray, target: np.ndarray, block: int = 512) -> np.ndarray:
         """Natural log of each target class given its context, normalised over all classes."""
         out = np.empty(len(target))
-        # One product for every distance and class: a context adds up rows of it.
-        moved = [(self.before * w).astype(np.float32) for w in self.weight]
-        after, bias = self.after.T.astype(np.float32), self.bias.astype(np.float32)
-        every = np.ones(len(bias), np.float32)
+        # One product for every distance and class: a context adds up rows of it. The last column adds the bias.
+        moved = [np.column_stack((self.before * w, np.full(len(self.before), i == 0))).astype(np.float32) for i, w in enumerate(self.weight)]
+        after = np.vstack((self.after.T, self.bias)).astype(np.float32)
+        every = np.ones(len(self.bias), np.float32)
+        row = np.arange(block)
         for lo in range(0, len(target), block):
             c = context[lo : lo + block]
-            guess = moved[0][c[:, 0]]
+            guess = moved[0].take(c[:, 0], 0)
             for i in range(1, CONTEXT):
-                guess = guess + moved[i][c[:, i]]
+                guess += moved[i].take(c[:, i], 0)
             z = guess @ after
-            z += bias
-            own = z[np.arange(len(c)), target[lo : lo + block]].astype(float)
-            top = z.max()
-            total = np.exp(np.subtract(z, top, out=z)) @ every
+            own = z[row[: len(c)], target[lo : lo + block]].astype(float)
+            top = float(z.max())
+            if abs(top) < 60:  # neither the exponentials nor their sums leave the range
+                top = 0.0
+            else:
+                z -= np.float32(top)
+            total = np.exp(z, out=z) @ every
             out[lo : lo + block] = own - top - np.log(np.maximum(total, 1e-300))
             for i in np.flatnonzero(total < 1e-20):  # a row far below the block's top is added up by itself
-                row = guess[i].astype(float) @ self.after.T + self.bias
-                out[lo + i] = row[target[lo + i]] - row.max() - np.log(np.exp(row - row.max()).sum())
+                alone = guess[i, :WIDTH].astype(float) @ self.after.T + self.bias
+                out[lo + i] = alone[target[lo + i]] - alone.max() - np.log(np.exp(alone - alone.max()).sum())
         return out
 
 
@@ -199,34 +236,30 @@ def _class_kernel(shared, base_total: float):
         share = np.log10(classes.total + 0.5 * (classes.distinct + 1))
         part, row = TaskContext.get().partitionId(), 0
         for batch in batches:
-            at = 0
-            while at < batch.num_rows:
-                held, tokens, begun = [], 0, at
-                while at < batch.num_rows and (tokens < 200_000 or not held):
-                    text = batch.column(1)[at].as_py()
-                    held.append((token_hashes(text), ending_classes(text)))
-                    tokens += len(held[-1][0])
-                    at += 1
-                h, endings = (np.concatenate(x) for x in zip(*held, strict=True))
-                n = np.array([len(x) for x, _ in held])
-                starts = np.concatenate(([0], np.cumsum(n)[:-1]))
-                of, count = classes.look_up(h, endings)
-                common = count >= 0
-                own = np.where(common, np.log10(np.maximum(count, 0) + 0.5), 0.0)
+            for begun, run in runs(batch.column(1), _RUN):
+                h, n, starts = run.hashes, run.size, run.first
+                of, count = classes.look_up(h)
+                rarer = np.flatnonzero(count < 0)
+                of[rarer] = WORD_CLASSES + run.ending_classes(rarer)
+                own = np.log10(np.maximum(count, 0) + 0.5)
+                own[rarer] = 0.0
                 base = np.add.reduceat(own, starts) - n * base_total
                 inside = np.add.reduceat(own - share[of], starts)
-                known = np.add.reduceat((common & (count > 0)).astype(np.int64), starts)
-                narrow, rare, written = of.astype("<i2"), [], []
-                for lo, size in zip(starts.tolist(), n.tolist(), strict=True):
-                    some = h[lo : lo + size][~common[lo : lo + size]]
-                    word, times = np.unique(some, return_counts=True)
-                    rare.append([{"word": w, "times": t} for w, t in zip(word.view(np.int64).tolist(), times.tolist(), strict=True)])
-                    written.append(narrow[lo : lo + size].tobytes())
+                known = np.add.reduceat((count > 0).astype(np.int64), starts)
+                # Each text's rarer words with the times that they occur in it.
+                text, word = np.searchsorted(starts, rarer, side="right") - 1, h[rarer]
+                order = np.lexsort((word, text))
+                text, word = text[order], word[order]
+                new = np.flatnonzero(np.append(True, (text[1:] != text[:-1]) | (word[1:] != word[:-1]))[: len(word)])
+                times = np.diff(np.append(new, len(word)))
+                rare = pa.StructArray.from_arrays([pa.array(word[new].view(np.int64)), pa.array(times)], ["word", "times"])
+                held = np.searchsorted(text[new], np.arange(len(n) + 1)).astype(np.int32)
+                ends = np.append(0, np.cumsum(2 * n)).astype(np.int32)
+                written = pa.Array.from_buffers(pa.binary(), len(n), [None, pa.py_buffer(ends), pa.py_buffer(of.astype("<i2"))])
                 rows = np.arange(row, row + len(n)) + (part << 40)
                 row += len(n)
-                kind = pa.list_(pa.struct([("word", pa.int64()), ("times", pa.int64())]))
-                whole = batch.slice(begun, at - begun)
-                yield pa.RecordBatch.from_arrays([pa.array(rows), whole.column(0), whole.column(2), pa.array(n), pa.array(known), pa.array(base), pa.array(inside), pa.array(rare, kind), pa.array(written, pa.binary())], ["row", "doc_id", "held_out", "n_tokens", "known", "base", "inside", "rare", "classes"])
+                whole = batch.slice(begun, len(n))
+                yield pa.RecordBatch.from_arrays([pa.array(rows), whole.column(0), whole.column(2), pa.array(n), pa.array(known), pa.array(base), pa.array(inside), pa.ListArray.from_arrays(pa.array(held), rare), written], ["row", "doc_id", "held_out", "n_tokens", "known", "base", "inside", "rare", "classes"])
 
     return kernel
 

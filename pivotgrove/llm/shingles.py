@@ -47,10 +47,8 @@ def word_bounds(raw: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return edge[::2], edge[1::2]
 
 
-def word_endings(text: str) -> np.ndarray:
+def endings_at(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
     """A number made of the last three bytes of each word, lower-cased."""
-    raw = np.frombuffer(text.encode(), dtype=np.uint8)
-    starts, ends = word_bounds(raw)
     out = np.zeros(len(starts), dtype=np.uint64)
     for back in (1, 2, 3):
         at = ends - back
@@ -62,8 +60,11 @@ def word_hashes(text: str | bytes) -> np.ndarray:
     raw = np.frombuffer(text.encode() if isinstance(text, str) else text, dtype=np.uint8)
     if not len(raw):
         return np.empty(0, dtype=np.uint64)
+    return hashes_at(raw, *word_bounds(raw))
+
+
+def hashes_at(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
     up, down = _power(len(raw))
-    starts, ends = word_bounds(raw)
     running = np.zeros(len(raw) + 1, dtype=np.uint64)
     np.cumsum(_VALUE[raw] * up[: len(raw)], out=running[1:])
     return mix((running[ends] - running[starts]) * down[starts] + (ends - starts).astype(np.uint64))
