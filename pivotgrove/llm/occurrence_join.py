@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 from pivotgrove.llm.shingles import shingle_hashes
 from pivotgrove.llm.tables import read, texts
-from pivotgrove.runtime import components, discard, materialise, ship
+from pivotgrove.runtime import components, discard, giving_back, materialise, ship
 
 WORDS, PERCENT = 4, 85
 TASK_SHINGLES = 1_000_000
@@ -321,7 +321,7 @@ def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCE
     spark = docs.sparkSession
     ship(spark)
     rows = texts(docs)
-    prefixes = materialise(rows.mapInArrow(_prefix_kernel(words, percent), "doc_id long, n_shingles long, digest binary, due int, prefix array<long>"), "join-prefixes")
+    prefixes = materialise(rows.mapInArrow(giving_back(_prefix_kernel(words, percent)), "doc_id long, n_shingles long, digest binary, due int, prefix array<long>"), "join-prefixes")
     held = prefixes.where("n_shingles > 0")
     classes = materialise(held.groupBy("digest").agg(F.min("doc_id").alias("first_id"), F.min("n_shingles").alias("n"), F.count("*").alias("copies")), "join-classes")
     # One row of each class stands for it; its key in the cluster graph is short, a clash there would only merge clusters.
@@ -344,7 +344,7 @@ def jaccard_components(docs: DataFrame, words: int = WORDS, percent: int = PERCE
     dealt = tasks_of(chosen, total, percent)
     small = many <= BROADCAST_ROWS  # about 100 bytes a row; beyond that both sides are dealt by doc_id
     with_text = rows.join(F.broadcast(dealt) if small else dealt, "doc_id").select("text", "digest", "tasks")
-    sets = with_text.mapInArrow(_set_kernel(words), f"digest binary, tasks {_TASKS}, shingles binary").select("digest", "shingles", F.explode("tasks").alias("t")).select("digest", "shingles", "t.*")
+    sets = with_text.mapInArrow(giving_back(_set_kernel(words)), f"digest binary, tasks {_TASKS}, shingles binary").select("digest", "shingles", F.explode("tasks").alias("t")).select("digest", "shingles", "t.*")
     links = components(sets.groupBy("pool", "whole", "i", "j").applyInArrow(_link_kernel(percent), "src binary, dst binary"))
     linked = classes.join(links.select(F.col("node").alias("digest"), "root"), "digest", "left").select("digest", "first_id", F.coalesce("root", "digest").alias("root"), F.col("root").isNotNull().alias("linked"), "copies")
     least = linked.where("linked").groupBy("root").agg(F.min("first_id").alias("least"))

@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from pivotgrove.llm.tables import read, texts, vocabulary
-from pivotgrove.runtime import materialise, ship
+from pivotgrove.runtime import giving_back, materialise, ship
 
 VOCABULARY = "word_bpe_49k.json"
 WINDOW, END_ID = 2048, 1
@@ -109,7 +109,7 @@ def tokenise(docs: DataFrame, vocabulary_file: str | None = None, end_id: int =
                 yield pa.RecordBatch.from_pydict({"part": [part] * len(counts), "local_start": starts, "doc_id": rows.column(0), "doc_tokens": counts, "ids": packed})
 
     rows = texts(docs).withColumn("h", F.xxhash64("text")).repartitionByRange("doc_id", "h").sortWithinPartitions("doc_id", "h").drop("h")
-    return rows.mapInArrow(kernel, "part long, local_start long, doc_id long, doc_tokens long, ids binary")
+    return rows.mapInArrow(giving_back(kernel), "part long, local_start long, doc_id long, doc_tokens long, ids binary")
 
 
 def pack(docs: DataFrame, window: int = WINDOW, vocabulary_file: str | None = None, end_id: int = END_ID, keep_ids: bool = False) -> DataFrame:

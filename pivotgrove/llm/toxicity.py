@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from pivotgrove.llm.tables import read, texts
-from pivotgrove.runtime import ship
+from pivotgrove.runtime import giving_back, ship
 
 BITS, FACTORS = 20, 8
 MAX_LABELLED = 20_000  #: rows that the model is fitted on at most
@@ -148,7 +148,7 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "toxic", max_labelled:
     ship(docs.sparkSession)
     known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("label")).where(F.col("label").isin(0, 1) & (F.crc32(F.col("doc_id").cast("string")) % 5 != 0))
     known = known.groupBy("doc_id").agg(F.max("label").alias("label")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(max_labelled)
-    rows = texts(docs).join(F.broadcast(known), "doc_id").select("doc_id", "text", "label").mapInArrow(_term_kernel, "doc_id long, label int, terms array<int>")
+    rows = texts(docs).join(F.broadcast(known), "doc_id").select("doc_id", "text", "label").mapInArrow(giving_back(_term_kernel), "doc_id long, label int, terms array<int>")
     got = rows.toArrow().sort_by([("doc_id", "ascending"), ("label", "ascending")])
     lists = got["terms"].combine_chunks()
     values = np.split(np.asarray(lists.flatten()), np.cumsum(np.asarray(lists.value_lengths()))[:-1]) if len(lists) else []
@@ -174,7 +174,7 @@ def score(docs: DataFrame, model: FactorisationMachine, keyed: bool = False) ->
     held_out = F.coalesce(F.crc32(F.col("doc_id").cast("string")) % 5 == 0, F.lit(False))
     rows, key = texts(docs), ["row_key"] if keyed else []
     rows = rows.withColumn("row_key", F.xxhash64("text")) if keyed else rows
-    scored = rows.mapInArrow(kernel, "doc_id long, score double" + ", row_key long" * keyed)
+    scored = rows.mapInArrow(giving_back(kernel), "doc_id long, score double" + ", row_key long" * keyed)
     return scored.select("doc_id", held_out.alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), *key)
 
 

@@ -91,3 +91,18 @@ def test_measures_read_a_given_table(spark, sf_dir, name):
     got, want = QUERIES[name](spark, sf_dir).toPandas(), con.execute(ORACLES[name]).df()
     order = lambda df: df[sorted(got.columns)].astype(str).sort_values(sorted(got.columns)).reset_index(drop=True)
     assert order(got).equals(order(want)) and len(got)
+
+
+def test_long_texts_reach_kernels_in_bounded_batches(spark):
+    from pivotgrove import runtime
+
+    def sizes(batches):
+        import pyarrow as pa
+
+        for batch in batches:
+            yield pa.RecordBatch.from_pydict({"n": [batch.nbytes]})
+
+    runtime.ship(spark)
+    rows = spark.range(0, 4000, 1, 1).select(F.repeat(F.lit("word "), 1000).alias("text"))
+    got = [r.n for r in rows.mapInArrow(runtime.giving_back(sizes), "n long").collect()]
+    assert sum(got) > 4000 * 5000 and max(got) < 8_000_000
