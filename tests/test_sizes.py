@@ -106,3 +106,38 @@ def test_long_texts_reach_kernels_in_bounded_batches(spark):
     rows = spark.range(0, 4000, 1, 1).select(F.repeat(F.lit("word "), 1000).alias("text"))
     got = [r.n for r in rows.mapInArrow(runtime.giving_back(sizes), "n long").collect()]
     assert sum(got) > 4000 * 5000 and max(got) < 8_000_000
+
+
+def test_walks_side_by_side_are_the_same_walks():
+    """Answers and counters of each walk, all strategies, with ties, leaves of equal points, limits and budgets."""
+    import numpy as np
+
+    from pivotgrove.operators import tree
+
+    draw = np.random.default_rng(5)
+    points = np.repeat(np.round(draw.normal(size=(60, 3)) * 9), 40, axis=0)
+    pids = draw.permutation(len(points)).astype(np.int64)
+    root = tree.build(points, pids, tree.Params(t=4))
+    flat = tree.Flat.of(tree.pack(root, points, pids))
+    q, k = points[draw.integers(0, len(points), 50)] + draw.normal(size=(50, 3)), draw.integers(1, 9, 50)
+    limit, budget = np.where(draw.random(50) < 0.5, np.inf, draw.random(50) * 15), draw.integers(5, 900, 50)
+    for strategy in tree.STRATEGIES:
+        for some in (None, budget):
+            found, work = tree.nearest_together(flat, q, k, limit, strategy, budget=some)
+            for i in range(50):
+                near, far, w = tree.nearest(root, points, pids, q[i], int(k[i]), strategy, limit=limit[i], budget=None if some is None else int(some[i]))
+                assert sorted(zip(found[i][1], found[i][0], strict=True)) == sorted(zip(far, near, strict=True))
+                assert work[i].tolist() == [w.nodes_visited, w.leaves_visited, w.points_accessed, w.pruned_nodes]
+
+
+def test_queries_of_one_cell_are_many_tasks(spark, sf_dir):
+    """A small index left all queries of its only cell to one task."""
+    from pivotgrove.operators import search
+    from pivotgrove.operators.index import build_index
+
+    data = P.points(spark, sf_dir, "ord2")
+    asked = data.select(F.col("pid").alias("qid"), F.col("coords").alias("qcoords"), F.lit(10).cast("long").alias("k"))
+    ix = build_index(data)
+    met = search.access_log(ix, asked).groupBy(F.spark_partition_id()).count()
+    rows = search.visits(ix, search.prepared(asked, "box_dfs"), True).select(F.spark_partition_id().alias("task")).distinct().count()
+    assert ix.cells.count() == 1 and rows > 2 and met.agg(F.sum("count")).first()[0] == asked.count()
