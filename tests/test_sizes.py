@@ -141,3 +141,18 @@ def test_queries_of_one_cell_are_many_tasks(spark, sf_dir):
     met = search.access_log(ix, asked).groupBy(F.spark_partition_id()).count()
     rows = search.visits(ix, search.prepared(asked, "box_dfs"), True).select(F.spark_partition_id().alias("task")).distinct().count()
     assert ix.cells.count() == 1 and rows > 2 and met.agg(F.sum("count")).first()[0] == asked.count()
+
+
+def test_labels_by_time_and_by_work_are_of_one_run(spark, sf_dir, monkeypatch):
+    from pivotgrove import workloads
+    from pivotgrove.operators import selector
+    from pivotgrove.operators.index import build_index
+
+    runs, visits = [], selector.visits
+    monkeypatch.setattr(selector, "visits", lambda *a, **k: runs.append(1) or visits(*a, **k))
+    rows = workloads.W14(spark, sf_dir, m=20).collect()
+    assert len(runs) == 1 and {r.metric for r in rows} == {"queries_by_time", "queries_by_work", "queries"}
+    data = P.points(spark, sf_dir, "li3")
+    ix, asked = build_index(data), selector.gen_knn_queries(data, 20, 1, 1000)
+    work = selector.cheapest(selector.strategy_costs(ix, asked), "work").select("qid", "label")
+    assert work.count() == 20 and work.exceptAll(selector.label_queries(ix, asked).select("qid", "label")).isEmpty()
