@@ -50,3 +50,20 @@ def test_bounds_by_the_marks_of_many_cells_are_those_of_a_loop():
             if len(enough):
                 want[i] = min(want[i], far[order][enough[0]])
         np.testing.assert_allclose(search._finer(bound, home, (np.concatenate(each), np.cumsum(many) - many, many), q, k), want, rtol=1e-12)
+
+
+def test_walks_that_go_alone_have_the_answers_and_counters_of_the_tree():
+    draw = np.random.default_rng(5)
+    for d, n in ((2, 900), (3, 700)):
+        points, pids = np.round(draw.random((n, d)) * 12), draw.permutation(n) - 100
+        points[: n // 4] = points[0]  # many equal points: ties go by pid
+        root = tree.build(points, pids, tree.Params(c=9, t=4))
+        packed = tree.pack(root, points, pids)
+        held, lone = tree.unpack(packed), tree.Lone(packed)
+        for q in [*points[:: n // 6], np.full(d, 30.0)]:
+            for k in (1, 10, 150, n - 1):
+                for s in tree.STRATEGIES:
+                    for order in ("nearest", "pivot"):
+                        for limit, budget, single in ((np.inf, None, "own"), (4.0, None, "single"), (6.0, 60, "own")):
+                            a, b = tree.nearest(*held, q, k, s, order, limit, budget, single), lone.nearest(q, k, s, order, limit, budget, single)
+                            assert sorted(zip(a[1], a[0])) == sorted(zip(b[1], b[0])) and a[2] == b[2]
