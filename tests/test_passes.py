@@ -67,3 +67,16 @@ def test_walks_that_go_alone_have_the_answers_and_counters_of_the_tree():
                         for limit, budget, single in ((np.inf, None, "own"), (4.0, None, "single"), (6.0, 60, "own")):
                             a, b = tree.nearest(*held, q, k, s, order, limit, budget, single), lone.nearest(q, k, s, order, limit, budget, single)
                             assert sorted(zip(a[1], a[0])) == sorted(zip(b[1], b[0])) and a[2] == b[2]
+
+
+def test_searches_ask_an_index_once_for_its_totals(spark, sf_dir):
+    data = P.points(spark, sf_dir, "ord2")
+    ix = index.build_index(data, cell_points=300)
+    asked = search.prepared(data.limit(20).select(F.col("pid").alias("qid"), F.col("coords").alias("qcoords"), F.lit(5).alias("k")), "box_dfs")
+    search.probes(ix, asked, True)
+    spark.sparkContext.setJobGroup("totals", "totals")
+    search.probes(ix, asked, True)
+    jobs = spark.sparkContext.statusTracker().getJobIdsForGroup("totals")
+    spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert len(jobs) <= 1  # the cells themselves; a count, a sum and the marks were jobs of their own
+    assert ix.totals() == (ix.cells.count(), data.count(), ix.cells.agg(F.sum(F.size("marks"))).first()[0])
