@@ -156,3 +156,42 @@ def test_labels_by_time_and_by_work_are_of_one_run(spark, sf_dir, monkeypatch):
     ix, asked = build_index(data), selector.gen_knn_queries(data, 20, 1, 1000)
     work = selector.cheapest(selector.strategy_costs(ix, asked), "work").select("qid", "label")
     assert work.count() == 20 and work.exceptAll(selector.label_queries(ix, asked).select("qid", "label")).isEmpty()
+
+
+def test_radius_walks_on_arrays_are_the_same_walks():
+    """Answers and counters of all strategies, whole nodes accepted or not, with ties, empty children and a root that is a leaf."""
+    import numpy as np
+
+    from pivotgrove.operators import tree
+
+    draw = np.random.default_rng(6)
+    many = np.repeat(np.round(draw.normal(size=(60, 3)) * 9), 40, axis=0)
+    for points, params in ((many, tree.Params(t=4)), (draw.normal(size=(3000, 2)) ** 3, tree.Params(t=8, mode="equal_width")), (many[:20], tree.Params())):
+        pids = draw.permutation(len(points)).astype(np.int64)
+        root = tree.build(points, pids, params)
+        lone = tree.Lone(tree.pack(root, points, pids))
+        for strategy in tree.STRATEGIES:
+            for i in range(20):
+                q, r = points[draw.integers(0, len(points))] + draw.normal(size=points.shape[1]) * (i % 3), (0.0, 0.5, 3.0, 200.0)[i % 4]
+                for accept in (False, True):
+                    want, got = tree.radius_search(root, points, pids, q, r, strategy, accept), lone.within(q, r, strategy, accept)
+                    assert sorted(zip(want[0], want[1], strict=True)) == sorted(zip(got[0], got[1], strict=True)) and want[2] == got[2]
+                for limit in (np.inf, r):  # all points asked for
+                    want, got = (f(q, len(points), strategy, limit=limit) for f in (lambda *a, **k: tree.nearest(root, points, pids, *a, **k), lone.nearest))
+                    assert sorted(zip(want[0], want[1], strict=True)) == sorted(zip(got[0], got[1], strict=True)) and want[2] == got[2]
+
+
+def test_a_log_carries_no_answers(spark, sf_dir):
+    """Counters came back beside every answer, which nothing read."""
+    from pivotgrove.operators import search
+    from pivotgrove.operators.index import build_index
+
+    data = P.points(spark, sf_dir, "ord2")
+    asked = data.where("pid % 50 = 0").select(F.col("pid").alias("qid"), F.col("coords").alias("qcoords"), F.lit(500.0).alias("r"), F.lit(10).cast("long").alias("k"))
+    ix = build_index(data, cell_points=400)
+    for knn in (True, False):
+        every = search.visits(ix, search.prepared(asked, "box_dfs"), knn)
+        log, answers = (search.visits(ix, search.prepared(asked, "box_dfs"), knn, only=x) for x in ("log", "answers"))
+        counters = ["qid", "nodes_visited", "leaves_visited", "points_accessed", "pruned_nodes"]
+        assert log.count() > 0 and log.select(counters).exceptAll(every.where("pid is null").select(counters)).isEmpty() and log.where("pid is not null").isEmpty()
+        assert answers.columns == ["qid", "pid", "dist"] and answers.count() > 0 and every.where("pid is not null").select(answers.columns).exceptAll(answers).isEmpty()
