@@ -195,3 +195,19 @@ def test_a_log_carries_no_answers(spark, sf_dir):
         counters = ["qid", "nodes_visited", "leaves_visited", "points_accessed", "pruned_nodes"]
         assert log.count() > 0 and log.select(counters).exceptAll(every.where("pid is null").select(counters)).isEmpty() and log.where("pid is not null").isEmpty()
         assert answers.columns == ["qid", "pid", "dist"] and answers.count() > 0 and every.where("pid is not null").select(answers.columns).exceptAll(answers).isEmpty()
+
+
+def test_all_points_asked_for_move_few_copies(spark, monkeypatch):
+    """Each block of two queries took a copy of every cell through an exchange."""
+    from pivotgrove.operators import search
+    from pivotgrove.operators.index import build_index
+
+    monkeypatch.setattr(search, "QUERY_BLOCK", 10)
+    monkeypatch.setattr(search, "MOVED_POINTS", 3000)
+    blocks, at_cells = [], search.at_cells
+    monkeypatch.setattr(search, "at_cells", lambda *a, **k: blocks.append(k["block"]) or at_cells(*a, **k))
+    data = P.points(spark, "/root/testdata/sf0.01", "cus2")
+    asked = data.where("pid % 10 = 0").select(F.col("pid").alias("qid"), F.col("coords").alias("qcoords"), F.lit(10**6).cast("long").alias("k"))
+    got = {r["count"] for r in search.knn(build_index(data, cell_points=400), asked).groupBy("qid").count().collect()}
+    n = data.count()
+    assert got == {n} and len(blocks) == 1 and -(-asked.count() // blocks[0]) * n <= 3000
